@@ -73,9 +73,9 @@ class ChunkEncoder:
                 mixed.append(raw)
         # if no token joins two kinds of reachable characters, merges never cross the pieces of a settled chunk
         self._free = not any(m for m in mixed if not UNSETTLED.search(m) and _reachable(m))
-        self._opening: dict[str, bytes | None] = {}  # a text's first chunk
-        self._young: dict[str, bytes | None] = {}  # later chunks, without the space before them; None can't stand alone
-        self._old: dict[str, bytes | None] = {}
+        self._opening: dict[str, bytes] = {}  # a text's first chunk
+        self._young: dict[str, bytes | bool] = {}  # later chunks, without the space before them; False can't stand alone
+        self._old: dict[str, bytes | bool] = {}
 
     def _whole(self, text: str) -> bytes:
         return np.array(self._library.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
@@ -98,7 +98,7 @@ class ChunkEncoder:
             if (known := old.get(x)) is not None:
                 young[x] = known
             elif not x or x[0].isspace() or x[-1].isspace():
-                young[x] = None
+                young[x] = False
             elif not self._free or UNSETTLED.search(x):
                 young[x] = self._whole(" " + x)
             else:
@@ -131,17 +131,22 @@ class ChunkEncoder:
             self._opening = {}
         parts = [t.split(" ") for t in texts]
         heads = [p.pop(0) for p in parts]
-        missing = set().union(*parts).difference(self._young)
+        known = self._young.get
+        found = [list(map(known, p)) for p in parts]
+        holes = [[i for i, v in enumerate(f) if v is None] for f in found]
+        missing = {p[i] for p, h in zip(parts, holes, strict=True) for i in h}
         self._learn(missing)
         known, out = self._young.__getitem__, []
-        for text, head, p in zip(texts, heads, parts, strict=True):
+        for text, head, p, f, h in zip(texts, heads, parts, found, holes, strict=True):
             lead = self._opening.get(head)
             if lead is None:
                 lead = self._whole(head)
                 if len(head) <= MEMO_CHARS:
                     self._opening[head] = lead
+            for i in h:
+                f[i] = known(p[i])
             try:
-                out.append((lead if head and not head[-1].isspace() else None) + b"".join(map(known, p)) if text else b"")
+                out.append((lead if head and not head[-1].isspace() else None) + b"".join(f) if text else b"")
             except TypeError:
                 out.append(self._whole(text))
         for x in missing:

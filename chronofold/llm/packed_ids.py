@@ -141,36 +141,36 @@ def write_packed(docs: DataFrame, path: str, end_id: int, vocabulary: str | None
     images.write.option("compression", "none").parquet(path)
 
 
-def read_packed(spark: SparkSession, path: str) -> DataFrame:
-    """Documents of packed segments: doc_id, start (ids of all documents before it), n_tokens, ids (unsigned 32-bit,
-    little-endian bytes)."""
+def _documents(spark: SparkSession, path: str, digest: bool) -> DataFrame:
     totals = {r.id_range: r.n for r in spark.read.parquet(path).groupBy("id_range").agg(F.sum("n_ids").alias("n")).collect()}  # MAX_RANGES rows at most
     base, at = {}, 0
     for r in sorted(totals):
         base[r], at = at, at + totals[r]
+    last = ("ids_crc32", pa.int64()) if digest else ("ids", pa.binary())
 
     def documents(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for i in range(batch.num_rows):
-                segment = Segment(batch["image"][i].as_py())
-                flat, starts = segment.all(), segment.starts.astype(np.int64)
+                segment = Segment(batch["image"][i].as_buffer())
+                flat, starts = memoryview(segment.all()).cast("B"), segment.starts.astype(np.int64)
                 first = base[batch["id_range"][i].as_py()] + batch["first_id"][i].as_py()
-                ids = [flat[a:b].tobytes() for a, b in zip(starts[:-1].tolist(), starts[1:].tolist(), strict=True)]
-                yield pa.record_batch([batch["doc_ids"][i].values, pa.array(first + starts[:-1]), pa.array(np.diff(starts)), pa.array(ids, pa.binary())], names=["doc_id", "start", "n_tokens", "ids"])
+                cuts = (starts * 4).tolist()
+                own = [zlib.crc32(flat[a:b]) if digest else bytes(flat[a:b]) for a, b in zip(cuts, cuts[1:])]
+                yield pa.record_batch([batch["doc_ids"][i].values, pa.array(first + starts[:-1]), pa.array(np.diff(starts)), pa.array(own, last[1])], names=["doc_id", "start", "n_tokens", last[0]])
 
-    spread = spark.read.parquet(path).select("id_range", "first_id", "doc_ids", "image")
-    return spread.mapInArrow(documents, "doc_id long, start long, n_tokens long, ids binary")
+    images = spark.read.parquet(path).select("id_range", "first_id", "doc_ids", "image")
+    return images.mapInArrow(documents, f"doc_id long, start long, n_tokens long, {last[0]} {'long' if digest else 'binary'}")
 
 
-def packed_digest(spark: SparkSession, path: str) -> DataFrame:
-    """Per document of packed segments: doc_id, start, n_tokens and the crc32 of its ids."""
+def read_packed(spark: SparkSession, path: str) -> DataFrame:
+    """Documents of packed segments: doc_id, start (ids of all documents before it), n_tokens, ids (unsigned 32-bit,
+    little-endian bytes)."""
+    return _documents(spark, path, digest=False)
 
-    def digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            crc = [zlib.crc32(x.as_buffer()) for x in batch["ids"]]
-            yield pa.record_batch([batch["doc_id"], batch["start"], batch["n_tokens"], pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return read_packed(spark, path).mapInArrow(digest, "doc_id long, start long, n_tokens long, ids_crc32 long")
+def packed_digest(spark: SparkSession, path: str) -> DataFrame:
+    """Per document of packed segments: doc_id, start, n_tokens and the crc32 of its ids, read back."""
+    return _documents(spark, path, digest=True)
 
 
 def op8_packed_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
