@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from .balltree import op4_exact_top_k
 from .digest import op3_improbable_feature_digest
 from .language import op10_language_id
+from .maxent import op2_maxent_scores
 from .packing import op1_sum_of_squares_packing
 from .packed_ids import op8_packed_token_ids
 from .pagetext import op5_site_style_tree
@@ -17,6 +18,7 @@ from .simhash import op9_simhash_near_dedup
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_sum_of_squares_packing": op1_sum_of_squares_packing,
+    "op2_maxent_scores": op2_maxent_scores,
     "op3_improbable_feature_digest": op3_improbable_feature_digest,
     "op4_exact_top_k": op4_exact_top_k,
     "op5_site_style_tree": op5_site_style_tree,
