@@ -10,6 +10,7 @@ from .balltree import op4_exact_top_k
 from .digest import op3_improbable_feature_digest
 from .language import op10_language_id
 from .maxent import op2_maxent_scores
+from .mixing import op7_soft_membership_mixing
 from .packing import op1_sum_of_squares_packing
 from .packed_ids import op8_packed_token_ids
 from .pagetext import op5_site_style_tree
@@ -23,6 +24,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_exact_top_k": op4_exact_top_k,
     "op5_site_style_tree": op5_site_style_tree,
     "op6_secret_scan": op6_secret_scan,
+    "op7_soft_membership_mixing": op7_soft_membership_mixing,
     "op8_packed_token_ids": op8_packed_token_ids,
     "op9_simhash_near_dedup": op9_simhash_near_dedup,
     "op10_language_id": op10_language_id,
