@@ -22,7 +22,7 @@ from .common import remainder
 PER_LANGUAGE = 4_000
 LONGEST_GRAM = 5
 #: Most entries of the model, the most frequent ones; a bound on what the driver holds and sends.
-MAX_ENTRIES = 300_000
+MAX_ENTRIES = 150_000
 MAX_LANGUAGES = 500
 MEMO_WORDS = 200_000
 SMOOTHING = 0.1
@@ -50,28 +50,31 @@ def grams_of(word: str, n: int) -> list[str]:
 class LanguageModel:
     """Log frequencies per language of words (length 0) and of character n-grams."""
 
-    def __init__(self, entries: list[tuple[str, int, str, int]]) -> None:
-        """entries: (language, length, word or n-gram, count)."""
-        self.languages = sorted({e[0] for e in entries})
+    def __init__(self, languages: list[str], lengths: list[int], grams: list[str], counts: list[int]) -> None:
+        """One entry each: language, length, word or n-gram, count."""
+        self.languages = sorted(set(languages))
         at = {x: i for i, x in enumerate(self.languages)}
-        by_length: dict[int, dict[str, np.ndarray]] = defaultdict(dict)
-        for language, n, gram, count in entries:
-            by_length[n].setdefault(gram, np.zeros(len(at)))[at[language]] += count
-        self._tables: dict[int, dict[str, np.ndarray]] = {}
-        for n, table in by_length.items():
-            totals = np.sum(list(table.values()), axis=0)
-            logs = np.log((np.array(list(table.values())) + SMOOTHING) / (totals + SMOOTHING * len(table)))
-            self._tables[n] = dict(zip(table, logs, strict=True))
+        self._places: list[dict[str, int]] = [{} for _ in range(LONGEST_GRAM + 1)]
+        rows = [self._places[n].setdefault(g, len(self._places[n])) for n, g in zip(lengths, grams, strict=True)]
+        starts = np.cumsum([0, *map(len, self._places)])
+        kinds, columns = np.asarray(lengths, dtype=np.int64), np.fromiter(map(at.get, languages), dtype=np.int64, count=len(languages))
+        seen = np.zeros((starts[-1], len(at)), dtype=np.float32)
+        np.add.at(seen, (starts[kinds] + np.asarray(rows, dtype=np.int64), columns), np.asarray(counts, dtype=np.float32))
+        for first, last in zip(starts, starts[1:]):
+            own = seen[first:last]
+            if len(own):
+                own[:] = np.log((own + SMOOTHING) / (own.sum(axis=0, dtype=np.float64) + SMOOTHING * len(own)))
+        self._logs, self._starts = seen, starts.tolist()
         self._rows: dict[str, int] = {}
         self._matrix = np.zeros((1024, len(at)))
 
     def _score(self, word: str) -> np.ndarray:
-        if (known := self._tables.get(0, {}).get(word)) is not None:
-            return known
+        if (known := self._places[0].get(word)) is not None:
+            return self._logs[known]
         for n in range(LONGEST_GRAM, 0, -1):
-            table = self._tables.get(n, {})
-            if found := [table[g] for g in grams_of(word, n) if g in table]:
-                return np.mean(found, axis=0)
+            get, start = self._places[n].get, self._starts[n]
+            if found := [start + i for g in grams_of(word, n) if (i := get(g)) is not None]:
+                return self._logs[found].mean(axis=0)
         return np.zeros(len(self.languages))
 
     def _row(self, word: str) -> int:
@@ -129,8 +132,8 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE, max_entries: in
         share = min(1_000_000, -(-per_language * 1_000_000 // r["count"]))
         chosen = chosen | ((F.col("lang") == r["lang"]) & (F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share))
     counts = labelled.where(chosen).select("text", "lang").mapInArrow(_counts, "lang string, length int, gram string, n long")
-    kept = counts.groupBy("lang", "length", "gram").agg(F.sum("n").alias("n")).where("n > 1 OR length > 0").orderBy(F.desc("n"), "lang", "length", "gram").limit(max_entries)
-    return LanguageModel([tuple(r) for r in kept.collect()])
+    kept = counts.groupBy("lang", "length", "gram").agg(F.sum("n").alias("n")).where("n > 1 OR length > 0").orderBy(F.desc("n"), "lang", "length", "gram").limit(max_entries).toArrow()
+    return LanguageModel(*(kept[c].to_pylist() for c in ("lang", "length", "gram", "n")))
 
 
 def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:

@@ -84,11 +84,10 @@ class Classifier(NamedTuple):
         return p * STEP
 
 
-def fit(rows: list[list[int]], labels: np.ndarray, features: int, classes: int, epochs: int = 40, rate: float = 0.4, sparsity: float = 2e-4) -> np.ndarray:
-    """Softmax weights by AdaGrad on all rows at once, with soft thresholds so that words without evidence weigh nothing."""
-    flat = np.concatenate([np.asarray(r, dtype=np.int64) for r in rows])
-    owner = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
-    starts = np.concatenate([[0], np.cumsum([len(r) for r in rows])[:-1]])
+def fit(flat: np.ndarray, owner: np.ndarray, labels: np.ndarray, features: int, classes: int, epochs: int = 40, rate: float = 0.4, sparsity: float = 2e-4) -> np.ndarray:
+    """Softmax weights by AdaGrad on all rows at once, with soft thresholds so that words without evidence weigh nothing.  Feature
+    ``flat[i]`` is one of row ``owner[i]``'s; owners ascend and each has some."""
+    starts = np.concatenate([[0], np.flatnonzero(np.diff(owner)) + 1])
     wanted = np.eye(classes)[labels]
     share = wanted.mean(axis=0)
     weight = (1 / np.maximum(share, 1e-9))[labels]
@@ -107,12 +106,10 @@ def fit(rows: list[list[int]], labels: np.ndarray, features: int, classes: int,
     return w
 
 
-def telling(rows: list[list[int]], labels: np.ndarray, features: int, classes: int) -> np.ndarray:
+def telling(flat: np.ndarray, owner: np.ndarray, labels: np.ndarray, features: int, classes: int) -> np.ndarray:
     """Which features depend on a class beyond chance: their largest chi-square against one class and the rest."""
-    flat = np.concatenate([np.asarray(r, dtype=np.int64) for r in rows])
-    owner = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
     seen = np.stack([np.bincount(flat[labels[owner] == c], minlength=features) for c in range(classes)], axis=1).astype(np.float64)
-    n, own, size = len(rows), seen.sum(axis=1, keepdims=True), np.bincount(labels, minlength=classes)
+    n, own, size = len(labels), seen.sum(axis=1, keepdims=True), np.bincount(labels, minlength=classes)
     spread = own * (n - own) * size * (n - size)
     return (n * (seen * n - own * size) ** 2 / np.maximum(spread, 1)).max(axis=1) > CHI_SQUARE
 
@@ -137,7 +134,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = LABELLED_ROWS) -> Clas
 
     seen = spool(joined.mapInArrow(words, "domain string, words array<string>, shapes array<int>"))
     common = seen.select(F.explode("words").alias("w")).groupBy("w").count().where(F.col("count") >= LEAST_DOCS).orderBy(F.desc("count"), "w").limit(VOCABULARY)
-    index = {r.w: i for i, r in enumerate(common.select("w").collect())}
+    index = {w: i for i, w in enumerate(common.select("w").toArrow()["w"].to_pylist())}
     base = len(index)
     shared = docs.sparkSession.sparkContext.broadcast(index)
 
@@ -151,12 +148,14 @@ def train(docs: DataFrame, labels: DataFrame, most: int = LABELLED_ROWS) -> Clas
     if not table.num_rows:
         return Classifier({}, np.zeros((_SHAPES * _LEVELS + 1, len(DOMAINS))), DOMAINS)
     labels_ = np.array([DOMAINS.index(d) for d in table["domain"].to_pylist()])
-    rows = table["rows"].to_pylist()
-    kept = telling(rows, labels_, features, len(DOMAINS))
+    rows = table["rows"].combine_chunks()
+    flat = rows.flatten().to_numpy().astype(np.int64)
+    owner = np.repeat(np.arange(len(labels_)), np.diff(rows.offsets.to_numpy()))
+    kept = telling(flat, owner, labels_, features, len(DOMAINS))
     kept[base:] = True
-    place = np.cumsum(kept) - 1
-    rows = [place[[i for i in r if kept[i]]].tolist() for r in rows]
-    return Classifier({w: int(place[i]) for w, i in index.items() if kept[i]}, fit(rows, labels_, int(kept.sum()), len(DOMAINS)), DOMAINS)
+    place, in_use = np.cumsum(kept) - 1, kept[flat]
+    weights = fit(place[flat[in_use]], owner[in_use], labels_, int(kept.sum()), len(DOMAINS))
+    return Classifier({w: int(place[i]) for w, i in index.items() if kept[i]}, weights, DOMAINS)
 
 
 def posteriors(docs: DataFrame, classifier: Classifier) -> DataFrame:

@@ -13,7 +13,7 @@ from chronofold.llm import language, mixing, nearcopies, packing, secrets
 from chronofold.llm.common import spool
 
 #: A document is rejected if no language can be told or the posterior of the best is below this.
-LEAST_POSTERIOR = 0.5
+LEAST_POSTERIOR = 0.3
 #: A document stays if its rate rounds to one.
 LEAST_RATE = 0.5
 
