@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 
 def twa_udaf():
     """Duration-weighted mean of (x, micros) as a grouped aggregate; nulls of x don't count."""
-    import pandas as pd
-
     @F.pandas_udf("double")
     def twa(x: pd.Series, duration: pd.Series) -> float:
         known = x.notna()

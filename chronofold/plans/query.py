@@ -145,7 +145,7 @@ def explain_plan(p: PiecePlan) -> str:
     return "\n".join([f"family {p.query.family}: partial {f.partial}; merge {f.merge}; finally {f.finalizer}; canonical by {f.canon}", f"chunks {p.chunks[0]} to {p.chunks[1]}: {len(p.pieces)} pieces, {p.pruned} chunks pruned, shards of {f.shards}"])
 
 
-def closed(pieces: DataFrame, whole: DataFrame, keys: Sequence[str]) -> bool:
+def closed(pieces: DataFrame, whole: DataFrame, keys: Sequence[str], integer: bool = False) -> bool:
     """Whether segments of all pieces are those of the whole: the same time per key, no piece overlapping another."""
     from ..operators.canonical import canonical_equal, coalesce_intervals
 
@@ -155,5 +155,5 @@ def closed(pieces: DataFrame, whole: DataFrame, keys: Sequence[str]) -> bool:
 
     from ..functions.instants import FROM, TO, length
 
-    total = [x.agg(F.sum(length(F.col(FROM), F.col(TO)))).first()[0] for x in (pieces, whole)]
+    total = [x.agg(F.sum(length(F.col(FROM), F.col(TO), integer))).first()[0] for x in (pieces, whole)]
     return total[0] == total[1] and canonical_equal(a, b) == (0, 0)
