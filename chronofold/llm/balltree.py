@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import spool
+from .common import spool, tidy
 
 SHARD_ROWS = 8192
 BLOCK_QUERIES = 256
@@ -167,13 +167,13 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 10, scale: float = 1024
                 yield pa.record_batch([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=["block", "at", "query_id", "vec_id", "score", "g", "n"])
 
     found_schema = "block long, at int, query_id long, vec_id long, score long, g int, n int"
-    tree_table = spool(rows.repartition(shards).mapInArrow(trees, "g int, d int, n int, tree binary"), "none")
-    asked = spool(rows.where("q").mapInArrow(blocks, "block long, d int, queries binary"), "none")
+    tree_table = spool(rows.repartition(shards).mapInArrow(tidy(trees), "g int, d int, n int, tree binary"), "none")
+    asked = spool(rows.where("q").mapInArrow(tidy(blocks), "block long, d int, queries binary"), "none")
 
     # a block's first shard: the first tree of its group
     firsts = tree_table.where("n = 0").select("g", "d", "n", "tree")
     homes = asked.withColumn("g", F.pmod(F.xxhash64("block"), F.lit(groups)).cast("int"))
-    seeds = spool(homes.join(firsts, ["g", "d"]).select("block", "g", "n", "queries", "tree").mapInArrow(hits, found_schema))
+    seeds = spool(homes.join(firsts, ["g", "d"]).select("block", "g", "n", "queries", "tree").mapInArrow(tidy(hits), found_schema))
     kth = seeds.groupBy("block", "at").agg(F.count(F.lit(1)).alias("c"), F.min("score").alias("s")).select("block", "at", F.when(F.col("c") >= k, F.col("s")).alias("s"))
     floors = kth.groupBy("block").agg(F.map_from_entries(F.collect_list(F.struct("at", "s"))).alias("m"))  # BLOCK_QUERIES at most
     longest = F.sequence(F.lit(0), F.lit(BLOCK_QUERIES - 1))
@@ -182,7 +182,7 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 10, scale: float = 1024
 
     everywhere = asked.join(floors, "block", "left").withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
     pairs = everywhere.join(tree_table, ["g", "d"]).join(seeded, ["block", "g", "n"], "left").where("done IS NULL")
-    rest = pairs.select("block", "g", "n", "queries", "floors", "tree").mapInArrow(hits, found_schema)
+    rest = pairs.select("block", "g", "n", "queries", "floors", "tree").mapInArrow(tidy(hits), found_schema)
     best = Window.partitionBy("block", "at").orderBy(F.desc("score"), "vec_id")
     ranked = seeds.unionByName(rest).withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
     return ranked.select("query_id", "rank", "vec_id", "score")

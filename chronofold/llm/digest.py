@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import parts_of, range_bounds
+from .common import parts_of, range_bounds, tidy
 
 WINDOW = 32
 MOST_BITS = 5  # log2 of WINDOW
@@ -278,7 +278,7 @@ def fingerprint_pairs(docs: DataFrame, doc_id: str = "doc_id", text: str = "text
 
     dealt = rows.withColumn("places", places("o")).select("o", "doc_id", "text", F.posexplode("places").alias("p", "r")).select("r", (F.col("p") == 1).alias("look"), "o", "doc_id", "text")
     sorted_rows = dealt.repartitionById(ranges, "r").sortWithinPartitions("r", "look", "o", "text").drop("o")
-    return sorted_rows.mapInArrow(described, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return sorted_rows.mapInArrow(tidy(described), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
 
 
 def op3_improbable_feature_digest(spark: SparkSession, sf_dir: str) -> DataFrame:

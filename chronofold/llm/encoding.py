@@ -15,7 +15,7 @@ import re
 import numpy as np
 
 #: Chunks kept in one worker's memo, and the longest chunk worth keeping: a bound on memory, not on what is encoded.
-MEMO_CHUNKS = 700_000
+MEMO_CHUNKS = 400_000
 MEMO_CHARS = 40
 #: What a chunk must not hold for its pieces to be told apart by kinds of characters alone: contractions, runs of white
 #: space, and characters other than ASCII and the Latin letters up to U+024F.

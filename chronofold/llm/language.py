@@ -17,14 +17,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import remainder
+from .common import remainder, tidy
 
 PER_LANGUAGE = 4_000
 LONGEST_GRAM = 5
 #: Most entries of the model, the most frequent ones; a bound on what the driver holds and sends.
 MAX_ENTRIES = 150_000
 MAX_LANGUAGES = 500
-MEMO_WORDS = 200_000
+MEMO_WORDS = 100_000
 SMOOTHING = 0.1
 UNDETERMINED = "und"
 
@@ -84,13 +84,17 @@ class LanguageModel:
         self._matrix[i] = self._score(word)
         return i
 
+    def forget(self) -> None:
+        """Drop the memo of words."""
+        self._rows, self._matrix = {}, np.zeros((1024, len(self.languages)))
+
     def predict(self, text: str | None) -> tuple[str, float]:
         """Language and its posterior; undetermined if there is no letter, or nothing was learnt."""
         words = words_of(text)
         if not words or not self.languages:
             return UNDETERMINED, 0.0
         if len(self._rows) > MEMO_WORDS:
-            self._rows = {}
+            self.forget()
         get = self._rows.get
         rows = [self._row(w) if (i := get(w)) is None else i for w in words]
         total = np.fromiter(words.values(), dtype=np.float64, count=len(rows)) @ self._matrix[rows]
@@ -131,7 +135,7 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE, max_entries: in
     for r in sizes:
         share = min(1_000_000, -(-per_language * 1_000_000 // r["count"]))
         chosen = chosen | ((F.col("lang") == r["lang"]) & (F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share))
-    counts = labelled.where(chosen).select("text", "lang").mapInArrow(_counts, "lang string, length int, gram string, n long")
+    counts = labelled.where(chosen).select("text", "lang").mapInArrow(tidy(_counts), "lang string, length int, gram string, n long")
     kept = counts.groupBy("lang", "length", "gram").agg(F.sum("n").alias("n")).where("n > 1 OR length > 0").orderBy(F.desc("n"), "lang", "length", "gram").limit(max_entries).toArrow()
     return LanguageModel(*(kept[c].to_pylist() for c in ("lang", "length", "gram", "n")))
 
@@ -142,13 +146,16 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
     docs = docs.drop("lang_pred", "score")
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
-    @F.pandas_udf("lang_pred string, score double")
-    def predicted(texts):
-        import pandas as pd
+    kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
+    schema = ", ".join([*(f"`{n}` {k}" for n, k in kinds.items()), "lang_pred string, score double"])
 
-        return pd.DataFrame([shared.value.predict(t) for t in texts], columns=["lang_pred", "score"])
+    def predicted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [shared.value.predict(t.as_py()) for t in batch["text"]]
+            yield pa.record_batch([*batch.columns, pa.array([x for x, _ in found], pa.string()), pa.array([x for _, x in found], pa.float64())], names=[*batch.schema.names, "lang_pred", "score"])
+        shared.value.forget()
 
-    return docs.withColumn("_found", predicted("text")).select("*", "_found.lang_pred", "_found.score").drop("_found")
+    return docs.mapInArrow(tidy(predicted), schema)
 
 
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import spool
+from .common import spool, tidy
 
 #: Most labelled rows that the classifier is fitted on (about; chosen by a hash of the id), and words that it looks at.
 LABELLED_ROWS = 8_000
@@ -103,6 +103,7 @@ def fit(flat: np.ndarray, owner: np.ndarray, labels: np.ndarray, features: int,
         step = rate / np.sqrt(squares)
         w -= step * g
         w[:-1] = np.sign(w[:-1]) * np.maximum(np.abs(w[:-1]) - step[:-1] * sparsity, 0)
+    w[-1] += np.log(np.maximum(share, 1e-9)) / 2  # classes weighed alike so far; half way to their shares
     return w
 
 
@@ -132,7 +133,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = LABELLED_ROWS) -> Clas
             own = [sorted(traits(t)) for t in texts]
             yield pa.record_batch([batch["domain"], pa.array(own, pa.list_(pa.string())), pa.array([shape_levels(t) for t in texts], pa.list_(pa.int32()))], names=["domain", "words", "shapes"])
 
-    seen = spool(joined.mapInArrow(words, "domain string, words array<string>, shapes array<int>"))
+    seen = spool(joined.mapInArrow(tidy(words), "domain string, words array<string>, shapes array<int>"))
     common = seen.select(F.explode("words").alias("w")).groupBy("w").count().where(F.col("count") >= LEAST_DOCS).orderBy(F.desc("count"), "w").limit(VOCABULARY)
     index = {w: i for i, w in enumerate(common.select("w").toArrow()["w"].to_pylist())}
     base = len(index)
@@ -143,7 +144,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = LABELLED_ROWS) -> Clas
             own = [[*(i for w in ws if (i := shared.value.get(w)) is not None), *(base + x for x in ss), base + _SHAPES * _LEVELS] for ws, ss in zip(batch["words"].to_pylist(), batch["shapes"].to_pylist(), strict=True)]
             yield pa.record_batch([batch["domain"], pa.array(own, pa.list_(pa.int32()))], names=["domain", "rows"])
 
-    table = seen.mapInArrow(ids, "domain string, rows array<int>").toArrow()
+    table = seen.mapInArrow(tidy(ids), "domain string, rows array<int>").toArrow()
     features = base + _SHAPES * _LEVELS + 1
     if not table.num_rows:
         return Classifier({}, np.zeros((_SHAPES * _LEVELS + 1, len(DOMAINS))), DOMAINS)
@@ -169,7 +170,7 @@ def posteriors(docs: DataFrame, classifier: Classifier) -> DataFrame:
             p = [shared.value.posterior(t) for t in texts]
             yield pa.record_batch([batch["doc_id"], pa.array([len(t.split()) if t else 0 for t in texts], pa.int64()), pa.array(p, pa.list_(pa.float64()))], names=["doc_id", "n_tokens", "p"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(each, "doc_id long, n_tokens long, p array<double>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(each), "doc_id long, n_tokens long, p array<double>")
 
 
 class Mixture(NamedTuple):
@@ -210,7 +211,7 @@ def solve(found: DataFrame, weights: dict[str, float] | None, domains: tuple[str
                 total += (_replay(p, residuals, ridge, most)[0 if final else 1] * t) @ p
             yield pa.record_batch([pa.array([x]) for x in total], names=[f"s{i}" for i in range(k)])
 
-        sums = profiles.mapInArrow(each, ", ".join(f"s{i} double" for i in range(k))).agg(*(F.sum(f"s{i}") for i in range(k))).first()
+        sums = profiles.mapInArrow(tidy(each), ", ".join(f"s{i} double" for i in range(k))).agg(*(F.sum(f"s{i}") for i in range(k))).first()
         return np.array([x or 0.0 for x in sums])
 
     before = totals([], True)

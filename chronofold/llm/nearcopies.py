@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import spool
+from .common import spool, tidy
 from .components import component_roots
 from .simhash import _signed, covering_masks, simhash
 
@@ -95,7 +95,7 @@ def similarity(a: bytes, size_a: int, b: bytes, size_b: int) -> float:
 
 def near_copy_roots(docs: DataFrame) -> DataFrame:
     """(doc_id, root) of every row whose group's smallest doc_id is another; null ids and their rows have no group."""
-    told = spool(docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_described, _DESCRIBED))
+    told = spool(docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(_described), _DESCRIBED))
     light = told.select("doc_id", "digest", "fingerprint", "shingles", "passages")
     nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("x.*"))
 
@@ -113,7 +113,7 @@ def near_copy_roots(docs: DataFrame) -> DataFrame:
     pivots = many.groupBy("t", "k", F.pmod(order, F.lit(PIVOTS)).alias("slice")).agg(F.max_by("m", order).alias("pivot"))
     pivots = pivots.groupBy("t", "k").agg(F.collect_list("pivot").alias("right"))
     against = many.join(pivots, ["t", "k"]).select(F.array("m").alias("left"), "right")
-    pairs = spool(few.mapInArrow(_pairs, schema).unionByName(against.mapInArrow(_pairs, schema)).distinct())
+    pairs = spool(few.mapInArrow(tidy(_pairs), schema).unionByName(against.mapInArrow(tidy(_pairs), schema)).distinct())
 
     own = told.select(F.col("doc_id").alias("node"), "digest", "shingles", "sketch")
     wanted = pairs.select(F.col("low").alias("node")).unionByName(pairs.select(F.col("high").alias("node"))).distinct()
@@ -126,7 +126,7 @@ def near_copy_roots(docs: DataFrame) -> DataFrame:
             keep = pa.array([similarity(*x) >= SIMILARITY for x in zip(*columns, strict=True)], pa.bool_())
             yield batch.select(["low", "high"]).filter(keep)
 
-    roots = component_roots(both.mapInArrow(alike, schema), "low", "high")
+    roots = component_roots(both.mapInArrow(tidy(alike), schema), "low", "high")
     least = light.groupBy("digest").agg(F.min("doc_id").alias("node"))
     of_digest = least.join(roots, "node", "left").select("digest", F.coalesce("root", "node").alias("root"))
     return light.select("doc_id", "digest").join(of_digest, "digest").where("root <> doc_id").select("doc_id", "root")

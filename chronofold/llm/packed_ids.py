@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import parts_of, range_bounds, work_folder
+from .common import parts_of, range_bounds, tidy, work_folder
 from .encoding import ChunkEncoder, vocabulary_size
 
 MAGIC = b"FWID"
@@ -135,9 +135,9 @@ def write_packed(docs: DataFrame, path: str, end_id: int, vocabulary: str | None
         if docs_:
             yield image()
 
-    rows = docs.mapInArrow(encoded, "id_range int, doc_id long, n long, held binary")
+    rows = docs.mapInArrow(tidy(encoded), "id_range int, doc_id long, n long, held binary")
     placed = rows.repartitionById(max(1, len(bounds) + 1), "id_range").sortWithinPartitions("id_range", "doc_id", "held")
-    images = placed.mapInArrow(segments, "id_range int, number long, first_id long, n_ids long, doc_ids array<long>, image binary")
+    images = placed.mapInArrow(tidy(segments), "id_range int, number long, first_id long, n_ids long, doc_ids array<long>, image binary")
     images.write.option("compression", "none").parquet(path)
 
 
@@ -159,7 +159,7 @@ def _documents(spark: SparkSession, path: str, digest: bool) -> DataFrame:
                 yield pa.record_batch([batch["doc_ids"][i].values, pa.array(first + starts[:-1]), pa.array(np.diff(starts)), pa.array(own, last[1])], names=["doc_id", "start", "n_tokens", last[0]])
 
     images = spark.read.parquet(path).select("id_range", "first_id", "doc_ids", "image")
-    return images.mapInArrow(documents, f"doc_id long, start long, n_tokens long, {last[0]} {'long' if digest else 'binary'}")
+    return images.mapInArrow(tidy(documents), f"doc_id long, start long, n_tokens long, {last[0]} {'long' if digest else 'binary'}")
 
 
 def read_packed(spark: SparkSession, path: str) -> DataFrame:

@@ -20,6 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import tidy
 from .encoding import ChunkEncoder
 
 CAPACITY = 2048
@@ -87,7 +88,7 @@ def token_pieces(docs: DataFrame, end_id: int = 0, capacity: int = CAPACITY, voc
                 names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"]
                 yield pa.record_batch([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)][: 5 + keep_ids], names=names[: 5 + keep_ids])
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(each, schema)
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(tidy(each), schema)
 
 
 def pack(pieces: DataFrame, shards: int, capacity: int = CAPACITY) -> DataFrame:
@@ -103,7 +104,7 @@ def pack(pieces: DataFrame, shards: int, capacity: int = CAPACITY) -> DataFrame:
         ids = bins + (TaskContext.get().partitionId() << 40)
         yield from table.append_column("sequence_id", pa.array(ids)).append_column("offset", pa.array(offsets)).to_batches()
 
-    return pieces.repartition(shards).mapInArrow(each, schema)
+    return pieces.repartition(shards).mapInArrow(tidy(each), schema)
 
 
 def shards_for(docs: DataFrame, shard_docs: int = SHARD_DOCS) -> int:

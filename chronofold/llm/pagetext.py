@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import spool
+from .common import spool, tidy
 
 DECAY = 0.9
 LEAST_PAGES = 5
@@ -208,7 +208,7 @@ def style_counts(pages: DataFrame) -> DataFrame:
                     held.clear()
         yield rows()
 
-    parts = pages.select("url", "html").mapInArrow(each, "host string, path long, kind string, feature long, n long")
+    parts = pages.select("url", "html").mapInArrow(tidy(each), "host string, path long, kind string, feature long, n long")
     return parts.groupBy("host", "path", "kind", "feature").agg(F.sum("n").alias("n"))
 
 
@@ -249,7 +249,7 @@ def extract(pages: DataFrame) -> DataFrame:
                 texts = [main_text(p.as_py(), shared.value.get(host_of(u), frozenset())) for u, p in zip(batch["url"].to_pylist(), batch["html"], strict=True)]
                 yield pa.record_batch([batch["page_id"], batch["url"], pa.array(texts, pa.string())], names=["page_id", "url", "text"])
 
-        return kept.mapInArrow(by_host, schema)
+        return kept.mapInArrow(tidy(by_host), schema)
 
     @F.pandas_udf("string")
     def host(urls):
@@ -260,7 +260,7 @@ def extract(pages: DataFrame) -> DataFrame:
             texts = [main_text(p.as_py(), frozenset(x.as_py() or ())) for p, x in zip(batch["html"], batch["paths"], strict=True)]
             yield pa.record_batch([batch["page_id"], batch["url"], pa.array(texts, pa.string())], names=["page_id", "url", "text"])
 
-    return kept.withColumn("host", host("url")).join(low, "host", "left").mapInArrow(joined, schema)
+    return kept.withColumn("host", host("url")).join(low, "host", "left").mapInArrow(tidy(joined), schema)
 
 
 def op5_site_style_tree(spark: SparkSession, sf_dir: str) -> DataFrame:

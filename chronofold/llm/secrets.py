@@ -16,6 +16,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import tidy
+
 #: Kinds in the order in which spans of one start are listed, and the patterns with their least lengths.
 KINDS = ("assign", "access", "hex", "novel")
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -126,17 +128,20 @@ def scan(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFra
             spans = [[{"kind": s.kind, "start": s.start, "end": s.end} for s in find_secrets(t.as_py())] for t in batch["text"]]
             yield pa.record_batch([batch["doc_id"], pa.array(spans, kind)], names=["doc_id", "spans"])
 
-    return docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")).mapInArrow(each, f"doc_id {docs.schema[doc_id].dataType.simpleString()}, spans array<struct<kind:string,start:long,end:long>>")
+    return docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")).mapInArrow(tidy(each), f"doc_id {docs.schema[doc_id].dataType.simpleString()}, spans array<struct<kind:string,start:long,end:long>>")
 
 
 def redact_secrets(docs: DataFrame) -> DataFrame:
     """``docs`` with secrets in the column text replaced by a mark, and n_chars (if there) counted anew where they were."""
 
-    @F.pandas_udf("string")
-    def redacted(texts):
-        return texts.map(redact, na_action="ignore")
+    kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
+
+    def redacted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            clean = pa.array([redact(t.as_py()) for t in batch["text"]], batch.schema.field("text").type)
+            yield pa.record_batch([*batch.columns, clean], names=[*batch.schema.names, "_clean"])
 
-    out = docs.withColumn("_clean", redacted("text"))
+    out = docs.mapInArrow(tidy(redacted), ", ".join([*(f"`{n}` {k}" for n, k in kinds.items()), "_clean string"]))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("_clean") != F.col("text"), F.char_length("_clean").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
     return out.withColumn("text", F.col("_clean")).select(*docs.columns)

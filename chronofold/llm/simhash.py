@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import spool
+from .common import spool, tidy
 from .components import component_roots
 
 BITS = 64
@@ -64,7 +64,7 @@ def fingerprints(docs: DataFrame, shingle: int = 3, seed: int = 42, doc_id: str
             found = b"".join(simhash(x.as_py(), shingle, seed) for x in batch["text"])
             yield pa.record_batch([batch["doc_id"], pa.array(np.frombuffer(found, dtype=">u8").astype(np.uint64).view(np.int64))], names=["doc_id", "fingerprint"])
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(each, "doc_id long, fingerprint long")
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(tidy(each), "doc_id long, fingerprint long")
 
 
 def _spanning(radius: int):
@@ -114,7 +114,7 @@ def near_edges(nodes: DataFrame, radius: int = 2) -> DataFrame:
     )
     groups = met.select("node", "fingerprint", "t", "bucket", F.explode(F.when(F.col("size") > BUCKET, points).otherwise(F.array(F.lit(0).cast("long")))).alias("point"), (F.col("size") > BUCKET).alias("large"))
     groups = groups.groupBy("t", "bucket", "large", "point").agg(F.collect_list(F.struct("node", "fingerprint")).alias("members")).where(F.size("members") > 1)
-    return groups.select("members").mapInArrow(_spanning(radius), "low long, high long")
+    return groups.select("members").mapInArrow(tidy(_spanning(radius)), "low long, high long")
 
 
 def near_duplicate_components(prints: DataFrame, radius: int = 2) -> DataFrame:
