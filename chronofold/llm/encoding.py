@@ -15,7 +15,7 @@ import re
 import numpy as np
 
 #: Chunks kept in one worker's memo, and the longest chunk worth keeping: a bound on memory, not on what is encoded.
-MEMO_CHUNKS = 400_000
+MEMO_CHUNKS = 700_000
 MEMO_CHARS = 40
 #: What a chunk must not hold for its pieces to be told apart by kinds of characters alone: contractions, runs of white
 #: space, and characters other than ASCII and the Latin letters up to U+024F.
@@ -48,8 +48,9 @@ def vocabulary_size(path: str | None = None) -> int:
 class ChunkEncoder:
     """Texts to ids as little-endian unsigned 32-bit bytes.  Strings that name special tokens are ordinary text."""
 
-    def __init__(self, path: str | None = None) -> None:
+    def __init__(self, path: str | None = None, memo_chunks: int = MEMO_CHUNKS) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
+        self._most = memo_chunks
         from tokenizers import Tokenizer, pre_tokenizers
 
         self._library = Tokenizer.from_file(path or default_vocabulary())
@@ -125,9 +126,9 @@ class ChunkEncoder:
                 gc.enable()
 
     def _encode_run(self, texts: list[str]) -> list[bytes]:
-        if len(self._young) > MEMO_CHUNKS:
+        if len(self._young) > self._most:
             self._young, self._old = {}, self._young
-        if len(self._opening) > MEMO_CHUNKS:
+        if len(self._opening) > self._most:
             self._opening = {}
         parts = [t.split(" ") for t in texts]
         heads = [p.pop(0) for p in parts]

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import tidy
-from .encoding import ChunkEncoder
+from .encoding import MEMO_CHUNKS, ChunkEncoder
 
 CAPACITY = 2048
 SHARD_DOCS = 16_384
@@ -67,13 +67,13 @@ def cut(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
     return [(0, first), *((at, capacity) for at in range(first, n, capacity))]
 
 
-def token_pieces(docs: DataFrame, end_id: int = 0, capacity: int = CAPACITY, vocabulary: str | None = None, keep_ids: bool = False, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def token_pieces(docs: DataFrame, end_id: int = 0, capacity: int = CAPACITY, vocabulary: str | None = None, keep_ids: bool = False, doc_id: str = "doc_id", text: str = "text", memo_chunks: int = MEMO_CHUNKS) -> DataFrame:
     """Pieces of every whole text, encoded and ended by ``end_id``: doc_id, piece, start, length, ids_crc32, and their ids
     as unsigned 32-bit little-endian bytes if ``keep_ids``.  Null texts are empty; other columns aren't read."""
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids binary" * keep_ids
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, end = ChunkEncoder(vocabulary), np.array([end_id], dtype="<u4").tobytes()
+        encoder, end = ChunkEncoder(vocabulary, memo_chunks), np.array([end_id], dtype="<u4").tobytes()
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
                 part = batch.slice(at, 1000)
@@ -120,10 +120,10 @@ def packed_sequences(docs: DataFrame, end_id: int = 0, capacity: int = CAPACITY,
     return whole.select("sequence_id", F.aggregate("p", F.lit(0).cast("long"), lambda a, x: a + x["length"]).alias("n_tokens"), F.aggregate("p", F.lit(b""), lambda a, x: F.concat(a, x["ids"])).alias("ids"), F.transform("p", lambda x: F.struct(x["doc_id"], x["piece"], x["offset"])).alias("pieces"))
 
 
-def pack_documents(docs: DataFrame, end_id: int = 0, capacity: int = CAPACITY, vocabulary: str | None = None) -> DataFrame:
+def pack_documents(docs: DataFrame, end_id: int = 0, capacity: int = CAPACITY, vocabulary: str | None = None, memo_chunks: int = MEMO_CHUNKS) -> DataFrame:
     """Every document's pieces with their places.  An empty table gives an empty result; repeated rows are packed as often
     as they come."""
-    return pack(token_pieces(docs, end_id, capacity, vocabulary), shards_for(docs), capacity)
+    return pack(token_pieces(docs, end_id, capacity, vocabulary, memo_chunks=memo_chunks), shards_for(docs), capacity)
 
 
 def op1_sum_of_squares_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

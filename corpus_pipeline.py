@@ -14,6 +14,8 @@ from chronofold.llm.common import spool
 
 #: A document is rejected if no language can be told or the posterior of the best is below this.
 LEAST_POSTERIOR = 0.3
+#: Chunks that an encoder remembers: less than on its own, as workers still hold what earlier stages left.
+ENCODER_MEMO = 400_000
 #: A document stays if its rate rounds to one.
 LEAST_RATE = 0.5
 
@@ -48,7 +50,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Places of all documents' pieces in sequences of 2048 tokens."""
-    return packing.pack_documents(docs)
+    return packing.pack_documents(docs, memo_chunks=ENCODER_MEMO)
 
 
 STAGES = [("language ID", tell_language), ("SimHash near-dedup", drop_near_copies), ("secret scans", hide_secrets), ("mixing to target weights", mix), ("best-fit packing", pack)]
