@@ -27,12 +27,15 @@ from .simhash import _signed, covering_masks, simhash
 
 SHINGLE, SIMILARITY = 5, 0.8
 PASSAGES, PASSAGE_CUT = 8, 8
-SKETCH = 256
 BUCKET, PIVOTS = 24, 8
+BLOCK = 256
+#: Texts that tell the frequent shingles, in how many of them, and how many shingles; a matter of speed, not of results.
+ORDER_DOCS, ORDER_LEAST, ORDER_SHINGLES = 10_000, 3, 50_000
+PARITY_BITS = 10  # 2 ** 10 bits
 
 
 def describe(text: str | None) -> dict:
-    """Digest of the words, whole fingerprint, number of distinct shingles, least passages and least shingle hashes."""
+    """Digest of the words, whole fingerprint, number of distinct shingles, least passages and shingle hashes, ascending."""
     import xxhash
 
     words = (text or "").encode().lower().split()
@@ -47,15 +50,15 @@ def describe(text: str | None) -> dict:
     stops = np.append(np.flatnonzero(hashes % PASSAGE_CUT == 0) + 1, len(words))
     passages = {xxhash.xxh64_intdigest(b" ".join(words[a:b]), 5) for a, b in zip([0, *stops.tolist()], stops.tolist()) if b > a}
     out |= {"shingles": len(h), "passages": [_signed(x) for x in sorted(passages)[:PASSAGES]]}
-    out["sketch"] = (h[:SKETCH] >> np.uint64(16)).astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
+    out["hashes"] = h.astype("<u8").tobytes()
     return out
 
 
-_DESCRIBED = "doc_id long, digest binary, fingerprint long, shingles int, passages array<long>, sketch binary"
+_DESCRIBED = "doc_id long, digest binary, fingerprint long, shingles int, passages array<long>, hashes binary"
 
 
 def _described(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    kinds = {"digest": pa.binary(), "fingerprint": pa.int64(), "shingles": pa.int32(), "passages": pa.list_(pa.int64()), "sketch": pa.binary()}
+    kinds = {"digest": pa.binary(), "fingerprint": pa.int64(), "shingles": pa.int32(), "passages": pa.list_(pa.int64()), "hashes": pa.binary()}
     for batch in batches:
         for at in range(0, batch.num_rows, 1000):
             part = batch.slice(at, 1000)
@@ -84,20 +87,132 @@ def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.record_batch([pa.array([min(p) for p in found], pa.int64()), pa.array([max(p) for p in found], pa.int64())], names=["low", "high"])
 
 
-def similarity(a: bytes, size_a: int, b: bytes, size_b: int) -> float:
-    """Jaccard similarity of two shingle sets from their least hashes (6 bytes each, ascending)."""
-    x, y = ({s[i : i + 6] for i in range(0, len(s), 6)} for s in (a, b))
-    if size_a <= SKETCH and size_b <= SKETCH:
-        return len(x & y) / max(1, len(x | y))
-    least = sorted(x | y, key=lambda k: k[::-1])[:SKETCH]
-    return sum(k in x and k in y for k in least) / len(least)
+def similar(a: bytes, b: bytes) -> bool:
+    """Whether two sets of shingle hashes (8 bytes each, ascending) have a Jaccard similarity of ``SIMILARITY`` or more."""
+    small, large = sorted((len(a) // 8, len(b) // 8))
+    if 5 * small < 4 * large:
+        return False
+    common = small + large - len(np.union1d(np.frombuffer(a, dtype="<u8"), np.frombuffer(b, dtype="<u8")))
+    return 5 * common >= 4 * (small + large - common)
+
+
+def _alike(pairs: DataFrame, told: DataFrame) -> DataFrame:
+    """The pairs (low, high) whose shingle sets are similar."""
+    wanted = pairs.select(F.col("low").alias("node")).unionByName(pairs.select(F.col("high").alias("node"))).distinct()
+    sets = spool(told.select(F.col("doc_id").alias("node"), "digest", "hashes").join(wanted, "node", "left_semi").dropDuplicates(["node", "digest"]).select("node", "hashes"), "none")
+    both = pairs.join(sets.toDF("low", "hashes_low"), "low").join(sets.toDF("high", "hashes_high"), "high").select("low", "high", "hashes_low", "hashes_high")
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = pa.array([similar(a.as_py(), b.as_py()) for a, b in zip(batch["hashes_low"], batch["hashes_high"], strict=True)], pa.bool_())
+            yield batch.select(["low", "high"]).filter(keep)
+
+    return both.mapInArrow(tidy(each), "low long, high long")
+
+
+def frequent(told: DataFrame) -> np.ndarray:
+    """Hashes of shingles that many texts of a sample have, the most frequent last.  They are the last in the order of shingles
+    (before them come all others by hash), as keys that few texts share cost the least."""
+
+    def flat(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 500):
+                yield pa.record_batch([pa.array(np.frombuffer(b"".join(batch["hashes"].slice(at, 500).to_pylist()), dtype="<i8"))], names=["k"])
+
+    share = min(1_000_000, -(-ORDER_DOCS * 1_000_000 // max(1, told.count())))
+    sample = told.where(F.pmod(F.xxhash64("digest"), F.lit(1_000_000)) < share).select("hashes")
+    counts = sample.mapInArrow(tidy(flat), "k long").groupBy("k").count().where(F.col("count") >= ORDER_LEAST)
+    return counts.orderBy(F.desc("count"), "k").limit(ORDER_SHINGLES).select("k").toArrow()["k"].to_numpy()[::-1].astype(np.int64)
+
+
+def keys_of(hashes: bytes, last: np.ndarray, rank: np.ndarray) -> tuple[np.ndarray, bytes]:
+    """The first shingles in the order, of which similar sets share one, and the parities of how many hashes fall on each bit.
+    ``last``: the frequent shingles' hashes, ascending, with their ranks from 1."""
+    h = np.frombuffer(hashes, dtype="<i8")
+    first = len(h) - (4 * len(h) + 4) // 5 + 1
+    ranks = np.zeros(len(h), dtype=np.int64)
+    if len(last):
+        at = np.minimum(np.searchsorted(last, h), len(last) - 1)
+        ranks = np.where(last[at] == h, rank[at], 0)
+    parity = np.bincount(h.view(np.uint64) >> np.uint64(64 - PARITY_BITS), minlength=1 << PARITY_BITS) & 1
+    return h[np.lexsort((h, ranks))[:first]], np.packbits(parity.astype(np.uint8)).tobytes()
+
+
+def _near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """From rows sorted by (k, b1, b2): pairs of rows of one group that no bound rejects."""
+    names = ("k", "b1", "b2", "block", "node", "root", "size", "place")
+    held: dict[str, np.ndarray] = {}
+
+    def pairs(x: dict[str, np.ndarray]) -> pa.RecordBatch:
+        n = len(x["k"])
+        fresh = np.ones(n, dtype=bool)
+        fresh[1:] = (np.diff(x["k"]) != 0) | (np.diff(x["b1"]) != 0) | (np.diff(x["b2"]) != 0)
+        group = np.cumsum(fresh)
+        found = []
+        for d in range(1, n):
+            i = np.flatnonzero(group[d:] == group[:-d])
+            if not len(i):
+                break
+            j = i + d
+            ok = (x["root"][i] != x["root"][j]) & ((x["b1"][i] == x["b2"][i]) | (x["block"][i] != x["block"][j]))
+            i, j = i[ok], j[ok]
+            both = x["size"][i] + x["size"][j]
+            need = (4 * both + 8) // 9
+            left = np.minimum(x["size"][i] - x["place"][i], x["size"][j] - x["place"][j])
+            ok = (5 * np.minimum(x["size"][i], x["size"][j]) >= 4 * np.maximum(x["size"][i], x["size"][j])) & (left >= need)
+            i, j, most = i[ok], j[ok], (both - 2 * need)[ok]
+            ok = np.bitwise_count(x["parity"][i] ^ x["parity"][j]).sum(axis=1, dtype=np.int64) <= most
+            found.append(np.stack([np.minimum(x["node"][i[ok]], x["node"][j[ok]]), np.maximum(x["node"][i[ok]], x["node"][j[ok]])], axis=1))
+        out = np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), dtype=np.int64)
+        return pa.record_batch([pa.array(out[:, 0]), pa.array(out[:, 1])], names=["low", "high"])
+
+    for batch in batches:
+        x = {c: batch[c].to_numpy(zero_copy_only=False).astype(np.int64) for c in names}
+        x["parity"] = np.frombuffer(b"".join(batch["parity"].to_pylist()), dtype=np.uint64).reshape(batch.num_rows, -1)
+        if not batch.num_rows:
+            continue
+        held = {c: np.concatenate([held[c], x[c]]) for c in x} if held else x
+        same = np.ones(len(held["k"]), dtype=bool)
+        for c in ("k", "b1", "b2"):
+            same &= held[c] == held[c][-1]
+        open_at = len(same) - int(same.sum())  # the last group may go on in the next batch
+        if open_at:
+            yield pairs({c: v[:open_at] for c, v in held.items()})
+            held = {c: v[open_at:] for c, v in held.items()}
+    if held:
+        yield pairs(held)
+
+
+def pairs_apart(told: DataFrame, rooted: DataFrame) -> DataFrame:
+    """Pairs (low, high) of nodes with different roots, among them all whose similarity is ``SIMILARITY`` or more.
+    ``rooted``: (digest, node, root)."""
+    order = frequent(told)
+    by_hash = np.argsort(order)
+    shared = told.sparkSession.sparkContext.broadcast((order[by_hash], by_hash + 1))
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1000):
+                part = batch.slice(at, 1000)
+                found = [keys_of(h.as_py(), *shared.value) for h in part["hashes"]]
+                yield pa.record_batch([part["digest"], part["doc_id"], part["shingles"], pa.array([k for k, _ in found], pa.list_(pa.int64())), pa.array([p for _, p in found], pa.binary())], names=["digest", "node", "size", "keys", "parity"])
+
+    keyed = told.select("digest", "doc_id", "shingles", "hashes").mapInArrow(tidy(each), "digest binary, node long, size int, keys array<long>, parity binary")
+    keyed = spool(keyed.join(rooted, ["digest", "node"]))
+    dealt = keyed.select("node", "root", "size", F.posexplode("keys").alias("place", "k"))
+    sizes = dealt.groupBy("k").agg(F.count(F.lit(1)).alias("bucket"), F.min("root").alias("a"), F.max("root").alias("b")).where("a < b").select("k", F.ceil(F.col("bucket") / BLOCK).cast("int").alias("blocks"))
+    met = dealt.join(sizes, "k").join(keyed.select("node", "parity").distinct(), "node")
+    met = met.withColumn("block", F.pmod(F.xxhash64("node", F.lit(13)), F.col("blocks")).cast("int"))
+    met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    met = met.select("k", F.least("block", "other").alias("b1"), F.greatest("block", "other").alias("b2"), "block", "node", "root", "size", "place", "parity")
+    return spool(met.repartition("k", "b1", "b2").sortWithinPartitions("k", "b1", "b2").mapInArrow(tidy(_near), "low long, high long").distinct())
 
 
 def near_copy_roots(docs: DataFrame) -> DataFrame:
     """(doc_id, root) of every row whose group's smallest doc_id is another; null ids and their rows have no group."""
     told = spool(docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(_described), _DESCRIBED))
     light = told.select("doc_id", "digest", "fingerprint", "shingles", "passages")
-    nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("x.*"))
+    nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("digest", "x.*"))
 
     covers = [F.struct(F.lit(t).alias("t"), F.col("fingerprint").bitwiseAND(F.lit(_signed(m))).alias("k")) for t, m in enumerate(covering_masks(2))]
     keys = F.concat(F.array(*covers), F.transform("passages", lambda p: F.struct(F.lit(-1).alias("t"), p.alias("k"))))
@@ -115,18 +230,10 @@ def near_copy_roots(docs: DataFrame) -> DataFrame:
     against = many.join(pivots, ["t", "k"]).select(F.array("m").alias("left"), "right")
     pairs = spool(few.mapInArrow(tidy(_pairs), schema).unionByName(against.mapInArrow(tidy(_pairs), schema)).distinct())
 
-    own = told.select(F.col("doc_id").alias("node"), "digest", "shingles", "sketch")
-    wanted = pairs.select(F.col("low").alias("node")).unionByName(pairs.select(F.col("high").alias("node"))).distinct()
-    sketches = spool(own.join(wanted, "node", "left_semi").dropDuplicates(["node"]).select("node", "shingles", "sketch"), "none")
-    both = pairs.join(sketches.toDF("low", "size_low", "sketch_low"), "low").join(sketches.toDF("high", "size_high", "sketch_high"), "high")
-
-    def alike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            columns = [batch[c].to_pylist() for c in ("sketch_low", "size_low", "sketch_high", "size_high")]
-            keep = pa.array([similarity(*x) >= SIMILARITY for x in zip(*columns, strict=True)], pa.bool_())
-            yield batch.select(["low", "high"]).filter(keep)
-
-    roots = component_roots(both.mapInArrow(tidy(alike), schema), "low", "high")
+    joined = spool(component_roots(_alike(pairs, told), "low", "high"))
+    rooted = spool(nodes.join(joined, "node", "left").select("digest", "node", F.coalesce("root", "node").alias("root")))
+    links = _alike(pairs_apart(told, rooted), told).unionByName(joined.select(F.col("root").alias("low"), F.col("node").alias("high")))
+    roots = component_roots(links, "low", "high")
     least = light.groupBy("digest").agg(F.min("doc_id").alias("node"))
     of_digest = least.join(roots, "node", "left").select("digest", F.coalesce("root", "node").alias("root"))
     return light.select("doc_id", "digest").join(of_digest, "digest").where("root <> doc_id").select("doc_id", "root")

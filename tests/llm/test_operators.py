@@ -315,3 +315,34 @@ def test_near_copies(spark, odd, empty):
     left = nearcopies.keep_one_each(odd).collect()
     assert sum(r.doc_id is None for r in left) == 2 and sorted(r.doc_id for r in left if r.doc_id is not None) == [0, 3, 4, 5, 6, 7, 8, 9, 10]
     assert nearcopies.keep_one_each(empty).count() == 0
+
+
+def kept_of(spark, texts):
+    rows = [(i, " ".join(t)) for i, t in enumerate(texts)]
+    return sorted(r.doc_id for r in nearcopies.keep_one_each(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+
+
+def kept_by_brute_force(texts):
+    sets = [{tuple(t[i : i + 5]) for i in range(max(1, len(t) - 4))} for t in texts]
+    root = list(range(len(sets)))
+    for i, a in enumerate(sets):
+        for j in range(i):
+            if 5 * len(a & sets[j]) >= 4 * len(a | sets[j]):
+                old, new = max(root[i], root[j]), min(root[i], root[j])
+                root = [new if r == old else r for r in root]
+    return [i for i, r in enumerate(root) if i == r]
+
+
+def scattered(rng, base, edits, mark):
+    """``base`` with so many words changed, no two in one shingle."""
+    out = base.copy()
+    slots = rng.choice((len(base) - 10) // 6, edits, replace=False) * 6 + 5
+    out[slots] = [f"{mark}-{k}" for k in range(edits)]
+    return out
+
+
+def test_near_copies_of_a_hub(spark):
+    rng = np.random.default_rng(5)
+    base = rng.choice(np.array([f"w{i}" for i in range(3000)], dtype=object), 240)
+    texts = [list(base), *(list(scattered(rng, base, 5, f"v{i}")) for i in range(399))]
+    assert kept_of(spark, texts) == kept_by_brute_force(texts) == [0]
