@@ -346,3 +346,13 @@ def test_near_copies_of_a_hub(spark):
     base = rng.choice(np.array([f"w{i}" for i in range(3000)], dtype=object), 240)
     texts = [list(base), *(list(scattered(rng, base, 5, f"v{i}")) for i in range(399))]
     assert kept_of(spark, texts) == kept_by_brute_force(texts) == [0]
+
+
+def test_near_copies_of_long_texts_near_the_limit(spark):
+    rng = np.random.default_rng(6)
+    texts = []
+    for i in range(60):
+        base = np.array([f"t{i}-{k}" for k in range(1000)], dtype=object)
+        texts += [list(base), list(scattered(rng, base, 21 + i % 4, f"e{i}"))]
+    kept = kept_of(spark, texts)
+    assert kept == kept_by_brute_force(texts) and 60 < len(kept) < 120
