@@ -356,3 +356,14 @@ def test_near_copies_of_long_texts_near_the_limit(spark):
         texts += [list(base), list(scattered(rng, base, 21 + i % 4, f"e{i}"))]
     kept = kept_of(spark, texts)
     assert kept == kept_by_brute_force(texts) and 60 < len(kept) < 120
+
+
+def test_near_copies_of_short_texts(spark):
+    rng = np.random.default_rng(7)
+    words = np.array([f"w{i}" for i in range(3000)])
+    texts = []
+    for i in range(400):
+        base = list(rng.choice(words, 9 + i % 22))
+        texts += [base, [*base, "more"] if i % 2 else [*base[:-1], "other"]]
+    kept = kept_of(spark, texts)
+    assert kept == kept_by_brute_force(texts) and len(kept) < 600
