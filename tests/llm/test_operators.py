@@ -367,3 +367,8 @@ def test_near_copies_of_short_texts(spark):
         texts += [base, [*base, "more"] if i % 2 else [*base[:-1], "other"]]
     kept = kept_of(spark, texts)
     assert kept == kept_by_brute_force(texts) and len(kept) < 600
+
+
+def test_maxent_sees_three_words_back():
+    a, b = (maxent._features(np.array([x, 3, 4, 5, 0]), np.array([4])) for x in (7, 8))
+    assert len(a) == 4 and [int(x[3] != y[3]) for x, y in zip(a, b)] == [0, 0, 0, 1]
