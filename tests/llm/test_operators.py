@@ -372,3 +372,9 @@ def test_near_copies_of_short_texts(spark):
 def test_maxent_sees_three_words_back():
     a, b = (maxent._features(np.array([x, 3, 4, 5, 0]), np.array([4])) for x in (7, 8))
     assert len(a) == 4 and [int(x[3] != y[3]) for x, y in zip(a, b)] == [0, 0, 0, 1]
+
+
+def test_maxent_chooses_words_from_all_rows(spark):
+    rows = [(i, "common " * 3 + (f"late late late w{i}" if i % 3000 == 1 else f"w{i}")) for i in range(30_000)]
+    learnt = maxent.train(spark.createDataFrame(rows, "doc_id long, text string").repartition(4))
+    assert set(learnt.words[: learnt.model]) == {b"common", b"late"} and len(learnt.words) == 30_002
