@@ -2,12 +2,13 @@
 
 The novelty search looks at strings of key-like characters that follow a sensitive word.  Each is compressed with a
 dictionary primed with common identifiers and the code around it; what it costs beyond an empty string is its marginal size.
-A string whose marginal size is close to its length repeats nothing near it and is no known identifier: it is reported.
+A string whose marginal size is close to what random text of its alphabet takes repeats nothing near it and is no known identifier: it is reported.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 import re
 from collections.abc import Iterator
 from typing import NamedTuple
@@ -26,12 +27,13 @@ HEX = re.compile(r"[0-9a-f]{24,}")  # a maximal run, as + would find it
 ASSIGN_MIN, ACCESS_MIN = 6, 20
 
 #: Strings that the novelty search weighs, and how far before them a sensitive word may stand.
-CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
+CANDIDATE = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
+DELIMITER = re.compile(r"[_-]+")
 SENSITIVE = re.compile(r"passw|secret|token|api_?key|credential|bearer|authorization|private.?key|access.?key|signature|client.?id", re.IGNORECASE | re.ASCII)
 CONTEXT = 64
 SURROUNDING = 2048
-#: Least marginal bytes per character of a string that is reported.
-NOVELTY = 0.7
+#: Least marginal bytes of a string that is reported, as a share of the bytes that random text of its alphabet takes.
+NOVELTY = 0.93
 
 #: Identifiers that code shares.
 IDENTIFIERS = (
@@ -80,20 +82,31 @@ def marginal_bytes(candidate: str, surrounding: str) -> int:
     return len(compressor.compress(candidate.encode())) - len(compressor.compress(b""))
 
 
+def random_bytes(candidate: str) -> float:
+    """Bytes that a random string of the candidate's length and kinds of characters takes."""
+    letters = candidate.rstrip("=")
+    if re.fullmatch(r"[0-9a-f]+|[0-9A-F]+", letters):
+        size = 16
+    else:
+        size = sum(n for kind, n in (("[0-9]", 10), ("[a-z]", 26), ("[A-Z]", 26)) if re.search(kind, letters)) + len(set(letters) & set("+/_-"))
+    return len(letters) * math.log2(max(2, size)) / 8
+
+
 def novel_spans(text: str) -> list[Span]:
     """Incompressible strings in sensitive context."""
     ends = [m.end() for m in SENSITIVE.finditer(text)]
     found, done = [], 0
     for end in ends:
-        for m in CANDIDATE.finditer(text, max(end, done), min(len(text), end + CONTEXT)):
-            if m.start() > 0 and CANDIDATE.match(text[m.start() - 1] * 16):
+        value = m.end() if (m := DELIMITER.match(text, end)) else end
+        for m in CANDIDATE.finditer(text, max(value, done), min(len(text), value + CONTEXT)):
+            if m.start() > 0 and CANDIDATE.match(text[m.start() - 1] * 16) and not m.start() == value > end:
                 continue  # the rest of a longer string, whose start is no candidate
             start, stop = m.start(), CANDIDATE.match(text, m.start()).end()
             done, own = stop, text[start:stop]
-            if sum(c.isdigit() for c in own) < 2 or not any(c.isalpha() for c in own):
+            if not any(c.isalpha() for c in own):
                 continue
             around = f"{text[max(0, start - SURROUNDING) : start]} {text[stop : stop + SURROUNDING]}"
-            if marginal_bytes(own, around) >= NOVELTY * len(own):
+            if marginal_bytes(own, around) >= NOVELTY * random_bytes(own):
                 found.append(Span(start, "novel", stop))
     return _listed(found)
 

@@ -378,3 +378,16 @@ def test_maxent_chooses_words_from_all_rows(spark):
     rows = [(i, "common " * 3 + (f"late late late w{i}" if i % 3000 == 1 else f"w{i}")) for i in range(30_000)]
     learnt = maxent.train(spark.createDataFrame(rows, "doc_id long, text string").repartition(4))
     assert set(learnt.words[: learnt.model]) == {b"common", b"late"} and len(learnt.words) == 30_002
+
+
+def test_novel_values_after_names():
+    rng = np.random.default_rng(8)
+    base62 = list("0123456789ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz")
+    for name, n in (("aws_secret_access_key=", 40), ("client_id=", 26), ("signature=", 26), ("client_id = ", 26), ("bearer_", 32)):
+        key = "".join(rng.choice(base62, n))
+        text = f"set {name}{key} here"
+        assert any(text[s.start : s.end] == key for s in secrets.novel_spans(text)), text
+    few = "".join(rng.choice(base62[10:], 20))
+    assert len(secrets.novel_spans(f"authorization {few} x")) == 1
+    for n in (32, 96, 128):
+        assert len(secrets.novel_spans(f"signature: {''.join(rng.choice(base62[:16], n))} x")) == 1
