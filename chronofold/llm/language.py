@@ -14,6 +14,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -21,8 +22,6 @@ from .common import remainder, tidy
 
 PER_LANGUAGE = 4_000
 LONGEST_GRAM = 5
-#: Most entries of the model, the most frequent ones; a bound on what the driver holds and sends.
-MAX_ENTRIES = 150_000
 MAX_LANGUAGES = 500
 MEMO_WORDS = 100_000
 SMOOTHING = 0.1
@@ -47,34 +46,50 @@ def grams_of(word: str, n: int) -> list[str]:
     return [marked[i : i + n] for i in range(len(marked) - n + 1)] if n > 1 else list(word)
 
 
+def key_of(gram: str) -> int:
+    """Hash of a word or n-gram as Spark's xxhash64 gives it, unsigned."""
+    return xxhash.xxh64_intdigest(gram.encode(), 42)
+
+
 class LanguageModel:
-    """Log frequencies per language of words (length 0) and of character n-grams."""
-
-    def __init__(self, languages: list[str], lengths: list[int], grams: list[str], counts: list[int]) -> None:
-        """One entry each: language, length, word or n-gram, count."""
-        self.languages = sorted(set(languages))
-        at = {x: i for i, x in enumerate(self.languages)}
-        self._places: list[dict[str, int]] = [{} for _ in range(LONGEST_GRAM + 1)]
-        rows = [self._places[n].setdefault(g, len(self._places[n])) for n, g in zip(lengths, grams, strict=True)]
-        starts = np.cumsum([0, *map(len, self._places)])
-        kinds, columns = np.asarray(lengths, dtype=np.int64), np.fromiter(map(at.get, languages), dtype=np.int64, count=len(languages))
-        seen = np.zeros((starts[-1], len(at)), dtype=np.float32)
-        np.add.at(seen, (starts[kinds] + np.asarray(rows, dtype=np.int64), columns), np.asarray(counts, dtype=np.float32))
-        for first, last in zip(starts, starts[1:]):
-            own = seen[first:last]
-            if len(own):
-                own[:] = np.log((own + SMOOTHING) / (own.sum(axis=0, dtype=np.float64) + SMOOTHING * len(own)))
-        self._logs, self._starts = seen, starts.tolist()
+    """Log frequencies per language of words (length 0) and of character n-grams: for each length the entries' keys in order,
+    and for each key its languages and their logs, where the others have that of a count of nothing."""
+
+    def __init__(self, languages: np.ndarray, names: list[str], lengths: np.ndarray, keys: np.ndarray, counts: np.ndarray) -> None:
+        """One entry each: place of the language in ``names``, length, key (unsigned) of the word or n-gram, count."""
+        self.languages = names
+        self._tables: list[tuple[np.ndarray, ...]] = []
+        for n in range(LONGEST_GRAM + 1):
+            own = np.flatnonzero(lengths == n)
+            own = own[np.lexsort((languages[own], keys[own]))]
+            at, seen = languages[own], counts[own].astype(np.float64)
+            distinct, starts = np.unique(keys[own], return_index=True)
+            totals = np.log(np.bincount(at, weights=seen, minlength=len(names)) + SMOOTHING * max(1, len(distinct)))
+            logs = (np.log(seen + SMOOTHING) - totals[at]).astype(np.float32)
+            self._tables.append((distinct, np.append(starts, len(own)), at.astype(np.int16), logs, np.log(SMOOTHING) - totals))
         self._rows: dict[str, int] = {}
-        self._matrix = np.zeros((1024, len(at)))
+        self._matrix = np.zeros((1024, len(names)))
+
+    def _found(self, n: int, grams: list[str]) -> np.ndarray | None:
+        """Mean logs over the known ones of some words or n-grams of a length."""
+        keys, starts, at, logs, nothing = self._tables[n]
+        wanted = np.array([key_of(g) for g in grams], dtype=np.uint64)
+        if not len(keys) or not len(wanted):
+            return None
+        places = np.minimum(keys.searchsorted(wanted), len(keys) - 1)
+        places = places[keys[places] == wanted].tolist()
+        if not places:
+            return None
+        out = nothing * len(places)
+        for i in places:
+            a, b = starts[i], starts[i + 1]
+            out[at[a:b]] += logs[a:b] - nothing[at[a:b]]
+        return out / len(places)
 
     def _score(self, word: str) -> np.ndarray:
-        if (known := self._places[0].get(word)) is not None:
-            return self._logs[known]
-        for n in range(LONGEST_GRAM, 0, -1):
-            get, start = self._places[n].get, self._starts[n]
-            if found := [start + i for g in grams_of(word, n) if (i := get(g)) is not None]:
-                return self._logs[found].mean(axis=0)
+        for n in (0, *range(LONGEST_GRAM, 0, -1)):
+            if (found := self._found(n, grams_of(word, n) if n else [word])) is not None:
+                return found
         return np.zeros(len(self.languages))
 
     def _row(self, word: str) -> int:
@@ -125,7 +140,7 @@ def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield from rows(held)
 
 
-def train(labelled: DataFrame, per_language: int = PER_LANGUAGE, max_entries: int = MAX_ENTRIES) -> LanguageModel:
+def train(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> LanguageModel:
     """Model of the rows (doc_id, text, lang) whose lang isn't null.  More than ``MAX_LANGUAGES`` languages is an error."""
     labelled = labelled.where("lang IS NOT NULL AND text IS NOT NULL").select("doc_id", "text", "lang")
     sizes = labelled.groupBy("lang").count().limit(MAX_LANGUAGES + 1).collect()
@@ -136,8 +151,14 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE, max_entries: in
         share = min(1_000_000, -(-per_language * 1_000_000 // r["count"]))
         chosen = chosen | ((F.col("lang") == r["lang"]) & (F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share))
     counts = labelled.where(chosen).select("text", "lang").mapInArrow(tidy(_counts), "lang string, length int, gram string, n long")
-    kept = counts.groupBy("lang", "length", "gram").agg(F.sum("n").alias("n")).where("n > 1 OR length > 0").orderBy(F.desc("n"), "lang", "length", "gram").limit(max_entries).toArrow()
-    return LanguageModel(*(kept[c].to_pylist() for c in ("lang", "length", "gram", "n")))
+    names = sorted(r["lang"] for r in sizes)
+    kept = counts.groupBy("lang", "length", "gram").agg(F.sum("n").alias("n")).where("n > 1 OR length > 0")
+    place = F.array_position(F.array(*map(F.lit, names)), F.col("lang")) - 1 if names else F.lit(0)
+    kept = kept.select(place.cast("int").alias("lang"), "length", F.xxhash64("gram").alias("key"), "n").toArrow()
+    columns = {c: kept[c].to_numpy() for c in kept.column_names}
+    told, at = np.unique(columns["lang"].astype(np.int64), return_inverse=True)  # a language without letters is none
+    return LanguageModel(at, [names[i] for i in told], columns["length"], columns["key"].astype(np.int64).view(np.uint64), columns["n"])
+
 
 
 def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:

@@ -391,3 +391,11 @@ def test_novel_values_after_names():
     assert len(secrets.novel_spans(f"authorization {few} x")) == 1
     for n in (32, 96, 128):
         assert len(secrets.novel_spans(f"signature: {''.join(rng.choice(base62[:16], n))} x")) == 1
+
+
+def test_language_model_keeps_rare_entries(spark):
+    rows = [(i, " ".join(f"w{chr(97 + i % 26)}{chr(97 + k % 26)}{chr(97 + k // 26 % 26)}{chr(97 + k // 676)}" for k in range(4000)) * 2, "big") for i in range(52)]
+    rows += [(1000, "qqzzqq qqzzqq", "small")]
+    model = language.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    assert len(model._tables[0][0]) > 100_000 and language.key_of("qqzzqq") in model._tables[0][0]
+    assert model.predict("qqzzqq qqzzqq")[0] == "small"
