@@ -38,6 +38,22 @@ def spool(df: DataFrame, compression: str = "zstd") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Parts that the rows of one key are dealt to before a join; a key that few rows have is in as few parts.
+PARTS = 256
+
+
+def part_of(by: str | Column) -> Column:
+    return F.pmod(F.xxhash64(by), F.lit(PARTS)).cast("int")
+
+
+def spread_join(left: DataFrame, right: DataFrame, on: list[str], by: str) -> DataFrame:
+    """``left`` inner joined to ``right`` (one row a key) where a key may hold a large share of ``left``: its rows are dealt by
+    a hash of ``by``, and the right row is copied to the parts that the key has, so no task gets all of them."""
+    dealt = left.withColumn("_part", part_of(by))
+    copied = dealt.select(*on, "_part").distinct().join(right, on)
+    return dealt.join(copied, [*on, "_part"]).drop("_part")
+
+
 def remainder(doc_id: str | Column, modulus: int) -> Column:
     """crc32 of an id as text, modulo ``modulus``; a null id counts as the empty text."""
     c = F.col(doc_id) if isinstance(doc_id, str) else doc_id

@@ -3,12 +3,14 @@
 For copies with a few changed words a 64-bit SimHash of the whole text is too coarse (at a similarity of 0.8 on five-word
 shingles it differs in about 10 bits, which no family of covering masks of workable size covers).  So besides the whole text's
 fingerprint, covered up to two bits, a text shows fingerprints of its *passages*: runs of words cut where a word's hash says
-so, hence alike in copies.  A text enters the tables with the ``PASSAGES`` least of them.  Texts that meet and share enough
-are candidates; their similarity is that of their sets of five-word shingles, exact up to ``SKETCH`` distinct shingles and
-estimated from the ``SKETCH`` least hashes beyond.
+so, hence alike in copies.  A text enters the tables with the ``PASSAGES`` least of them, and in every bucket it meets one
+text, the bucket's first by a hash of the node: as many pairs as rows, and mostly the same few in all buckets of a group.
 
-Texts with the same words are one node.  A table's bucket of at most ``BUCKET`` texts is compared pair by pair; in a larger one
-each text is compared with ``PIVOTS`` of them, chosen anew in every bucket.
+That first pass only joins large groups cheaply.  A second one is complete: similar sets of shingles share one of their first
+few in a fixed order (prefix keys), so every pair that the first pass left apart and that can reach ``SIMILARITY`` meets there.
+Pairs of both passes are checked on their whole sets of five-word shingles.
+
+Texts with the same words are one node.
 """
 
 from __future__ import annotations
@@ -18,16 +20,15 @@ from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import spool, tidy
+from .common import part_of, spool, spread_join, tidy
 from .components import component_roots
 from .simhash import _signed, covering_masks, simhash
 
 SHINGLE, SIMILARITY = 5, 0.8
 PASSAGES, PASSAGE_CUT = 8, 8
-BUCKET, PIVOTS = 24, 8
 BLOCK = 256
 #: Texts that tell the frequent shingles, in how many of them, and how many shingles; a matter of speed, not of results.
 ORDER_DOCS, ORDER_LEAST, ORDER_SHINGLES = 10_000, 3, 50_000
@@ -66,25 +67,29 @@ def _described(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.record_batch([part["doc_id"], *(pa.array([r[n] for r in rows], k) for n, k in kinds.items())], names=["doc_id", *kinds])
 
 
-def _worth(a: dict, b: dict) -> bool:
-    """Whether two texts' sizes and passages allow the similarity."""
-    small, large = sorted((a["shingles"], b["shingles"]))
-    if small < SIMILARITY * large:
-        return False
-    most = min(len(a["passages"]), len(b["passages"]))
-    common = len(set(a["passages"]) & set(b["passages"]))
-    return common >= min(2, most // 3) or (a["fingerprint"] ^ b["fingerprint"]).bit_count() <= 2
+def _worth(a: str, b: str) -> Column:
+    """Whether two texts' (struct columns) sizes and passages make the similarity likely."""
+    small, large = F.least(f"{a}.shingles", f"{b}.shingles"), F.greatest(f"{a}.shingles", f"{b}.shingles")
+    most = F.least(F.size(f"{a}.passages"), F.size(f"{b}.passages"))
+    common = F.size(F.array_intersect(f"{a}.passages", f"{b}.passages"))
+    return (small * 5 >= large * 4) & ((common >= F.least(F.lit(2), F.floor(most / 3))) | (F.bit_count(F.col(f"{a}.fingerprint").bitwiseXOR(F.col(f"{b}.fingerprint"))) <= 2))
 
 
-def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        found: list[tuple[int, int]] = []
-        for left, right in zip(batch["left"].to_pylist(), batch["right"].to_pylist(), strict=True):
-            if right is None:
-                found += [(x["node"], y["node"]) for i, x in enumerate(left) for y in left[i + 1 :] if _worth(x, y)]
-            else:
-                found += [(x["node"], y["node"]) for x in left for y in right if x["node"] != y["node"] and _worth(x, y)]
-        yield pa.record_batch([pa.array([min(p) for p in found], pa.int64()), pa.array([max(p) for p in found], pa.int64())], names=["low", "high"])
+def first_pairs(nodes: DataFrame) -> DataFrame:
+    """Likely pairs (low, high): in every table's bucket each node with the bucket's first.  No more pairs than rows, and no
+    bucket in one task: counts and firsts are aggregated by part of a bucket before they are brought together."""
+    covers = [F.struct(F.lit(t).alias("t"), F.col("fingerprint").bitwiseAND(F.lit(_signed(m))).alias("k")) for t, m in enumerate(covering_masks(2))]
+    keys = F.concat(F.array(*covers), F.transform("passages", lambda p: F.struct(F.lit(-1).alias("t"), p.alias("k"))))
+    dealt = nodes.select("node", F.explode(keys).alias("b")).select("b.t", "b.k", part_of("node").alias("part"), "node")
+    rank = F.struct(F.xxhash64("node", F.lit(17)).alias("order"), "node")
+    parts = dealt.groupBy("t", "k", "part").agg(F.count(F.lit(1)).alias("n"), F.min(rank).alias("first"))
+    firsts = parts.groupBy("t", "k").agg(F.sum("n").alias("n"), F.min("first").alias("first"), F.collect_list("part").alias("parts")).where("n > 1")
+    firsts = firsts.select("t", "k", F.col("first.node").alias("first"), F.explode("parts").alias("part"))
+    pairs = dealt.join(firsts, ["t", "k", "part"]).where("node <> first").select(F.least("node", "first").alias("low"), F.greatest("node", "first").alias("high"))
+    pairs = spool(pairs.distinct())
+    x = nodes.select("node", F.struct("fingerprint", "shingles", "passages").alias("x"))
+    both = spread_join(pairs, x.toDF("low", "a"), ["low"], "high")
+    return spool(spread_join(both, x.toDF("high", "b"), ["high"], "low").where(_worth("a", "b")).select("low", "high"))
 
 
 def similar(a: bytes, b: bytes) -> bool:
@@ -100,7 +105,8 @@ def _alike(pairs: DataFrame, told: DataFrame) -> DataFrame:
     """The pairs (low, high) whose shingle sets are similar."""
     wanted = pairs.select(F.col("low").alias("node")).unionByName(pairs.select(F.col("high").alias("node"))).distinct()
     sets = spool(told.select(F.col("doc_id").alias("node"), "digest", "hashes").join(wanted, "node", "left_semi").dropDuplicates(["node", "digest"]).select("node", "hashes"), "none")
-    both = pairs.join(sets.toDF("low", "hashes_low"), "low").join(sets.toDF("high", "hashes_high"), "high").select("low", "high", "hashes_low", "hashes_high")
+    both = spread_join(pairs, sets.toDF("low", "hashes_low"), ["low"], "high")
+    both = spread_join(both, sets.toDF("high", "hashes_high"), ["high"], "low").select("low", "high", "hashes_low", "hashes_high")
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -200,8 +206,10 @@ def pairs_apart(told: DataFrame, rooted: DataFrame) -> DataFrame:
     keyed = told.select("digest", "doc_id", "shingles", "hashes").mapInArrow(tidy(each), "digest binary, node long, size int, keys array<long>, parity binary")
     keyed = spool(keyed.join(rooted, ["digest", "node"]))
     dealt = keyed.select("node", "root", "size", F.posexplode("keys").alias("place", "k"))
-    sizes = dealt.groupBy("k").agg(F.count(F.lit(1)).alias("bucket"), F.min("root").alias("a"), F.max("root").alias("b")).where("a < b").select("k", F.ceil(F.col("bucket") / BLOCK).cast("int").alias("blocks"))
-    met = dealt.join(sizes, "k").join(keyed.select("node", "parity").distinct(), "node")
+    parts = dealt.groupBy("k", part_of("node").alias("part")).agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("a"), F.max("root").alias("b"))
+    sizes = parts.groupBy("k").agg(F.sum("n").alias("n"), F.min("a").alias("a"), F.max("b").alias("b"), F.collect_list("part").alias("parts")).where("a < b")
+    sizes = sizes.select("k", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"), F.explode("parts").alias("part"))
+    met = dealt.withColumn("part", part_of("node")).join(sizes, ["k", "part"]).drop("part").join(keyed.select("node", "parity"), "node")
     met = met.withColumn("block", F.pmod(F.xxhash64("node", F.lit(13)), F.col("blocks")).cast("int"))
     met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     met = met.select("k", F.least("block", "other").alias("b1"), F.greatest("block", "other").alias("b2"), "block", "node", "root", "size", "place", "parity")
@@ -214,29 +222,14 @@ def near_copy_roots(docs: DataFrame) -> DataFrame:
     light = told.select("doc_id", "digest", "fingerprint", "shingles", "passages")
     nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("digest", "x.*"))
 
-    covers = [F.struct(F.lit(t).alias("t"), F.col("fingerprint").bitwiseAND(F.lit(_signed(m))).alias("k")) for t, m in enumerate(covering_masks(2))]
-    keys = F.concat(F.array(*covers), F.transform("passages", lambda p: F.struct(F.lit(-1).alias("t"), p.alias("k"))))
-    member = F.struct("node", "fingerprint", "shingles", "passages")
-    dealt = nodes.select(F.explode(keys).alias("b"), member.alias("m")).select("b.t", "b.k", "m")
-    sizes = dealt.groupBy("t", "k").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-    met = spool(dealt.join(sizes, ["t", "k"]), "lz4")
-    schema = "low long, high long"
-    few = met.where(F.col("size") <= BUCKET).groupBy("t", "k").agg(F.collect_list("m").alias("left")).select("left", F.lit(None).cast("array<struct<node:long,fingerprint:long,shingles:int,passages:array<long>>>").alias("right"))
-    # in a larger bucket the first per salt: a maximum for each of PIVOTS slices of the members, by a hash of bucket and node
-    many = met.where(F.col("size") > BUCKET)
-    order = F.xxhash64("t", "k", "m.node")
-    pivots = many.groupBy("t", "k", F.pmod(order, F.lit(PIVOTS)).alias("slice")).agg(F.max_by("m", order).alias("pivot"))
-    pivots = pivots.groupBy("t", "k").agg(F.collect_list("pivot").alias("right"))
-    against = many.join(pivots, ["t", "k"]).select(F.array("m").alias("left"), "right")
-    pairs = spool(few.mapInArrow(tidy(_pairs), schema).unionByName(against.mapInArrow(tidy(_pairs), schema)).distinct())
-
+    pairs = first_pairs(nodes)
     joined = spool(component_roots(_alike(pairs, told), "low", "high"))
     rooted = spool(nodes.join(joined, "node", "left").select("digest", "node", F.coalesce("root", "node").alias("root")))
     links = _alike(pairs_apart(told, rooted), told).unionByName(joined.select(F.col("root").alias("low"), F.col("node").alias("high")))
     roots = component_roots(links, "low", "high")
     least = light.groupBy("digest").agg(F.min("doc_id").alias("node"))
     of_digest = least.join(roots, "node", "left").select("digest", F.coalesce("root", "node").alias("root"))
-    return light.select("doc_id", "digest").join(of_digest, "digest").where("root <> doc_id").select("doc_id", "root")
+    return spread_join(light.select("doc_id", "digest"), of_digest, ["digest"], "doc_id").where("root <> doc_id").select("doc_id", "root")
 
 
 def keep_one_each(docs: DataFrame) -> DataFrame:

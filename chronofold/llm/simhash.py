@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import spool, tidy
+from .common import part_of, spool, spread_join, tidy
 from .components import component_roots
 
 BITS = 64
@@ -106,8 +106,11 @@ def near_edges(nodes: DataFrame, radius: int = 2) -> DataFrame:
     masks = covering_masks(radius)
     tables = F.array(*[F.struct(F.lit(t).alias("t"), F.lit(_signed(m)).alias("mask")) for t, m in enumerate(masks)])
     dealt = nodes.select("node", "fingerprint", F.explode(tables).alias("k")).select("node", "fingerprint", F.col("k.t").alias("t"), F.col("k.mask").alias("mask"), F.col("fingerprint").bitwiseAND(F.col("k.mask")).alias("bucket"))
-    sizes = dealt.groupBy("t", "bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-    met = dealt.join(sizes, ["t", "bucket"])
+    # counted by part of a bucket first, and joined by part, so that no bucket is in one task
+    parts = dealt.groupBy("t", "bucket", part_of("node").alias("part")).agg(F.count(F.lit(1)).alias("n"))
+    sizes = parts.groupBy("t", "bucket").agg(F.sum("n").alias("size"), F.collect_list("part").alias("parts")).where("size > 1")
+    sizes = sizes.select("t", "bucket", "size", F.explode("parts").alias("part"))
+    met = dealt.withColumn("part", part_of("node")).join(sizes, ["t", "bucket", "part"])
     points = F.transform(
         F.filter(F.array(F.lit(0), *[F.lit(_signed(1 << i)) for i in range(BITS)]), lambda b: b.bitwiseAND(F.col("mask")) == 0),
         lambda b: F.col("fingerprint").bitwiseXOR(b),
@@ -128,7 +131,7 @@ def near_duplicate_components(prints: DataFrame, radius: int = 2) -> DataFrame:
     distinct = spool(distinct)
     roots = component_roots(near_edges(distinct.where("node IS NOT NULL"), radius), "low", "high")
     of_print = distinct.join(roots, "node", "left").select("fingerprint", F.coalesce("root", "node").alias("component_id"))
-    return prints.join(of_print, "fingerprint")
+    return spread_join(prints, of_print, ["fingerprint"], "doc_id")
 
 
 def op9_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
