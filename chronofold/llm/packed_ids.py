@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import parts_of, range_bounds, tidy, work_folder
-from .encoding import ChunkEncoder, vocabulary_size
+from .encoding import shared_encoder, vocabulary_size
 
 MAGIC = b"FWID"
 BLOCK_IDS = 1024
@@ -51,16 +51,28 @@ def _unpack(raw: memoryview | bytes, n: int, bits: int) -> np.ndarray:
     return (flags @ weights).astype("<u4")
 
 
+def _image(starts: np.ndarray, blocks: list[bytes] | bytes, bits: int) -> bytes:
+    n = int(starts[-1])
+    whole = BLOCK_IDS * bits // 8  # bytes of a full block; only the last may be shorter
+    offsets = np.minimum(np.arange(-(-n // BLOCK_IDS) + 1, dtype=np.int64) * whole, -(-n * bits // 8)).astype("<u8")
+    head = _HEAD.pack(MAGIC, bits, BLOCK_IDS, len(starts) - 1, n, len(offsets) - 1)
+    return b"".join([head, starts.astype("<u8").tobytes(), offsets.tobytes(), *blocks])
+
+
 def pack_segment(documents: list[np.ndarray], bits: int) -> bytes:
     """Image of some documents' ids, in order."""
-    starts = np.concatenate([[0], np.cumsum([len(d) for d in documents])]).astype("<u8")
+    starts = np.concatenate([[0], np.cumsum([len(d) for d in documents])])
     ids = np.concatenate(documents) if documents else np.zeros(0, dtype=np.uint32)
     if len(ids) and int(ids.max()) >> bits:
         raise ValueError(f"an id needs more than {bits} bits")
-    blocks = [_pack(ids[i : i + BLOCK_IDS], bits) for i in range(0, len(ids), BLOCK_IDS)]
-    offsets = np.concatenate([[0], np.cumsum([len(b) for b in blocks])]).astype("<u8")
-    head = _HEAD.pack(MAGIC, bits, BLOCK_IDS, len(documents), len(ids), len(blocks))
-    return b"".join([head, starts.tobytes(), offsets.tobytes(), *blocks])
+    return _image(starts, [_pack(ids, bits)], bits)  # a full block ends on a byte, so all are packed at once
+
+
+def join_packed(held: list[bytes | memoryview], sizes: list[int], bits: int) -> bytes:
+    """The image of documents that are packed one by one: whole bytes an id need no unpacking."""
+    if bits % 8:
+        return pack_segment([_unpack(x, n, bits) for x, n in zip(held, sizes, strict=True)], bits)
+    return _image(np.concatenate([[0], np.cumsum(sizes)]), held, bits)
 
 
 class Segment:
@@ -104,33 +116,43 @@ def write_packed(docs: DataFrame, path: str, end_id: int, vocabulary: str | None
     bounds = np.array(range_bounds(docs, "doc_id", min(parts, MAX_RANGES)), dtype=np.int64)
 
     def encoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, end = ChunkEncoder(vocabulary), np.array([end_id], dtype="<u4").tobytes()
+        encoder = shared_encoder(vocabulary)
         for batch in batches:
-            for at in range(0, batch.num_rows, 1000):
-                part = batch.slice(at, 1000)
-                raw = [x + end for x in encoder.encode(part["text"].to_pylist())]
-                numbers = part["doc_id"].fill_null(-(2**63)).to_numpy(zero_copy_only=False)
-                held = [_pack(np.frombuffer(x, dtype="<u4"), bits) for x in raw]
-                yield pa.record_batch([pa.array(np.searchsorted(bounds, numbers, side="right").astype(np.int32)), part["doc_id"], pa.array([len(x) // 4 for x in raw], pa.int64()), pa.array(held, pa.binary())], names=["id_range", "doc_id", "n", "held"])
+            for first, stop in encoder.runs(batch["text"]):
+                own = batch["doc_id"].slice(first, stop - first)
+                flat, at = encoder.encode_run(batch["text"].slice(first, stop - first), end_id)
+                if bits % 8:
+                    held = pa.array([_pack(flat[a:b], bits) for a, b in zip(at.tolist(), at[1:].tolist())], pa.large_binary())
+                else:
+                    held = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(own), [None, pa.py_buffer((at * (bits // 8)).astype(np.int64)), pa.py_buffer(_pack(flat, bits))])
+                part = np.searchsorted(bounds, own.fill_null(-(2**63)).to_numpy(zero_copy_only=False), side="right")
+                yield pa.record_batch([pa.array(part.astype(np.int32)), own, pa.array(np.diff(at)), held.cast(pa.binary())], names=["id_range", "doc_id", "n", "held"])
 
     def segments(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = ["id_range", "number", "first_id", "n_ids", "doc_ids", "image"]
         kinds = [pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.binary()]
-        now, number, before, docs_, ids_, n = None, 0, 0, [], [], 0
+        now, number, before, n = None, 0, 0, 0
+        docs_: list[int | None] = []
+        held_: list[memoryview] = []
+        sizes: list[int] = []
 
         def image() -> pa.RecordBatch:
-            values = [[now], [number], [before], [n], [docs_], [pack_segment(ids_, bits)]]
+            values = [[now], [number], [before], [n], [docs_], [join_packed(held_, sizes, bits)]]
             return pa.record_batch([pa.array(v, k) for v, k in zip(values, kinds, strict=True)], names=names)
 
         for batch in batches:
-            for r, d, k, held in zip(*(batch[c].to_pylist() for c in ("id_range", "doc_id", "n", "held")), strict=True):
+            held = batch["held"].cast(pa.large_binary())
+            ends = np.frombuffer(held.buffers()[1], dtype=np.int64)[held.offset : held.offset + len(held) + 1].tolist()
+            raw = memoryview(held.buffers()[2] or b"")
+            for i, (r, d, k) in enumerate(zip(batch["id_range"].to_pylist(), batch["doc_id"].to_pylist(), batch["n"].to_pylist(), strict=True)):
                 if docs_ and (r != now or n >= SEGMENT_IDS):
                     yield image()
-                    before, number, docs_, ids_, n = before + n, number + 1, [], [], 0
+                    before, number, docs_, held_, sizes, n = before + n, number + 1, [], [], [], 0
                 if r != now:
                     now, number, before = r, 0, 0
                 docs_.append(d)
-                ids_.append(_unpack(held, k, bits))
+                held_.append(raw[ends[i] : ends[i + 1]])
+                sizes.append(k)
                 n += k
         if docs_:
             yield image()

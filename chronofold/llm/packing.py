@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import tidy
-from .encoding import MEMO_CHUNKS, ChunkEncoder
+from .encoding import MEMO_CHUNKS, shared_encoder
 
 CAPACITY = 2048
 SHARD_DOCS = 16_384
@@ -59,12 +59,20 @@ def sum_of_squares(lengths: np.ndarray, capacity: int = CAPACITY) -> tuple[np.nd
     return bins, offsets, made
 
 
+def cuts(sizes: np.ndarray, capacity: int = CAPACITY) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Document, piece, start and length of all pieces of some documents: only a longer document is cut, its first piece takes
+    the remainder."""
+    pieces = -(-sizes // capacity)
+    of = np.repeat(np.arange(len(sizes)), pieces)
+    piece = np.arange(len(of)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
+    lead = (sizes - (pieces - 1) * capacity)[of]
+    return of, piece, np.where(piece > 0, lead + (piece - 1) * capacity, 0), np.where(piece > 0, capacity, lead)
+
+
 def cut(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
-    """(start, length) of a document's pieces: only a longer document is cut, its first piece takes the remainder."""
-    if n <= capacity:
-        return [(0, n)] if n else []
-    first = n % capacity or capacity
-    return [(0, first), *((at, capacity) for at in range(first, n, capacity))]
+    """(start, length) of one document's pieces."""
+    _, _, start, length = cuts(np.array([n]), capacity)
+    return list(zip(start.tolist(), length.tolist(), strict=True))
 
 
 def token_pieces(docs: DataFrame, end_id: int = 0, capacity: int = CAPACITY, vocabulary: str | None = None, keep_ids: bool = False, doc_id: str = "doc_id", text: str = "text", memo_chunks: int = MEMO_CHUNKS) -> DataFrame:
@@ -72,21 +80,18 @@ def token_pieces(docs: DataFrame, end_id: int = 0, capacity: int = CAPACITY, voc
     as unsigned 32-bit little-endian bytes if ``keep_ids``.  Null texts are empty; other columns aren't read."""
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids binary" * keep_ids
 
+    names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"][: 5 + keep_ids]
+
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, end = ChunkEncoder(vocabulary, memo_chunks), np.array([end_id], dtype="<u4").tobytes()
+        encoder = shared_encoder(vocabulary, memo_chunks)
         for batch in batches:
-            for at in range(0, batch.num_rows, 1000):
-                part = batch.slice(at, 1000)
-                columns: list[list] = [[], [], [], [], [], []]
-                for d, raw in zip(part["doc_id"].to_pylist(), encoder.encode(part["text"].to_pylist()), strict=True):
-                    raw += end
-                    for k, (start, n) in enumerate(cut(len(raw) // 4, capacity)):
-                        own = raw[start * 4 : (start + n) * 4]
-                        for c, v in zip(columns, (d, k, start, n, zlib.crc32(own), own), strict=True):
-                            c.append(v)
-                kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
-                names = ["doc_id", "piece", "start", "length", "ids_crc32", "ids"]
-                yield pa.record_batch([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)][: 5 + keep_ids], names=names[: 5 + keep_ids])
+            for first, stop in encoder.runs(batch["text"]):
+                flat, at = encoder.encode_run(batch["text"].slice(first, stop - first), end_id)
+                of, piece, start, length = cuts(np.diff(at), capacity)
+                raw, begin = memoryview(flat).cast("B"), ((at[:-1][of] + start) * 4).tolist()
+                own = [raw[x : x + n] for x, n in zip(begin, (length * 4).tolist(), strict=True)]
+                columns = [batch["doc_id"].slice(first, stop - first).take(pa.array(of)), pa.array(piece, pa.int32()), pa.array(start), pa.array(length), pa.array([zlib.crc32(x) for x in own], pa.int64())]
+                yield pa.record_batch(columns + ([pa.array([bytes(x) for x in own], pa.binary())] if keep_ids else []), names=names)
 
     return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(tidy(each), schema)
 
