@@ -11,6 +11,7 @@ from __future__ import annotations
 import re
 from collections import Counter, defaultdict
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -22,8 +23,10 @@ from .common import remainder, tidy
 
 PER_LANGUAGE = 4_000
 LONGEST_GRAM = 5
-MAX_LANGUAGES = 500
-MEMO_WORDS = 100_000
+#: More values than this are no languages (an error); places of languages are held in 16 bits.
+MAX_LANGUAGES = 30_000
+#: Words remembered with their logs, new words scored at once, and texts taken at once.
+MEMO_WORDS, FRESH_WORDS, BATCH_TEXTS = 200_000, 50_000, 1_000
 SMOOTHING = 0.1
 UNDETERMINED = "und"
 
@@ -46,9 +49,28 @@ def grams_of(word: str, n: int) -> list[str]:
     return [marked[i : i + n] for i in range(len(marked) - n + 1)] if n > 1 else list(word)
 
 
-def key_of(gram: str) -> int:
-    """Hash of a word or n-gram as Spark's xxhash64 gives it, unsigned."""
-    return xxhash.xxh64_intdigest(gram.encode(), 42)
+def key_of(word: str) -> int:
+    """Hash of a word, unsigned."""
+    return xxhash.xxh64_intdigest(word.encode(), 42)
+
+
+def word_keys(words: list[str]) -> np.ndarray:
+    return np.fromiter(map(key_of, words), dtype=np.uint64, count=len(words))
+
+
+def gram_keys(words: list[str], n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all n-grams of some words (see ``grams_of``), and the word that each is from."""
+    marked = "".join([f"␂{w}␃" for w in words]) if n > 1 else "".join(words)
+    points = np.frombuffer(marked.encode("utf-32-le", "surrogatepass"), dtype="<u4").astype(np.uint64)
+    sizes = np.fromiter(map(len, words), dtype=np.int64, count=len(words)) + 2 * (n > 1)
+    owner = np.repeat(np.arange(len(words)), sizes)
+    m = max(0, len(points) - n + 1)
+    keys = np.zeros(m, dtype=np.uint64)
+    for i in range(n):
+        keys = (keys + points[i : i + m] + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)
+        keys ^= keys >> np.uint64(29)
+    whole = owner[:m] == owner[n - 1 :]
+    return keys[whole], owner[:m][whole]
 
 
 class LanguageModel:
@@ -67,68 +89,86 @@ class LanguageModel:
             totals = np.log(np.bincount(at, weights=seen, minlength=len(names)) + SMOOTHING * max(1, len(distinct)))
             logs = (np.log(seen + SMOOTHING) - totals[at]).astype(np.float32)
             self._tables.append((distinct, np.append(starts, len(own)), at.astype(np.int16), logs, np.log(SMOOTHING) - totals))
-        self._rows: dict[str, int] = {}
-        self._matrix = np.zeros((1024, len(names)))
-
-    def _found(self, n: int, grams: list[str]) -> np.ndarray | None:
-        """Mean logs over the known ones of some words or n-grams of a length."""
-        keys, starts, at, logs, nothing = self._tables[n]
-        wanted = np.array([key_of(g) for g in grams], dtype=np.uint64)
-        if not len(keys) or not len(wanted):
-            return None
-        places = np.minimum(keys.searchsorted(wanted), len(keys) - 1)
-        places = places[keys[places] == wanted].tolist()
-        if not places:
-            return None
-        out = nothing * len(places)
-        for i in places:
-            a, b = starts[i], starts[i + 1]
-            out[at[a:b]] += logs[a:b] - nothing[at[a:b]]
-        return out / len(places)
-
-    def _score(self, word: str) -> np.ndarray:
+        self.forget()
+
+    def _found(self, n: int, keys: np.ndarray, owner: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
+        """For each of some words the mean logs over its known words or n-grams of a length, and how many are known."""
+        table, starts, at, logs, nothing = self._tables[n]
+        k = len(self.languages)
+        if not len(table) or not len(keys):
+            return np.zeros((words, k)), np.zeros(words, dtype=np.int64)
+        places = np.minimum(table.searchsorted(keys), len(table) - 1)
+        known = np.flatnonzero(table[places] == keys)
+        places, owner = places[known], owner[known]
+        seen = np.bincount(owner, minlength=words)
+        sizes = starts[places + 1] - starts[places]
+        entry = np.repeat(starts[places] - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())
+        slot = np.repeat(owner, sizes) * k + at[entry]
+        more = np.bincount(slot, weights=logs[entry] - nothing[at[entry]], minlength=words * k).reshape(words, k)
+        return more / np.maximum(seen, 1)[:, None] + nothing, seen
+
+    def _scores(self, words: list[str]) -> np.ndarray:
+        """Rows of logs per language: of the word, or of its known n-grams of the longest length that has any."""
+        out = np.zeros((len(words), len(self.languages)))
+        left = np.arange(len(words))
         for n in (0, *range(LONGEST_GRAM, 0, -1)):
-            if (found := self._found(n, grams_of(word, n) if n else [word])) is not None:
-                return found
-        return np.zeros(len(self.languages))
-
-    def _row(self, word: str) -> int:
-        if len(self._rows) == len(self._matrix):
-            self._matrix = np.concatenate([self._matrix, np.zeros_like(self._matrix)])
-        self._rows[word] = i = len(self._rows)
-        self._matrix[i] = self._score(word)
-        return i
+            if not len(left):
+                break
+            own = [words[i] for i in left.tolist()]
+            keys, owner = gram_keys(own, n) if n else (word_keys(own), np.arange(len(own)))
+            found, seen = self._found(n, keys, owner, len(own))
+            out[left[seen > 0]] = found[seen > 0]
+            left = left[seen == 0]
+        return out
 
     def forget(self) -> None:
-        """Drop the memo of words."""
-        self._rows, self._matrix = {}, np.zeros((1024, len(self.languages)))
-
-    def predict(self, text: str | None) -> tuple[str, float]:
-        """Language and its posterior; undetermined if there is no letter, or nothing was learnt."""
-        words = words_of(text)
-        if not words or not self.languages:
-            return UNDETERMINED, 0.0
+        """Drop the memo of words.  Row 0 is that of no letter at all."""
+        self._rows: dict[str, int] = {}
+        self._matrix = np.zeros((1, len(self.languages)))
+
+    def predict_all(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
+        """Languages of some texts and their posteriors; undetermined if there is no letter, or nothing was learnt."""
+        names, scores = [UNDETERMINED] * len(texts), [0.0] * len(texts)
+        if not self.languages:
+            return names, scores
+        words = [_WORD.findall(t.lower()) if t else [] for t in texts]
         if len(self._rows) > MEMO_WORDS:
             self.forget()
-        get = self._rows.get
-        rows = [self._row(w) if (i := get(w)) is None else i for w in words]
-        total = np.fromiter(words.values(), dtype=np.float64, count=len(rows)) @ self._matrix[rows]
-        best = int(total.argmax())
-        return self.languages[best], float(1 / np.exp(total - total[best]).sum())
+        fresh = [w for w in dict.fromkeys(chain.from_iterable(words)) if w not in self._rows]
+        # numerals that are word characters but not letters
+        letters = [w if w.isalpha() else "".join(filter(str.isalpha, w)) for w in fresh]
+        for i in range(0, len(fresh), FRESH_WORDS):
+            own = [w for w in letters[i : i + FRESH_WORDS] if w]
+            at = iter(range(len(self._matrix), len(self._matrix) + len(own)))
+            self._rows.update((f, next(at) if w else 0) for f, w in zip(fresh[i : i + FRESH_WORDS], letters[i : i + FRESH_WORDS], strict=True))
+            self._matrix = np.concatenate([self._matrix, self._scores(own)])
+        row = self._rows.__getitem__
+        for i, own in enumerate(words):
+            rows = np.fromiter(map(row, own), dtype=np.int64, count=len(own))
+            if rows.any():
+                total = np.zeros(len(self.languages))
+                for at in range(0, len(rows), 10_000):
+                    total += self._matrix[rows[at : at + 10_000]].sum(axis=0)
+                best = int(total.argmax())
+                names[i], scores[i] = self.languages[best], float(1 / np.exp(total - total[best]).sum())
+        return names, scores
+
+    def predict(self, text: str | None) -> tuple[str, float]:
+        (name,), (score,) = self.predict_all([text])
+        return name, score
 
 
 def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    names = ["lang", "length", "gram", "n"]
+    names = ["lang", "length", "key", "n"]
 
     def rows(counts: dict[str, Counter]) -> Iterator[pa.RecordBatch]:
-        for language, words in counts.items():
-            grams: dict[int, Counter] = {n: Counter() for n in range(1, LONGEST_GRAM + 1)}
-            for w, c in words.items():
-                for n, table in grams.items():
-                    for g in grams_of(w, n):
-                        table[g] += c
-            for n, table in {0: words, **grams}.items():
-                yield pa.record_batch([pa.array([language] * len(table)), pa.array([n] * len(table), pa.int32()), pa.array(list(table)), pa.array(list(table.values()), pa.int64())], names=names)
+        for language, table in counts.items():
+            words, times = list(table), np.fromiter(table.values(), dtype=np.int64, count=len(table))
+            for n in range(LONGEST_GRAM + 1):
+                keys, owner = gram_keys(words, n) if n else (word_keys(words), np.arange(len(words)))
+                distinct, which = np.unique(keys, return_inverse=True)
+                seen = np.bincount(which, weights=times[owner], minlength=len(distinct)).astype(np.int64)
+                yield pa.record_batch([pa.array([language] * len(distinct), pa.string()), pa.array(np.full(len(distinct), n, dtype=np.int32)), pa.array(distinct.view(np.int64)), pa.array(seen)], names=names)
 
     held: dict[str, Counter] = defaultdict(Counter)
     for batch in batches:
@@ -141,40 +181,41 @@ def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def train(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> LanguageModel:
-    """Model of the rows (doc_id, text, lang) whose lang isn't null.  More than ``MAX_LANGUAGES`` languages is an error."""
+    """Model of the rows (doc_id, text, lang) whose lang isn't null."""
     labelled = labelled.where("lang IS NOT NULL AND text IS NOT NULL").select("doc_id", "text", "lang")
-    sizes = labelled.groupBy("lang").count().limit(MAX_LANGUAGES + 1).collect()
-    if len(sizes) > MAX_LANGUAGES:
-        raise ValueError(f"more than {MAX_LANGUAGES} languages")
-    chosen = F.lit(False)
-    for r in sizes:
-        share = min(1_000_000, -(-per_language * 1_000_000 // r["count"]))
-        chosen = chosen | ((F.col("lang") == r["lang"]) & (F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share))
-    counts = labelled.where(chosen).select("text", "lang").mapInArrow(tidy(_counts), "lang string, length int, gram string, n long")
-    names = sorted(r["lang"] for r in sizes)
-    kept = counts.groupBy("lang", "length", "gram").agg(F.sum("n").alias("n")).where("n > 1 OR length > 0")
-    place = F.array_position(F.array(*map(F.lit, names)), F.col("lang")) - 1 if names else F.lit(0)
-    kept = kept.select(place.cast("int").alias("lang"), "length", F.xxhash64("gram").alias("key"), "n").toArrow()
-    columns = {c: kept[c].to_numpy() for c in kept.column_names}
-    told, at = np.unique(columns["lang"].astype(np.int64), return_inverse=True)  # a language without letters is none
-    return LanguageModel(at, [names[i] for i in told], columns["length"], columns["key"].astype(np.int64).view(np.uint64), columns["n"])
-
-
-
-def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
-    """``docs`` with lang_pred and score; reads nothing but the column text for it.  Null texts are undetermined.  A column
-    of either name that is already there is replaced."""
-    docs = docs.drop("lang_pred", "score")
+    sizes = labelled.groupBy("lang").count()
+    names = sorted(r["lang"] for r in sizes.select("lang").limit(MAX_LANGUAGES + 1).collect())
+    if len(names) > MAX_LANGUAGES:
+        raise ValueError(f"more than {MAX_LANGUAGES} values of lang: no column of languages")
+    shares = sizes.select("lang", F.ceil(F.lit(per_language * 1_000_000) / F.col("count")).alias("share"))
+    # one row a language, of which there are at most MAX_LANGUAGES
+    chosen = labelled.join(F.broadcast(shares), "lang").where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < F.col("share"))
+    counts = chosen.select("text", "lang").mapInArrow(tidy(_counts), "lang string, length int, key long, n long")
+    kept = counts.groupBy("lang", "length", "key").agg(F.sum("n").alias("n")).toArrow()
+    place = {x: i for i, x in enumerate(names)}
+    coded = kept["lang"].combine_chunks().dictionary_encode()
+    of = np.array([place[x] for x in coded.dictionary.to_pylist()], dtype=np.int64)[coded.indices.to_numpy()] if len(kept) else np.zeros(0, dtype=np.int64)
+    told, at = np.unique(of, return_inverse=True)  # a language without letters is none
+    return LanguageModel(at, [names[i] for i in told], kept["length"].to_numpy(), kept["key"].to_numpy().astype(np.int64).view(np.uint64), kept["n"].to_numpy())
+
+
+def identify(docs: DataFrame, model: LanguageModel, pred: str = "lang_pred", score: str = "score") -> DataFrame:
+    """``docs`` with the language (column ``pred``) and its posterior (``score``); reads nothing but the column text for it.  Null
+    texts are undetermined.  A column of either name that is already there is replaced; name others to keep it."""
+    docs = docs.drop(pred, score)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
-    schema = ", ".join([*(f"`{n}` {k}" for n, k in kinds.items()), "lang_pred string, score double"])
+    schema = ", ".join([*(f"`{n}` {k}" for n, k in kinds.items()), f"`{pred}` string, `{score}` double"])
 
     def predicted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = shared.value
         for batch in batches:
-            found = [shared.value.predict(t.as_py()) for t in batch["text"]]
-            yield pa.record_batch([*batch.columns, pa.array([x for x, _ in found], pa.string()), pa.array([x for _, x in found], pa.float64())], names=[*batch.schema.names, "lang_pred", "score"])
-        shared.value.forget()
+            for at in range(0, batch.num_rows, BATCH_TEXTS):
+                part = batch.slice(at, BATCH_TEXTS)
+                names, scores = own.predict_all(part["text"].to_pylist())
+                yield pa.record_batch([*part.columns, pa.array(names, pa.string()), pa.array(scores, pa.float64())], names=[*batch.schema.names, pred, score])
+        own.forget()
 
     return docs.mapInArrow(tidy(predicted), schema)
 

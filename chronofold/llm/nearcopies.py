@@ -20,12 +20,12 @@ from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import part_of, spool, spread_join, tidy
 from .components import component_roots
-from .simhash import _signed, covering_masks, simhash
+from .simhash import _signed, covering_masks, majority, shingle_hashes
 
 SHINGLE, SIMILARITY = 5, 0.8
 PASSAGES, PASSAGE_CUT = 8, 8
@@ -41,18 +41,15 @@ def describe(text: str | None) -> dict:
 
     words = (text or "").encode().lower().split()
     joined = b" ".join(words)
-    out = {"digest": xxhash.xxh128_digest(joined), "fingerprint": int.from_bytes(simhash(text, SHINGLE), "big", signed=True)}
-    if len(words) >= SHINGLE:
-        shingles = map(b" ".join, zip(*(words[i:] for i in range(SHINGLE))))
-    else:
-        shingles = [joined]
-    h = np.unique(np.fromiter(map(xxhash.xxh64_intdigest, shingles, repeat(1)), dtype=np.uint64))
-    hashes = np.fromiter(map(xxhash.xxh32_intdigest, words, repeat(3)), dtype=np.uint32)
-    stops = np.append(np.flatnonzero(hashes % PASSAGE_CUT == 0) + 1, len(words))
-    passages = {xxhash.xxh64_intdigest(b" ".join(words[a:b]), 5) for a, b in zip([0, *stops.tolist()], stops.tolist()) if b > a}
-    out |= {"shingles": len(h), "passages": [_signed(x) for x in sorted(passages)[:PASSAGES]]}
-    out["hashes"] = h.astype("<u8").tobytes()
-    return out
+    own = shingle_hashes(words, SHINGLE, 42)
+    h = np.unique(own)
+    hashes = np.fromiter(map(xxhash.xxh32_intdigest, words, repeat(3)), dtype=np.uint32, count=len(words))
+    stops = [*(np.flatnonzero(hashes % PASSAGE_CUT == 0) + 1).tolist(), len(words)]
+    passages = {xxhash.xxh64_intdigest(b" ".join(words[a:b]), 5) for a, b in zip([0, *stops], stops) if b > a}
+    return {
+        "digest": xxhash.xxh128_digest(joined), "fingerprint": int.from_bytes(majority(own), "big", signed=True) if words else 0,
+        "shingles": len(h), "passages": [_signed(x) for x in sorted(passages)[:PASSAGES]], "hashes": h.astype("<u8").tobytes(),
+    }
 
 
 _DESCRIBED = "doc_id long, digest binary, fingerprint long, shingles int, passages array<long>, hashes binary"
@@ -131,9 +128,10 @@ def frequent(told: DataFrame) -> np.ndarray:
     return counts.orderBy(F.desc("count"), "k").limit(ORDER_SHINGLES).select("k").toArrow()["k"].to_numpy()[::-1].astype(np.int64)
 
 
-def keys_of(hashes: bytes, last: np.ndarray, rank: np.ndarray) -> tuple[np.ndarray, bytes]:
-    """The first shingles in the order, of which similar sets share one, and the parities of how many hashes fall on each bit.
-    ``last``: the frequent shingles' hashes, ascending, with their ranks from 1."""
+def keys_of(hashes: bytes, last: np.ndarray, rank: np.ndarray) -> tuple[np.ndarray, int, bytes]:
+    """The first shingles in the order, of which similar sets share one, how many of them aren't frequent (those come first),
+    and the parities of how many hashes fall on each bit.  ``last``: the frequent shingles' hashes, ascending, with their
+    ranks from 1."""
     h = np.frombuffer(hashes, dtype="<i8")
     first = len(h) - (4 * len(h) + 4) // 5 + 1
     ranks = np.zeros(len(h), dtype=np.int64)
@@ -141,20 +139,42 @@ def keys_of(hashes: bytes, last: np.ndarray, rank: np.ndarray) -> tuple[np.ndarr
         at = np.minimum(np.searchsorted(last, h), len(last) - 1)
         ranks = np.where(last[at] == h, rank[at], 0)
     parity = np.bincount(h.view(np.uint64) >> np.uint64(64 - PARITY_BITS), minlength=1 << PARITY_BITS) & 1
-    return h[np.lexsort((h, ranks))[:first]], np.packbits(parity.astype(np.uint8)).tobytes()
-
-
-def _near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From rows sorted by (k, b1, b2): pairs of rows of one group that no bound rejects."""
+    order = np.lexsort((h, ranks))[:first]
+    return h[order], int((ranks[order] == 0).sum()), np.packbits(parity.astype(np.uint8)).tobytes()
+
+
+def forest(low: np.ndarray, high: np.ndarray) -> np.ndarray:
+    """Which of some edges to keep so that they still connect what all do: fewer than there are nodes, times a logarithm."""
+    nodes, flat = np.unique(np.concatenate([low, high]), return_inverse=True)
+    a, b = flat[: len(low)], flat[len(low) :]
+    label, keep = np.arange(len(nodes)), np.zeros(len(low), dtype=bool)
+    while True:
+        x, y = label[a], label[b]
+        apart = np.flatnonzero(x != y)
+        if not len(apart):
+            return keep
+        less, more = np.minimum(x, y)[apart], np.maximum(x, y)[apart]
+        order = np.lexsort((less, more))
+        first = order[np.concatenate([[True], np.diff(more[order]) != 0])]  # of each larger label, the edge to its least one
+        keep[apart[first]] = True
+        up = np.arange(len(nodes))
+        up[more[first]] = less[first]
+        while (up[up] != up).any():
+            up = up[up]
+        label = up[label]
+
+
+def _near(sparse: bool):
+    """From rows sorted by (k, b1, b2): pairs of rows of one group that no bound rejects; with ``sparse`` only as many of them as
+    connect the same roots."""
     names = ("k", "b1", "b2", "block", "node", "root", "size", "place")
-    held: dict[str, np.ndarray] = {}
 
     def pairs(x: dict[str, np.ndarray]) -> pa.RecordBatch:
         n = len(x["k"])
         fresh = np.ones(n, dtype=bool)
         fresh[1:] = (np.diff(x["k"]) != 0) | (np.diff(x["b1"]) != 0) | (np.diff(x["b2"]) != 0)
         group = np.cumsum(fresh)
-        found = []
+        found = [np.zeros((0, 2), dtype=np.int64)]
         for d in range(1, n):
             i = np.flatnonzero(group[d:] == group[:-d])
             if not len(i):
@@ -168,30 +188,43 @@ def _near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             ok = (5 * np.minimum(x["size"][i], x["size"][j]) >= 4 * np.maximum(x["size"][i], x["size"][j])) & (left >= need)
             i, j, most = i[ok], j[ok], (both - 2 * need)[ok]
             ok = np.bitwise_count(x["parity"][i] ^ x["parity"][j]).sum(axis=1, dtype=np.int64) <= most
-            found.append(np.stack([np.minimum(x["node"][i[ok]], x["node"][j[ok]]), np.maximum(x["node"][i[ok]], x["node"][j[ok]])], axis=1))
-        out = np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), dtype=np.int64)
+            found.append(np.stack([i[ok], j[ok]], axis=1))
+        i, j = np.concatenate(found).T
+        if sparse and len(i):
+            _, label = np.unique(np.stack([group, x["root"]]), axis=1, return_inverse=True)
+            label = label.ravel()
+            kept = forest(label[i], label[j])
+            i, j = i[kept], j[kept]
+        out = np.unique(np.stack([np.minimum(x["node"][i], x["node"][j]), np.maximum(x["node"][i], x["node"][j])], axis=1), axis=0)
         return pa.record_batch([pa.array(out[:, 0]), pa.array(out[:, 1])], names=["low", "high"])
 
-    for batch in batches:
-        x = {c: batch[c].to_numpy(zero_copy_only=False).astype(np.int64) for c in names}
-        x["parity"] = np.frombuffer(b"".join(batch["parity"].to_pylist()), dtype=np.uint64).reshape(batch.num_rows, -1)
-        if not batch.num_rows:
-            continue
-        held = {c: np.concatenate([held[c], x[c]]) for c in x} if held else x
-        same = np.ones(len(held["k"]), dtype=bool)
-        for c in ("k", "b1", "b2"):
-            same &= held[c] == held[c][-1]
-        open_at = len(same) - int(same.sum())  # the last group may go on in the next batch
-        if open_at:
-            yield pairs({c: v[:open_at] for c, v in held.items()})
-            held = {c: v[open_at:] for c, v in held.items()}
-    if held:
-        yield pairs(held)
-
-
-def pairs_apart(told: DataFrame, rooted: DataFrame) -> DataFrame:
-    """Pairs (low, high) of nodes with different roots, among them all whose similarity is ``SIMILARITY`` or more.
-    ``rooted``: (digest, node, root)."""
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[str, np.ndarray] = {}
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            x = {c: batch[c].to_numpy(zero_copy_only=False).astype(np.int64) for c in names}
+            x["parity"] = np.frombuffer(b"".join(batch["parity"].to_pylist()), dtype=np.uint64).reshape(batch.num_rows, -1)
+            held = {c: np.concatenate([held[c], x[c]]) for c in x} if held else x
+            same = np.ones(len(held["k"]), dtype=bool)
+            for c in ("k", "b1", "b2"):
+                same &= held[c] == held[c][-1]
+            open_at = len(same) - int(same.sum())  # the last group may go on in the next batch
+            if open_at:
+                yield pairs({c: v[:open_at] for c, v in held.items()})
+                held = {c: v[open_at:] for c, v in held.items()}
+        if held:
+            yield pairs(held)
+
+    return each
+
+
+def meetings(told: DataFrame, rooted: DataFrame) -> DataFrame:
+    """(k, blocks, node, root, size, place, parity): keys that texts of different roots share, a row for each text that has
+    them.  ``rooted``: (digest, node, root).
+
+    A rare key's rows are in one partition, where counting needs no further shuffle; a frequent one's are counted by part.
+    """
     order = frequent(told)
     by_hash = np.argsort(order)
     shared = told.sparkSession.sparkContext.broadcast((order[by_hash], by_hash + 1))
@@ -201,19 +234,30 @@ def pairs_apart(told: DataFrame, rooted: DataFrame) -> DataFrame:
             for at in range(0, batch.num_rows, 1000):
                 part = batch.slice(at, 1000)
                 found = [keys_of(h.as_py(), *shared.value) for h in part["hashes"]]
-                yield pa.record_batch([part["digest"], part["doc_id"], part["shingles"], pa.array([k for k, _ in found], pa.list_(pa.int64())), pa.array([p for _, p in found], pa.binary())], names=["digest", "node", "size", "keys", "parity"])
-
-    keyed = told.select("digest", "doc_id", "shingles", "hashes").mapInArrow(tidy(each), "digest binary, node long, size int, keys array<long>, parity binary")
-    keyed = spool(keyed.join(rooted, ["digest", "node"]))
-    dealt = keyed.select("node", "root", "size", F.posexplode("keys").alias("place", "k"))
-    parts = dealt.groupBy("k", part_of("node").alias("part")).agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("a"), F.max("root").alias("b"))
-    sizes = parts.groupBy("k").agg(F.sum("n").alias("n"), F.min("a").alias("a"), F.max("b").alias("b"), F.collect_list("part").alias("parts")).where("a < b")
-    sizes = sizes.select("k", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"), F.explode("parts").alias("part"))
-    met = dealt.withColumn("part", part_of("node")).join(sizes, ["k", "part"]).drop("part").join(keyed.select("node", "parity"), "node")
+                columns = [pa.array([k[:n] for k, n, _ in found], pa.list_(pa.int64())), pa.array([k[n:] for k, n, _ in found], pa.list_(pa.int64())), pa.array([p for _, _, p in found], pa.binary())]
+                yield pa.record_batch([part["digest"], part["doc_id"], part["shingles"], *columns], names=["digest", "node", "size", "rare", "frequent", "parity"])
+
+    keyed = told.select("digest", "doc_id", "shingles", "hashes").mapInArrow(tidy(each), "digest binary, node long, size int, rare array<long>, frequent array<long>, parity binary")
+    keyed = spool(keyed.join(rooted, ["digest", "node"]).drop("digest"))
+    rare = keyed.select("node", "root", "size", F.posexplode("rare").alias("place", "k"))
+    of_key = Window.partitionBy("k")
+    rare = rare.withColumns({"n": F.count(F.lit(1)).over(of_key), "a": F.min("root").over(of_key), "b": F.max("root").over(of_key)}).where("a < b").drop("a", "b")
+    often = keyed.select("node", "root", "size", part_of("node").alias("part"), F.size("rare").alias("before"), F.posexplode("frequent").alias("place", "k")).withColumn("place", F.col("place") + F.col("before")).drop("before")
+    parts = often.groupBy("k", "part").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("a"), F.max("root").alias("b"))
+    sizes = parts.groupBy("k").agg(F.sum("n").alias("n"), F.min("a").alias("a"), F.max("b").alias("b"), F.collect_list("part").alias("parts")).where("a < b").select("k", "n", F.explode("parts").alias("part"))
+    often = often.join(sizes, ["k", "part"]).drop("part")
+    met = rare.unionByName(often).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).drop("n")
+    return spool(met.join(keyed.select("node", "parity"), "node"))
+
+
+def pairs_apart(met: DataFrame, sparse: bool) -> DataFrame:
+    """Pairs (low, high) of nodes with different roots that share a key of ``meetings``, among them all whose similarity is
+    ``SIMILARITY`` or more (with ``sparse`` enough of the likely ones to connect the same roots).  A large key's rows are dealt
+    block against block."""
     met = met.withColumn("block", F.pmod(F.xxhash64("node", F.lit(13)), F.col("blocks")).cast("int"))
     met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     met = met.select("k", F.least("block", "other").alias("b1"), F.greatest("block", "other").alias("b2"), "block", "node", "root", "size", "place", "parity")
-    return spool(met.repartition("k", "b1", "b2").sortWithinPartitions("k", "b1", "b2").mapInArrow(tidy(_near), "low long, high long").distinct())
+    return spool(met.repartition("k", "b1", "b2").sortWithinPartitions("k", "b1", "b2").mapInArrow(tidy(_near(sparse)), "low long, high long").distinct())
 
 
 def near_copy_roots(docs: DataFrame) -> DataFrame:
@@ -222,10 +266,15 @@ def near_copy_roots(docs: DataFrame) -> DataFrame:
     light = told.select("doc_id", "digest", "fingerprint", "shingles", "passages")
     nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("digest", "x.*"))
 
-    pairs = first_pairs(nodes)
-    joined = spool(component_roots(_alike(pairs, told), "low", "high"))
+    links = _alike(first_pairs(nodes), told)
+    joined = spool(component_roots(links, "low", "high"))
     rooted = spool(nodes.join(joined, "node", "left").select("digest", "node", F.coalesce("root", "node").alias("root")))
-    links = _alike(pairs_apart(told, rooted), told).unionByName(joined.select(F.col("root").alias("low"), F.col("node").alias("high")))
+    met = meetings(told, rooted)
+    # first the pairs that would connect the most with the fewest checks, then all that are still apart
+    few = spool(_alike(pairs_apart(met, True), told).unionByName(joined.select(F.col("root").alias("low"), F.col("node").alias("high"))))
+    moved = spool(component_roots(few, "low", "high"))
+    met = met.join(moved.toDF("node", "_to"), "node", "left").withColumn("root", F.coalesce("_to", "root")).drop("_to")
+    links = _alike(pairs_apart(met, False), told).unionByName(moved.select(F.col("root").alias("low"), F.col("node").alias("high")))
     roots = component_roots(links, "low", "high")
     least = light.groupBy("digest").agg(F.min("doc_id").alias("node"))
     of_digest = least.join(roots, "node", "left").select("digest", F.coalesce("root", "node").alias("root"))

@@ -39,21 +39,26 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def simhash(text: str | None, shingle: int = 3, seed: int = 42) -> bytes:
-    """Fingerprint, most significant byte first; all zero for a text without words."""
+def majority(hashes: np.ndarray) -> bytes:
+    """Bits, the most significant first, that are set in over half of some unsigned 64-bit hashes."""
+    total = np.zeros(BITS, dtype=np.int64)
+    for at in range(0, len(hashes), 100_000):
+        total += np.unpackbits(hashes[at : at + 100_000].astype(">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
+    return np.packbits(total * 2 > len(hashes)).tobytes()
+
+
+def shingle_hashes(words: list[bytes], shingle: int, seed: int) -> np.ndarray:
+    """XXH64 of every shingle, repeats included; of the whole sequence if that is shorter."""
     import xxhash
 
+    shingles = map(b" ".join, zip(*(words[i:] for i in range(shingle)))) if len(words) >= shingle else [b" ".join(words)]
+    return np.fromiter(map(xxhash.xxh64_intdigest, shingles, repeat(seed)), dtype=np.uint64)
+
+
+def simhash(text: str | None, shingle: int = 3, seed: int = 42) -> bytes:
+    """Fingerprint, most significant byte first; all zero for a text without words."""
     words = (text or "").encode().lower().split()  # of bytes: A-Z only, and at ASCII white space only
-    if not words:
-        return bytes(8)
-    total, n = np.zeros(BITS, dtype=np.int64), 0
-    for at in range(0, max(1, len(words) - shingle + 1), 100_000):
-        part = words[at : at + 100_000 + shingle - 1]
-        shingles = map(b" ".join, zip(*(part[i:] for i in range(shingle)))) if len(words) >= shingle else [b" ".join(words)]
-        h = np.fromiter(map(xxhash.xxh64_intdigest, shingles, repeat(seed)), dtype=np.uint64)
-        total += np.unpackbits(h.astype(">u8").view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
-        n += len(h)
-    return np.packbits(total * 2 > n).tobytes()
+    return majority(shingle_hashes(words, shingle, seed)) if words else bytes(8)
 
 
 def fingerprints(docs: DataFrame, shingle: int = 3, seed: int = 42, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
