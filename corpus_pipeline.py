@@ -18,15 +18,20 @@ LEAST_POSTERIOR = 0.5
 ENCODER_MEMO = 400_000
 #: A document stays if its rate rounds to one.
 LEAST_RATE = 0.5
+#: Weight of the rates' distance from one: more than on its own, so that clean documents are left alone.
+RIDGE = 0.01
 
 
 def tell_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose language can be told, learnt from the labelled ones; without any label, all stay."""
+    """Documents whose language can be told, learnt from the labelled ones; without any label, all stay.  Columns of any name are
+    kept as they are."""
     model = language.train(docs)
     if not model.languages:
         return docs
-    found = language.identify(docs, model)
-    return found.where((F.col("lang_pred") != language.UNDETERMINED) & (F.col("score") >= LEAST_POSTERIOR)).select(*docs.columns)
+    names = set(docs.columns)
+    pred, score = (next(n for n in (f"{x}{'_' * i}" for i in range(len(names) + 1)) if n not in names) for x in ("lang_pred", "score"))
+    found = language.identify(docs, model, pred, score)
+    return found.where((F.col(pred) != language.UNDETERMINED) & (F.col(score) >= LEAST_POSTERIOR)).select(*docs.columns)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -43,7 +48,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose rate is near one when the domain toxic is to have no tokens and the others all of theirs."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     found = spool(mixing.posteriors(docs, mixing.train(docs, labels)))
-    rates = mixing.mixed(found, mixing.solve(found, None, most=1.0))
+    rates = mixing.mixed(found, mixing.solve(found, None, most=1.0, ridge=RIDGE))
     gone = spool(rates.where(F.col("rate") < LEAST_RATE).select("doc_id").distinct())
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
