@@ -7,6 +7,7 @@ import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -29,15 +30,54 @@ def work_folder(spark: SparkSession) -> str:
     return f"{top}/chronofold-{uuid.uuid4().hex}"
 
 
+#: Folders written within each open ``temporary`` block.
+_OPEN: list[list[str]] = []
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def spool(df: DataFrame, compression: str = "zstd") -> DataFrame:
     """Write a table to the shared work folder and read it back: later reads neither recompute it nor need the executors
-    that made it."""
+    that made it.  Its shuffle files go when it is written."""
     spark = df.sparkSession
     path = work_folder(spark)
-    df.write.option("compression", compression).parquet(path)
+    if _OPEN:
+        _OPEN[-1].append(path)
+    before = spark.conf.get(_CLEANUP, "false")
+    try:
+        spark.conf.set(_CLEANUP, "true")
+        df.select("*").write.option("compression", compression).parquet(path)
+    finally:
+        spark.conf.set(_CLEANUP, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+@contextmanager
+def temporary(spark: SparkSession) -> Iterator[None]:
+    """Folders that ``spool`` writes within the block are deleted at its end; a result that reads them has to be spooled
+    outside, or by ``finished``."""
+    _OPEN.append([])
+    try:
+        yield
+    finally:
+        for path in _OPEN.pop():
+            delete(spark, path)
+
+
+def finished(df: DataFrame) -> DataFrame:
+    """``df`` spooled as part of what surrounds the present ``temporary`` block."""
+    inner = _OPEN.pop() if _OPEN else None
+    try:
+        return spool(df)
+    finally:
+        if inner is not None:
+            _OPEN.append(inner)
+
+
 #: Parts that the rows of one key are dealt to before a join; a key that few rows have is in as few parts.
 PARTS = 256
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import spool, spread_join
+from .common import finished, spool, spread_join, temporary
 
 
 def _state(edges: DataFrame) -> tuple[int, int]:
@@ -21,17 +21,18 @@ def component_roots(edges: DataFrame, low: str, high: str) -> DataFrame:
     the minima are pre-aggregated, a hub's edges are dealt over many tasks, and each step's edges go to the shared folder, so
     neither a hub nor a long chain needs more than one task's share.
     """
-    edges = edges.select(F.least(low, high).alias("low"), F.greatest(low, high).alias("high")).where("low < high").distinct()
-    edges = spool(edges)
-    state = _state(edges)
-    while state[0]:
-        both = edges.select(F.col("low").alias("u"), F.col("high").alias("v")).unionByName(edges.select(F.col("high").alias("u"), F.col("low").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = spool(spread_join(both.where("v > u"), least, ["u"], "v").select(F.col("m").alias("low"), F.col("v").alias("high")).distinct())
-        parent = large.groupBy("high").agg(F.min("low").alias("m"))
-        handed = spread_join(large, parent, ["high"], "low").select(F.explode(F.array(F.struct(F.col("m").alias("low"), F.col("low").alias("high")), F.struct(F.col("m").alias("low"), F.col("high").alias("high")))).alias("e"))
-        edges = spool(handed.select("e.low", "e.high").where("low < high").distinct())
-        before, state = state, _state(edges)
-        if state == before:
-            break
-    return edges.select(F.col("high").alias("node"), F.col("low").alias("root"))
+    with temporary(edges.sparkSession):
+        edges = edges.select(F.least(low, high).alias("low"), F.greatest(low, high).alias("high")).where("low < high").distinct()
+        edges = spool(edges)
+        state = _state(edges)
+        while state[0]:
+            both = edges.select(F.col("low").alias("u"), F.col("high").alias("v")).unionByName(edges.select(F.col("high").alias("u"), F.col("low").alias("v")))
+            least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+            large = spool(spread_join(both.where("v > u"), least, ["u"], "v").select(F.col("m").alias("low"), F.col("v").alias("high")).distinct())
+            parent = large.groupBy("high").agg(F.min("low").alias("m"))
+            handed = spread_join(large, parent, ["high"], "low").select(F.explode(F.array(F.struct(F.col("m").alias("low"), F.col("low").alias("high")), F.struct(F.col("m").alias("low"), F.col("high").alias("high")))).alias("e"))
+            edges = spool(handed.select("e.low", "e.high").where("low < high").distinct())
+            before, state = state, _state(edges)
+            if state == before:
+                break
+        return finished(edges.select(F.col("high").alias("node"), F.col("low").alias("root")))

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import part_of, spool, spread_join, tidy
+from .common import finished, part_of, spool, spread_join, temporary, tidy
 from .components import component_roots
 from .simhash import _signed, covering_masks, majority, shingle_hashes
 
@@ -31,8 +31,11 @@ SHINGLE, SIMILARITY = 5, 0.8
 PASSAGES, PASSAGE_CUT = 8, 8
 BLOCK = 256
 #: Texts that tell the frequent shingles, in how many of them, and how many shingles; a matter of speed, not of results.
-ORDER_DOCS, ORDER_LEAST, ORDER_SHINGLES = 10_000, 3, 50_000
+ORDER_DOCS, ORDER_LEAST, ORDER_SHINGLES = 2_000, 3, 50_000
 PARITY_BITS = 10  # 2 ** 10 bits
+#: Pairs that a group of rows of one key may leave for each row in the first round; beyond, it leaves a forest and is taken up
+#: again when that is joined.
+EAGER = 4
 
 
 def describe(text: str | None) -> dict:
@@ -52,16 +55,27 @@ def describe(text: str | None) -> dict:
     }
 
 
-_DESCRIBED = "doc_id long, digest binary, fingerprint long, shingles int, passages array<long>, hashes binary"
+def told(docs: DataFrame) -> DataFrame:
+    """(doc_id, digest, fingerprint, shingles, passages, rare, frequent, parity) of every row: what ``describe`` and ``keys_of``
+    say.  The hashes themselves are not kept; ``_alike`` takes them anew from the few texts that it compares."""
+    order = frequent(docs)
+    by_hash = np.argsort(order)
+    shared = docs.sparkSession.sparkContext.broadcast((order[by_hash], by_hash + 1))
+    long = pa.list_(pa.int64())
+    kinds = {"digest": pa.binary(), "fingerprint": pa.int64(), "shingles": pa.int32(), "passages": long, "rare": long, "frequent": long, "parity": pa.binary()}
 
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1000):
+                part = batch.slice(at, 1000)
+                rows = []
+                for text in part["text"]:
+                    r = describe(text.as_py())
+                    keys, n, parity = keys_of(r["hashes"], *shared.value)
+                    rows.append(r | {"rare": keys[:n], "frequent": keys[n:], "parity": parity})
+                yield pa.record_batch([part["doc_id"], *(pa.array([r[n] for r in rows], k) for n, k in kinds.items())], names=["doc_id", *kinds])
 
-def _described(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    kinds = {"digest": pa.binary(), "fingerprint": pa.int64(), "shingles": pa.int32(), "passages": pa.list_(pa.int64()), "hashes": pa.binary()}
-    for batch in batches:
-        for at in range(0, batch.num_rows, 1000):
-            part = batch.slice(at, 1000)
-            rows = [describe(t.as_py()) for t in part["text"]]
-            yield pa.record_batch([part["doc_id"], *(pa.array([r[n] for r in rows], k) for n, k in kinds.items())], names=["doc_id", *kinds])
+    return docs.mapInArrow(tidy(each), "doc_id long, digest binary, fingerprint long, shingles int, passages array<long>, rare array<long>, frequent array<long>, parity binary")
 
 
 def _worth(a: str, b: str) -> Column:
@@ -98,32 +112,65 @@ def similar(a: bytes, b: bytes) -> bool:
     return 5 * common >= 4 * (small + large - common)
 
 
-def _alike(pairs: DataFrame, told: DataFrame) -> DataFrame:
-    """The pairs (low, high) whose shingle sets are similar."""
-    wanted = pairs.select(F.col("low").alias("node")).unionByName(pairs.select(F.col("high").alias("node"))).distinct()
-    sets = spool(told.select(F.col("doc_id").alias("node"), "digest", "hashes").join(wanted, "node", "left_semi").dropDuplicates(["node", "digest"]).select("node", "hashes"), "none")
-    both = spread_join(pairs, sets.toDF("low", "hashes_low"), ["low"], "high")
-    both = spread_join(both, sets.toDF("high", "hashes_high"), ["high"], "low").select("low", "high", "hashes_low", "hashes_high")
+def parity_of(hashes: np.ndarray, bits: int) -> np.ndarray:
+    """Whether an odd number of hashes fall on each of 2^``bits`` places: sets that differ in d hashes differ in d places at most."""
+    return np.packbits((np.bincount(hashes >> np.uint64(64 - bits), minlength=1 << bits) & 1).astype(np.uint8))
+
+
+def _odd_places(a: bytes, b: bytes) -> int:
+    """Places in which two parities differ, the longer folded to the length of the shorter."""
+    x, y = (np.unpackbits(np.frombuffer(v, dtype=np.uint8)) for v in sorted((a, b), key=len))
+    return int((x ^ (y.reshape(len(x), -1).sum(axis=1) & 1)).sum())
+
+
+def _alike(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """The pairs (low, high) whose texts' shingle sets are similar.  Parities of about four places a shingle tell most that can't
+    be, before the sets themselves meet."""
+
+    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 200):
+                part = batch.slice(at, 200)
+                sets = [np.frombuffer(describe(t.as_py())["hashes"], dtype="<u8") for t in part["text"]]
+                parities = [parity_of(h, max(PARITY_BITS, int(4 * len(h) - 1).bit_length())).tobytes() for h in sets]
+                yield pa.record_batch([part["doc_id"], pa.array([len(h) for h in sets], pa.int64()), pa.array(parities, pa.binary()), pa.array([h.tobytes() for h in sets], pa.binary())], names=["node", "n", "parity", "hashes"])
+
+    def possible(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            columns = zip(*(batch[c].to_pylist() for c in ("n_low", "n_high")), batch["parity_low"], batch["parity_high"], strict=True)
+            keep = [5 * min(n, m) >= 4 * max(n, m) and _odd_places(a.as_py(), b.as_py()) <= n + m - 2 * ((4 * (n + m) + 8) // 9) for n, m, a, b in columns]
+            yield batch.select(["low", "high"]).filter(pa.array(keep, pa.bool_()))
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keep = pa.array([similar(a.as_py(), b.as_py()) for a, b in zip(batch["hashes_low"], batch["hashes_high"], strict=True)], pa.bool_())
             yield batch.select(["low", "high"]).filter(keep)
 
-    return both.mapInArrow(tidy(each), "low long, high long")
+    def both(pairs: DataFrame, *columns: str) -> DataFrame:
+        for side, other in (("low", "high"), ("high", "low")):
+            pairs = spread_join(pairs, sets.select(F.col("node").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in columns)), [side], other)
+        return pairs
+
+    with temporary(docs.sparkSession):
+        wanted = pairs.select(F.explode(F.array("low", "high")).alias("doc_id")).distinct()
+        sets = docs.join(wanted, "doc_id", "left_semi").mapInArrow(tidy(hashed), "node long, n long, parity binary, hashes binary")
+        sets = spool(sets.dropDuplicates(["node", "hashes"]), "none")
+        likely = spool(both(pairs, "n", "parity").mapInArrow(tidy(possible), "low long, high long").distinct())
+        return finished(both(likely, "hashes").mapInArrow(tidy(each), "low long, high long").distinct())
 
 
-def frequent(told: DataFrame) -> np.ndarray:
+def frequent(docs: DataFrame) -> np.ndarray:
     """Hashes of shingles that many texts of a sample have, the most frequent last.  They are the last in the order of shingles
     (before them come all others by hash), as keys that few texts share cost the least."""
 
     def flat(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                yield pa.record_batch([pa.array(np.frombuffer(b"".join(batch["hashes"].slice(at, 500).to_pylist()), dtype="<i8"))], names=["k"])
+            for at in range(0, batch.num_rows, 200):
+                own = b"".join(describe(t.as_py())["hashes"] for t in batch["text"].slice(at, 200))
+                yield pa.record_batch([pa.array(np.frombuffer(own, dtype="<i8"))], names=["k"])
 
-    share = min(1_000_000, -(-ORDER_DOCS * 1_000_000 // max(1, told.count())))
-    sample = told.where(F.pmod(F.xxhash64("digest"), F.lit(1_000_000)) < share).select("hashes")
+    share = min(1_000_000, -(-ORDER_DOCS * 1_000_000 // max(1, docs.count())))
+    sample = docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share).select("text")
     counts = sample.mapInArrow(tidy(flat), "k long").groupBy("k").count().where(F.col("count") >= ORDER_LEAST)
     return counts.orderBy(F.desc("count"), "k").limit(ORDER_SHINGLES).select("k").toArrow()["k"].to_numpy()[::-1].astype(np.int64)
 
@@ -138,9 +185,8 @@ def keys_of(hashes: bytes, last: np.ndarray, rank: np.ndarray) -> tuple[np.ndarr
     if len(last):
         at = np.minimum(np.searchsorted(last, h), len(last) - 1)
         ranks = np.where(last[at] == h, rank[at], 0)
-    parity = np.bincount(h.view(np.uint64) >> np.uint64(64 - PARITY_BITS), minlength=1 << PARITY_BITS) & 1
     order = np.lexsort((h, ranks))[:first]
-    return h[order], int((ranks[order] == 0).sum()), np.packbits(parity.astype(np.uint8)).tobytes()
+    return h[order], int((ranks[order] == 0).sum()), parity_of(h.view(np.uint64), PARITY_BITS).tobytes()
 
 
 def forest(low: np.ndarray, high: np.ndarray) -> np.ndarray:
@@ -164,9 +210,9 @@ def forest(low: np.ndarray, high: np.ndarray) -> np.ndarray:
         label = up[label]
 
 
-def _near(sparse: bool):
-    """From rows sorted by (k, b1, b2): pairs of rows of one group that no bound rejects; with ``sparse`` only as many of them as
-    connect the same roots."""
+def _near(eager: int | None):
+    """From rows sorted by (k, b1, b2): pairs (low, high) of rows of one group that no bound rejects.  With ``eager`` a group that
+    has more such pairs than that for each row leaves only as many as connect the same roots, and a row (k) that says so."""
     names = ("k", "b1", "b2", "block", "node", "root", "size", "place")
 
     def pairs(x: dict[str, np.ndarray]) -> pa.RecordBatch:
@@ -190,13 +236,20 @@ def _near(sparse: bool):
             ok = np.bitwise_count(x["parity"][i] ^ x["parity"][j]).sum(axis=1, dtype=np.int64) <= most
             found.append(np.stack([i[ok], j[ok]], axis=1))
         i, j = np.concatenate(found).T
-        if sparse and len(i):
-            _, label = np.unique(np.stack([group, x["root"]]), axis=1, return_inverse=True)
-            label = label.ravel()
-            kept = forest(label[i], label[j])
-            i, j = i[kept], j[kept]
+        again = x["k"][:0]
+        if eager is not None and len(i):
+            rows, made = np.bincount(group), np.bincount(group[i], minlength=group[-1] + 1)
+            many = made > eager * rows
+            if many.any():
+                _, label = np.unique(np.stack([group, x["root"]]), axis=1, return_inverse=True)
+                label, hard = label.ravel(), np.flatnonzero(many[group[i]])
+                kept = np.ones(len(i), dtype=bool)
+                kept[hard] = forest(label[i[hard]], label[j[hard]])
+                again = np.unique(x["k"][i[hard]])
+                i, j = i[kept], j[kept]
         out = np.unique(np.stack([np.minimum(x["node"][i], x["node"][j]), np.maximum(x["node"][i], x["node"][j])], axis=1), axis=0)
-        return pa.record_batch([pa.array(out[:, 0]), pa.array(out[:, 1])], names=["low", "high"])
+        none = [pa.nulls(len(again), pa.int64()), pa.nulls(len(out), pa.int64())]
+        return pa.record_batch([pa.concat_arrays([pa.array(out[:, c]), none[0]]) for c in (0, 1)] + [pa.concat_arrays([none[1], pa.array(again)])], names=["low", "high", "k"])
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, np.ndarray] = {}
@@ -219,26 +272,16 @@ def _near(sparse: bool):
     return each
 
 
-def meetings(told: DataFrame, rooted: DataFrame) -> DataFrame:
+def meetings(all_rows: DataFrame, rooted: DataFrame) -> DataFrame:
     """(k, blocks, node, root, size, place, parity): keys that texts of different roots share, a row for each text that has
     them.  ``rooted``: (digest, node, root).
 
     A rare key's rows are in one partition, where counting needs no further shuffle; a frequent one's are counted by part.
     """
-    order = frequent(told)
-    by_hash = np.argsort(order)
-    shared = told.sparkSession.sparkContext.broadcast((order[by_hash], by_hash + 1))
-
-    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for at in range(0, batch.num_rows, 1000):
-                part = batch.slice(at, 1000)
-                found = [keys_of(h.as_py(), *shared.value) for h in part["hashes"]]
-                columns = [pa.array([k[:n] for k, n, _ in found], pa.list_(pa.int64())), pa.array([k[n:] for k, n, _ in found], pa.list_(pa.int64())), pa.array([p for _, _, p in found], pa.binary())]
-                yield pa.record_batch([part["digest"], part["doc_id"], part["shingles"], *columns], names=["digest", "node", "size", "rare", "frequent", "parity"])
-
-    keyed = told.select("digest", "doc_id", "shingles", "hashes").mapInArrow(tidy(each), "digest binary, node long, size int, rare array<long>, frequent array<long>, parity binary")
-    keyed = spool(keyed.join(rooted, ["digest", "node"]).drop("digest"))
+    keyed = all_rows.select("digest", F.col("doc_id").alias("node"), F.col("shingles").alias("size"), "rare", "frequent", "parity").join(rooted, ["digest", "node"])
+    if not all_rows.groupBy("doc_id").count().where("count > 1").isEmpty():  # a shuffle of all keys that tables of unique ids needn't pay
+        keyed = keyed.dropDuplicates(["digest", "node"])
+    keyed = spool(keyed.drop("digest"))
     rare = keyed.select("node", "root", "size", F.posexplode("rare").alias("place", "k"))
     of_key = Window.partitionBy("k")
     rare = rare.withColumns({"n": F.count(F.lit(1)).over(of_key), "a": F.min("root").over(of_key), "b": F.max("root").over(of_key)}).where("a < b").drop("a", "b")
@@ -246,46 +289,51 @@ def meetings(told: DataFrame, rooted: DataFrame) -> DataFrame:
     parts = often.groupBy("k", "part").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("a"), F.max("root").alias("b"))
     sizes = parts.groupBy("k").agg(F.sum("n").alias("n"), F.min("a").alias("a"), F.max("b").alias("b"), F.collect_list("part").alias("parts")).where("a < b").select("k", "n", F.explode("parts").alias("part"))
     often = often.join(sizes, ["k", "part"]).drop("part")
-    met = rare.unionByName(often).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).drop("n")
-    return spool(met.join(keyed.select("node", "parity"), "node"))
+    met = spool(rare.unionByName(often).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).drop("n"))
+    return met.join(keyed.select("node", "parity"), "node")
 
 
-def pairs_apart(met: DataFrame, sparse: bool) -> DataFrame:
-    """Pairs (low, high) of nodes with different roots that share a key of ``meetings``, among them all whose similarity is
-    ``SIMILARITY`` or more (with ``sparse`` enough of the likely ones to connect the same roots).  A large key's rows are dealt
-    block against block."""
+def pairs_apart(met: DataFrame, eager: int | None) -> DataFrame:
+    """(low, high, k): pairs of nodes with different roots that share a key of ``meetings``, among them all whose similarity is
+    ``SIMILARITY`` or more, but for the keys k that are named apart (see ``_near``).  A large key's rows are dealt block against
+    block."""
     met = met.withColumn("block", F.pmod(F.xxhash64("node", F.lit(13)), F.col("blocks")).cast("int"))
     met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     met = met.select("k", F.least("block", "other").alias("b1"), F.greatest("block", "other").alias("b2"), "block", "node", "root", "size", "place", "parity")
-    return spool(met.repartition("k", "b1", "b2").sortWithinPartitions("k", "b1", "b2").mapInArrow(tidy(_near(sparse)), "low long, high long").distinct())
+    return spool(met.repartition("k", "b1", "b2").sortWithinPartitions("k", "b1", "b2").mapInArrow(tidy(_near(eager)), "low long, high long, k long").distinct())
 
 
 def near_copy_roots(docs: DataFrame) -> DataFrame:
     """(doc_id, root) of every row whose group's smallest doc_id is another; null ids and their rows have no group."""
-    told = spool(docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(_described), _DESCRIBED))
-    light = told.select("doc_id", "digest", "fingerprint", "shingles", "passages")
-    nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("digest", "x.*"))
-
-    links = _alike(first_pairs(nodes), told)
-    joined = spool(component_roots(links, "low", "high"))
-    rooted = spool(nodes.join(joined, "node", "left").select("digest", "node", F.coalesce("root", "node").alias("root")))
-    met = meetings(told, rooted)
-    # first the pairs that would connect the most with the fewest checks, then all that are still apart
-    few = spool(_alike(pairs_apart(met, True), told).unionByName(joined.select(F.col("root").alias("low"), F.col("node").alias("high"))))
-    moved = spool(component_roots(few, "low", "high"))
-    met = met.join(moved.toDF("node", "_to"), "node", "left").withColumn("root", F.coalesce("_to", "root")).drop("_to")
-    links = _alike(pairs_apart(met, False), told).unionByName(moved.select(F.col("root").alias("low"), F.col("node").alias("high")))
-    roots = component_roots(links, "low", "high")
-    least = light.groupBy("digest").agg(F.min("doc_id").alias("node"))
-    of_digest = least.join(roots, "node", "left").select("digest", F.coalesce("root", "node").alias("root"))
-    return spread_join(light.select("doc_id", "digest"), of_digest, ["digest"], "doc_id").where("root <> doc_id").select("doc_id", "root")
+    with temporary(docs.sparkSession):
+        docs = docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+        rows = spool(told(docs))
+        light = rows.select("doc_id", "digest", "fingerprint", "shingles", "passages")
+        nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("digest", "x.*"))
+
+        roots = component_roots(_alike(first_pairs(nodes), docs), "low", "high")
+        rooted = spool(nodes.join(roots, "node", "left").select("digest", "node", F.coalesce("root", "node").alias("root")))
+        met = meetings(rows, rooted)
+        found = pairs_apart(met, EAGER)
+
+        def joined(pairs: DataFrame) -> DataFrame:
+            return component_roots(_alike(pairs, docs).unionByName(roots.select(F.col("root").alias("low"), F.col("node").alias("high"))), "low", "high")
+
+        roots = joined(found.where("k IS NULL").select("low", "high"))
+        again = found.where("k IS NOT NULL").select("k").distinct()
+        if not again.isEmpty():
+            left = spread_join(met, again, ["k"], "node").join(roots.toDF("node", "_to"), "node", "left").withColumn("root", F.coalesce("_to", "root")).drop("_to")
+            roots = joined(pairs_apart(left, None).select("low", "high"))
+        of_digest = nodes.join(roots, "node", "left").select("digest", F.coalesce("root", "node").alias("root"))
+        return finished(spread_join(light.select("doc_id", "digest"), of_digest, ["digest"], "doc_id").where("root <> doc_id").select("doc_id", "root"))
 
 
 def keep_one_each(docs: DataFrame) -> DataFrame:
     """``docs`` with one row of each group of copies and near copies: that of the smallest doc_id.  Rows of one doc_id are one
     document, of which one row stays; rows without an id stay as they are."""
-    gone = spool(near_copy_roots(docs).select("doc_id").distinct())
-    kept = docs.join(gone, "doc_id", "left_anti")
-    again = spool(docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id"))
-    single = kept.join(again, "doc_id", "left_anti")
-    return single.unionByName(kept.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"])).select(*docs.columns)
+    gone = near_copy_roots(docs).select("doc_id").distinct()
+    again = docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id")
+    odd = spool(gone.withColumn("gone", F.lit(True)).join(again.withColumn("again", F.lit(True)), "doc_id", "full"))
+    single = docs.join(odd.select("doc_id"), "doc_id", "left_anti")
+    several = docs.join(odd.where("again AND gone IS NULL").select("doc_id"), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return single.unionByName(several).select(*docs.columns)
