@@ -20,7 +20,7 @@ import pyarrow.compute as pc
 MEMO_CHUNKS = 700_000
 MEMO_CHARS = 40
 #: Characters of a run of texts that is encoded at once (or one longer text).
-RUN_CHARS = 6_000_000
+RUN_CHARS = 3_000_000
 #: What a chunk must not hold for its pieces to be told apart by kinds of characters alone: contractions, runs of white
 #: space, and characters other than ASCII and the Latin letters up to U+024F.
 UNSETTLED = re.compile("'|\\s\\s|[^\\x00-\\x7f\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]|[\\x1c-\\x1f]")
@@ -140,9 +140,9 @@ class ChunkEncoder:
         parts = pc.split_pattern(texts, " ")
         firsts = parts.offsets.to_numpy().astype(np.int64) - parts.offsets[0].as_py()
         coded = parts.flatten().dictionary_encode()
-        chunks, which = coded.dictionary.to_numpy(zero_copy_only=False).tolist(), coded.indices.to_numpy().astype(np.int64)
+        chunks, which = coded.dictionary.to_numpy(zero_copy_only=False).tolist(), coded.indices.to_numpy()
         get = self._memo.get
-        places = np.array([get(c, -1) for c in chunks], dtype=np.int64)
+        places = np.array([get(c, -1) for c in chunks], dtype=np.int32)
         heads = which[firsts[:-1]]
         follow = np.ones(len(which), dtype=bool)
         follow[firsts[:-1]] = False
@@ -185,7 +185,10 @@ class ChunkEncoder:
             bounds = firsts + np.arange(n + 1)
         sizes = self._sizes[at]
         stops = np.concatenate([[0], np.cumsum(sizes)])
-        flat = self._pool[np.repeat(self._starts[at] - stops[:-1], sizes) + np.arange(stops[-1])]
+        kind = np.int32 if max(stops[-1], len(self._pool)) < 2**31 else np.int64  # half the memory of the largest arrays here
+        index = np.repeat((self._starts[at] - stops[:-1]).astype(kind), sizes)
+        index += np.arange(stops[-1], dtype=kind)
+        flat = self._pool[index]
         self._pool, self._starts, self._sizes = self._pool[: state[0]], self._starts[: state[1]], self._sizes[: state[1]]
         return flat, stops[bounds]
 

@@ -26,7 +26,7 @@ LONGEST_GRAM = 5
 #: More values than this are no languages (an error); places of languages are held in 16 bits.
 MAX_LANGUAGES = 30_000
 #: Words remembered with their logs, new words scored at once, and texts taken at once.
-MEMO_WORDS, FRESH_WORDS, BATCH_TEXTS = 200_000, 50_000, 1_000
+MEMO_WORDS, FRESH_WORDS, BATCH_TEXTS = 100_000, 20_000, 500
 SMOOTHING = 0.1
 UNDETERMINED = "und"
 

@@ -123,9 +123,9 @@ def _odd_places(a: bytes, b: bytes) -> int:
     return int((x ^ (y.reshape(len(x), -1).sum(axis=1) & 1)).sum())
 
 
-def _alike(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+def _alike(pairs: DataFrame, docs: DataFrame, repeated: bool) -> DataFrame:
     """The pairs (low, high) whose texts' shingle sets are similar.  Parities of about four places a shingle tell most that can't
-    be, before the sets themselves meet."""
+    be, before the sets themselves meet.  ``repeated``: some ids have several rows."""
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -154,7 +154,7 @@ def _alike(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     with temporary(docs.sparkSession):
         wanted = pairs.select(F.explode(F.array("low", "high")).alias("doc_id")).distinct()
         sets = docs.join(wanted, "doc_id", "left_semi").mapInArrow(tidy(hashed), "node long, n long, parity binary, hashes binary")
-        sets = spool(sets.dropDuplicates(["node", "hashes"]), "none")
+        sets = spool(sets.dropDuplicates(["node", "hashes"]) if repeated else sets, "none")
         likely = spool(both(pairs, "n", "parity").mapInArrow(tidy(possible), "low long, high long").distinct())
         return finished(both(likely, "hashes").mapInArrow(tidy(each), "low long, high long").distinct())
 
@@ -272,16 +272,14 @@ def _near(eager: int | None):
     return each
 
 
-def meetings(all_rows: DataFrame, rooted: DataFrame) -> DataFrame:
-    """(k, blocks, node, root, size, place, parity): keys that texts of different roots share, a row for each text that has
-    them.  ``rooted``: (digest, node, root).
+def meetings(all_rows: DataFrame, rooted: DataFrame, repeated: bool) -> tuple[DataFrame, DataFrame]:
+    """(k, blocks, node, root, size, place): keys that texts of different roots share, a row for each text that has them; and
+    (node, parity).  ``rooted``: (digest, node, root).
 
     A rare key's rows are in one partition, where counting needs no further shuffle; a frequent one's are counted by part.
     """
     keyed = all_rows.select("digest", F.col("doc_id").alias("node"), F.col("shingles").alias("size"), "rare", "frequent", "parity").join(rooted, ["digest", "node"])
-    if not all_rows.groupBy("doc_id").count().where("count > 1").isEmpty():  # a shuffle of all keys that tables of unique ids needn't pay
-        keyed = keyed.dropDuplicates(["digest", "node"])
-    keyed = spool(keyed.drop("digest"))
+    keyed = spool((keyed.dropDuplicates(["digest", "node"]) if repeated else keyed).drop("digest"))
     rare = keyed.select("node", "root", "size", F.posexplode("rare").alias("place", "k"))
     of_key = Window.partitionBy("k")
     rare = rare.withColumns({"n": F.count(F.lit(1)).over(of_key), "a": F.min("root").over(of_key), "b": F.max("root").over(of_key)}).where("a < b").drop("a", "b")
@@ -289,15 +287,14 @@ def meetings(all_rows: DataFrame, rooted: DataFrame) -> DataFrame:
     parts = often.groupBy("k", "part").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("a"), F.max("root").alias("b"))
     sizes = parts.groupBy("k").agg(F.sum("n").alias("n"), F.min("a").alias("a"), F.max("b").alias("b"), F.collect_list("part").alias("parts")).where("a < b").select("k", "n", F.explode("parts").alias("part"))
     often = often.join(sizes, ["k", "part"]).drop("part")
-    met = spool(rare.unionByName(often).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).drop("n"))
-    return met.join(keyed.select("node", "parity"), "node")
+    return spool(rare.unionByName(often).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).drop("n")), keyed.select("node", "parity")
 
 
-def pairs_apart(met: DataFrame, eager: int | None) -> DataFrame:
+def pairs_apart(met: DataFrame, parities: DataFrame, eager: int | None) -> DataFrame:
     """(low, high, k): pairs of nodes with different roots that share a key of ``meetings``, among them all whose similarity is
     ``SIMILARITY`` or more, but for the keys k that are named apart (see ``_near``).  A large key's rows are dealt block against
     block."""
-    met = met.withColumn("block", F.pmod(F.xxhash64("node", F.lit(13)), F.col("blocks")).cast("int"))
+    met = met.join(parities, "node").withColumn("block", F.pmod(F.xxhash64("node", F.lit(13)), F.col("blocks")).cast("int"))
     met = met.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     met = met.select("k", F.least("block", "other").alias("b1"), F.greatest("block", "other").alias("b2"), "block", "node", "root", "size", "place", "parity")
     return spool(met.repartition("k", "b1", "b2").sortWithinPartitions("k", "b1", "b2").mapInArrow(tidy(_near(eager)), "low long, high long, k long").distinct())
@@ -311,19 +308,20 @@ def near_copy_roots(docs: DataFrame) -> DataFrame:
         light = rows.select("doc_id", "digest", "fingerprint", "shingles", "passages")
         nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("digest", "x.*"))
 
-        roots = component_roots(_alike(first_pairs(nodes), docs), "low", "high")
+        repeated = not docs.groupBy("doc_id").count().where("count > 1").isEmpty()  # if not, shuffles to drop duplicates aren't needed
+        roots = component_roots(_alike(first_pairs(nodes), docs, repeated), "low", "high")
         rooted = spool(nodes.join(roots, "node", "left").select("digest", "node", F.coalesce("root", "node").alias("root")))
-        met = meetings(rows, rooted)
-        found = pairs_apart(met, EAGER)
+        met, parities = meetings(rows, rooted, repeated)
+        found = pairs_apart(met, parities, EAGER)
 
         def joined(pairs: DataFrame) -> DataFrame:
-            return component_roots(_alike(pairs, docs).unionByName(roots.select(F.col("root").alias("low"), F.col("node").alias("high"))), "low", "high")
+            return component_roots(_alike(pairs, docs, repeated).unionByName(roots.select(F.col("root").alias("low"), F.col("node").alias("high"))), "low", "high")
 
         roots = joined(found.where("k IS NULL").select("low", "high"))
         again = found.where("k IS NOT NULL").select("k").distinct()
         if not again.isEmpty():
             left = spread_join(met, again, ["k"], "node").join(roots.toDF("node", "_to"), "node", "left").withColumn("root", F.coalesce("_to", "root")).drop("_to")
-            roots = joined(pairs_apart(left, None).select("low", "high"))
+            roots = joined(pairs_apart(left, parities, None).select("low", "high"))
         of_digest = nodes.join(roots, "node", "left").select("digest", F.coalesce("root", "node").alias("root"))
         return finished(spread_join(light.select("doc_id", "digest"), of_digest, ["digest"], "doc_id").where("root <> doc_id").select("doc_id", "root"))
 
