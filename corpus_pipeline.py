@@ -15,7 +15,7 @@ from chronofold.llm.common import spool
 #: A document is rejected if no language can be told or the posterior of the best is below this.
 LEAST_POSTERIOR = 0.5
 #: Chunks that an encoder remembers: less than on its own, as workers still hold what earlier stages left.
-ENCODER_MEMO = 400_000
+ENCODER_MEMO = 100_000
 #: A document stays if its rate rounds to one.
 LEAST_RATE = 0.5
 #: Weight of the rates' distance from one: more than on its own, so that clean documents are left alone.
