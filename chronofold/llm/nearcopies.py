@@ -124,16 +124,22 @@ def _odd_places(a: bytes, b: bytes) -> int:
 
 
 def _alike(pairs: DataFrame, docs: DataFrame, repeated: bool) -> DataFrame:
-    """The pairs (low, high) whose texts' shingle sets are similar.  Parities of about four places a shingle tell most that can't
-    be, before the sets themselves meet.  ``repeated``: some ids have several rows."""
+    """The pairs (low, high) whose texts' shingle sets are similar.  Parities of one to two places a shingle tell most that
+    can't be, before the sets themselves meet.  ``repeated``: some ids have several rows."""
 
-    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, 200):
                 part = batch.slice(at, 200)
                 sets = [np.frombuffer(describe(t.as_py())["hashes"], dtype="<u8") for t in part["text"]]
-                parities = [parity_of(h, max(PARITY_BITS, int(4 * len(h) - 1).bit_length())).tobytes() for h in sets]
-                yield pa.record_batch([part["doc_id"], pa.array([len(h) for h in sets], pa.int64()), pa.array(parities, pa.binary()), pa.array([h.tobytes() for h in sets], pa.binary())], names=["node", "n", "parity", "hashes"])
+                parities = [parity_of(h, max(PARITY_BITS, (len(h) - 1).bit_length())).tobytes() for h in sets]
+                yield pa.record_batch([part["doc_id"], pa.array([len(h) for h in sets], pa.int64()), pa.array(parities, pa.binary())], names=["node", "n", "parity"])
+
+    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 200):
+                part = batch.slice(at, 200)
+                yield pa.record_batch([part["doc_id"], pa.array([describe(t.as_py())["hashes"] for t in part["text"]], pa.binary())], names=["node", "hashes"])
 
     def possible(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -146,17 +152,21 @@ def _alike(pairs: DataFrame, docs: DataFrame, repeated: bool) -> DataFrame:
             keep = pa.array([similar(a.as_py(), b.as_py()) for a, b in zip(batch["hashes_low"], batch["hashes_high"], strict=True)], pa.bool_())
             yield batch.select(["low", "high"]).filter(keep)
 
-    def both(pairs: DataFrame, *columns: str) -> DataFrame:
+    def of_nodes(pairs: DataFrame, what, schema: str) -> DataFrame:
+        wanted = pairs.select(F.explode(F.array("low", "high")).alias("doc_id")).distinct()
+        rows = docs.join(wanted, "doc_id", "left_semi").mapInArrow(tidy(what), schema)
+        return spool(rows.distinct() if repeated else rows, "lz4")
+
+    def both(pairs: DataFrame, rows: DataFrame) -> DataFrame:
         for side, other in (("low", "high"), ("high", "low")):
-            pairs = spread_join(pairs, sets.select(F.col("node").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in columns)), [side], other)
+            pairs = spread_join(pairs, rows.select(F.col("node").alias(side), *(F.col(c).alias(f"{c}_{side}") for c in rows.columns[1:])), [side], other)
         return pairs
 
     with temporary(docs.sparkSession):
-        wanted = pairs.select(F.explode(F.array("low", "high")).alias("doc_id")).distinct()
-        sets = docs.join(wanted, "doc_id", "left_semi").mapInArrow(tidy(hashed), "node long, n long, parity binary, hashes binary")
-        sets = spool(sets.dropDuplicates(["node", "hashes"]) if repeated else sets, "none")
-        likely = spool(both(pairs, "n", "parity").mapInArrow(tidy(possible), "low long, high long").distinct())
-        return finished(both(likely, "hashes").mapInArrow(tidy(each), "low long, high long").distinct())
+        likely = both(pairs, of_nodes(pairs, sketched, "node long, n long, parity binary"))
+        likely = spool(likely.mapInArrow(tidy(possible), "low long, high long").distinct())
+        found = both(likely, of_nodes(likely, hashed, "node long, hashes binary"))
+        return finished(found.mapInArrow(tidy(each), "low long, high long").distinct())
 
 
 def frequent(docs: DataFrame) -> np.ndarray:
