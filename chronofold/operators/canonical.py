@@ -27,6 +27,18 @@ def coalesce_intervals(rows: DataFrame, ids: Sequence[str], on: Sequence[str] =
     return marked.groupBy(*ids, "_island").agg(*values, F.min(FROM).alias(FROM), F.max(TO).alias(TO)).select(*ids, *on, FROM, TO)
 
 
+def coalesce_pieces(rows: DataFrame, ids: Sequence[str], on: Sequence[str] = ()) -> DataFrame:
+    """The same for rows with a column chunk that were cut to chunks, when few ids have long timelines (a rank, a pair): joined
+    within (ids, chunk) first, side by side; then only each chunk's first and last stretch, which alone can touch another
+    chunk's, meet by id."""
+    ids, on = list(ids), list(on)
+    inner = coalesce_intervals(rows, [*ids, "chunk"], on)
+    of_chunk = Window.partitionBy(*ids, "chunk")
+    outer = (F.col(FROM) == F.min(FROM).over(of_chunk)) | (F.col(TO) == F.max(TO).over(of_chunk))
+    marked = inner.withColumn("_outer", outer)
+    return coalesce_intervals(marked.where("_outer"), ids, on).unionByName(marked.where("NOT _outer").select(*ids, *on, FROM, TO))
+
+
 def stitch_edges(rows: DataFrame, ids: Sequence[str], on: Sequence[str], edges: DataFrame) -> DataFrame:
     """The same for rows that are canonical within chunks: only rows that touch a chunk edge (a small table of instants ``at``) are
     regrouped, the rest pass by."""

@@ -9,13 +9,19 @@ from pyspark.sql import functions as F
 
 from ..functions.instants import FROM, TO
 from ..functions.predicates import predicate
-from .canonical import coalesce_intervals
+from .canonical import coalesce_pieces
 from .same_base import chunked, prefix_steps
 
 #: Comparators by name.
 COMPARE = {"lt": lambda a, b: a < b, "le": lambda a, b: a <= b, "gt": lambda a, b: a > b, "ge": lambda a, b: a >= b, "eq": lambda a, b: a == b, "ne": lambda a, b: a != b}
 
 
+#: Cuts of a block: rows meet cuts block by block.
+BLOCK = 64
+#: Parts that candidates are dealt to where they meet the reference, whose rows are copied to each.
+REFERENCE_PARTS = 8
+
+
 def assert_cohort_closed(piece: DataFrame, history: DataFrame, key: str) -> None:
     """The piece must hold every row of the cohort that overlaps its chunk: raises if one is missing."""
     lost = history.join(piece, [key, FROM, TO], "left_anti")
@@ -30,14 +36,22 @@ def shard_of(key: str | Column, shards: int) -> Column:
 def aligned_segments(seg: DataFrame, family: Sequence[str], carry: Sequence[str]) -> DataFrame:
     """(family, chunk, seg_from, seg_to, carry): one row for each row that holds in a segment between neighbouring cuts.
 
-    Cuts are joined to the rows of the same family and chunk, so a row meets only its chunk's cuts.
+    A row's ends are cuts, so equality joins number them; the row then goes to the blocks of ``BLOCK`` cuts that it spans and
+    meets those alone.  The work follows the result's size, not cuts times rows, and no task has a whole chunk.
     """
     seg = chunked(seg)
     ids = [*family, "chunk"]
     cuts = seg.select(*ids, F.explode(F.array(FROM, TO)).alias("seg_from")).distinct()
-    cuts = cuts.withColumn("seg_to", F.lead("seg_from").over(Window.partitionBy(*ids).orderBy("seg_from"))).where("seg_to IS NOT NULL")
+    of_chunk = Window.partitionBy(*ids).orderBy("seg_from")
+    cuts = cuts.withColumns({"seg_to": F.lead("seg_from").over(of_chunk), "_n": F.row_number().over(of_chunk)})
+    number = cuts.select(*ids, "seg_from", "_n")
     rows = seg.select(*ids, *carry, FROM, TO)
-    return cuts.join(rows, ids).where((F.col(FROM) <= F.col("seg_from")) & (F.col("seg_from") < F.col(TO))).select(*ids, "seg_from", "seg_to", *carry)
+    for end, name in ((FROM, "_first"), (TO, "_after")):
+        rows = rows.join(number.toDF(*ids, end, name), [*ids, end])
+    rows = rows.withColumn("_block", F.explode(F.sequence(F.floor(F.col("_first") / BLOCK), F.floor((F.col("_after") - 1) / BLOCK)))).drop(FROM, TO)
+    blocks = cuts.where("seg_to IS NOT NULL").withColumn("_block", F.floor(F.col("_n") / BLOCK))
+    met = blocks.join(rows, [*ids, "_block"]).where((F.col("_first") <= F.col("_n")) & (F.col("_n") < F.col("_after")))
+    return met.select(*ids, "seg_from", "seg_to", *carry)
 
 
 def pairwise_compare(seg: DataFrame, key: str, left, right, x: str, cmp: str = "lt", emit: str = "true") -> DataFrame:
@@ -58,19 +72,21 @@ def pairwise_compare(seg: DataFrame, key: str, left, right, x: str, cmp: str = "
     holds = predicate(COMPARE[cmp](F.col("l.x"), F.col("r.x")))
     both = states.where(F.col(TO).isNotNull() & (F.col("l.on") == 1) & (F.col("r.on") == 1) & F.col("l.x").isNotNull() & F.col("r.x").isNotNull())
     kind = seg.schema[key].dataType
-    out = both.select(F.lit(left).cast(kind).alias("left_key"), F.lit(right).cast(kind).alias("right_key"), FROM, TO, holds.alias("holds"))
+    out = both.select(F.lit(left).cast(kind).alias("left_key"), F.lit(right).cast(kind).alias("right_key"), "chunk", FROM, TO, holds.alias("holds"))
     ids = ["left_key", "right_key"]
     if emit == "both":
-        return coalesce_intervals(out, ids, ["holds"])
-    return coalesce_intervals(out.where("holds"), ids)
+        return coalesce_pieces(out, ids, ["holds"])
+    return coalesce_pieces(out.where("holds"), ids)
 
 
 def better_deltas(seg: DataFrame, key: str, reference, x: str, cmp: str = "lt", by: Sequence[str] = ()) -> DataFrame:
     """(by, chunk, at, delta, cover): changes of the number of candidates that beat the reference, and of the reference's own
-    presence.  The reference's rows join each candidate's by chunk and overlap; a null x neither beats nor covers."""
+    presence.  The reference's rows join each candidate's by chunk and overlap; a null x neither beats nor covers.  Candidates are
+    dealt to ``REFERENCE_PARTS`` parts of a chunk, and the reference's few rows are copied to each."""
     rows = chunked(seg).where(F.col(x).isNotNull())
     ref = rows.where(F.col(key) == reference).select("chunk", F.col(FROM).alias("rf"), F.col(TO).alias("rt"), F.col(x).alias("rx")).distinct()
-    met = rows.where(F.col(key) != reference).join(ref, "chunk").where((F.col(FROM) < F.col("rt")) & (F.col("rf") < F.col(TO)) & predicate(COMPARE[cmp](F.col(x), F.col("rx"))))
+    parts = F.explode(F.sequence(F.lit(0), F.lit(REFERENCE_PARTS - 1)))
+    met = rows.where(F.col(key) != reference).withColumn("_part", shard_of(key, REFERENCE_PARTS)).join(ref.withColumn("_part", parts), ["chunk", "_part"]).where((F.col(FROM) < F.col("rt")) & (F.col("rf") < F.col(TO)) & predicate(COMPARE[cmp](F.col(x), F.col("rx"))))
     met = met.select(*by, "chunk", F.greatest(FROM, "rf").alias("f"), F.least(TO, "rt").alias("t"))
 
     def ends(rows: DataFrame, better: int, cover: int) -> DataFrame:
@@ -91,8 +107,8 @@ def merge_better(deltas: DataFrame, reference, kind) -> DataFrame:
     by = Window.partitionBy("chunk").orderBy("at")
     far = by.rowsBetween(Window.unboundedPreceding, 0)
     steps = summed.select("chunk", F.col("at").alias(FROM), F.lead("at").over(by).alias(TO), F.sum("delta").over(far).alias("better"), F.sum("cover").over(far).alias("present"))
-    out = steps.where((F.col("present") > 0) & F.col(TO).isNotNull()).select(F.lit(reference).cast(kind).alias("reference_key"), FROM, TO, "better")
-    return coalesce_intervals(out, ["reference_key"], ["better"])
+    out = steps.where((F.col("present") > 0) & F.col(TO).isNotNull()).select(F.lit(reference).cast(kind).alias("reference_key"), "chunk", FROM, TO, "better")
+    return coalesce_pieces(out, ["reference_key"], ["better"])
 
 
 def count_better_than(seg: DataFrame, key: str, reference, x: str, cmp: str = "lt", shards: int = 1) -> DataFrame:
@@ -128,7 +144,7 @@ def ranked_timeline(seg: DataFrame, key: str, x: str, k: int, descending: bool =
         rows = best.select(*family, "chunk", "key", "x", FROM, TO)
     best = _best(rows, family, k, descending, strategy)
     on = ["key", "x"] if identity == "entity" else ["x"]
-    out = coalesce_intervals(best, [*family, "rank"], on)
+    out = coalesce_pieces(best, [*family, "rank"], on)
     return out.select(*family, FROM, TO, "rank", *on)
 
 
@@ -150,7 +166,8 @@ def _best(rows: DataFrame, family: Sequence[str], k: int, descending: bool, stra
 
 
 def _sweep(ids: Sequence[str], k: int, descending: bool):
-    """One pass over a chunk's starts and ends; memory follows the members that hold a value at once."""
+    """One pass over the starts and ends of one (family, chunk), which is in one worker whole, with a dict of its events: for
+    groups that fit one, as shards of candidates make them."""
 
     def walk(group):
         import bisect

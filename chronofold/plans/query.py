@@ -106,24 +106,28 @@ def validate(query: Query) -> None:
         raise PlanRejected("DYNAMIC_COHORT", "the cohort must be fixed before the query runs")
     if query.family in ("pairwise", "better", "ranked") and len(query.spec.keys) != 1:
         raise PlanRejected("UNSUPPORTED", "cohorts are of single-column keys")
+    if query.family in ("pairwise", "better") and query.cohort is None:
+        raise PlanRejected("NO_COHORT", "keys are compared within a cohort fixed before the query runs")
+    if query.family in ("better", "ranked") and query.shards < 1:
+        raise PlanRejected("NO_SHARD_PLACEMENT", "candidates need a fixed number of shards")
     if query.family == "ranked":
         if query.cohort is None or query.cohort.tie is None:
             raise PlanRejected("NO_TIE_RULE", "ranks need a total order")
-        if query.shards < 1:
-            raise PlanRejected("NO_SHARD_PLACEMENT", "candidates need a fixed number of shards")
     if query.family == "threshold" and query.threshold is None:
         raise PlanRejected("UNSUPPORTED", "a threshold query needs its threshold")
 
 
 @dataclass(frozen=True)
 class PiecePlan:
-    """(piece, chunk, bucket_lo, bucket_hi) and what the family fixes."""
+    """(piece, chunk, bucket_lo, bucket_hi) and what the family fixes; ``spans``: the stretch of time of pieces that are cut in time,
+    too, as their one bucket is over the ceiling."""
 
     query: Query
     family: Family
     pieces: tuple[tuple[int, int, int, int], ...]
     pruned: int
     chunks: tuple[int, int]
+    spans: Mapping[int, QueryWindow] = field(default_factory=dict)
 
 
 def plan(query: Query, layout: Layout, spark: SparkSession, shards: DataFrame | None = None) -> PiecePlan:
@@ -131,13 +135,28 @@ def plan(query: Query, layout: Layout, spark: SparkSession, shards: DataFrame |
     alone, whose rows follow the number of chunks."""
     validate(query)
     first, last = layout.grid.chunks_for(query.window)
-    known = {r.chunk: (r.bucket_lo, r.bucket_hi) for r in layout.manifest(spark).select("chunk", "bucket_lo", "bucket_hi").collect()}
-    split: dict[int, list[tuple[int, int]]] = {}
+    known = {r.chunk: r for r in layout.manifest(spark).select("chunk", "bucket_lo", "bucket_hi", "min_from", "max_to").collect()}
+    split: dict[int, list[tuple[int, int, int]]] = {}
     if shards is not None and FAMILIES[query.family].shards == "keys":
         for r in shards.where(f"chunk BETWEEN {first} AND {last}").collect():
-            split.setdefault(r.chunk, []).append((r.bucket_lo, r.bucket_hi))
-    pieces = [(c, *b) for c in sorted(known) if first <= c <= last for b in split.get(c, [known[c]])]
-    return PiecePlan(query, FAMILIES[query.family], tuple((i, *p) for i, p in enumerate(pieces)), len(known) - len({p[0] for p in pieces}), (first, last))
+            split.setdefault(r.chunk, []).append((r.bucket_lo, r.bucket_hi, r.parts if "parts" in shards.columns else 1))
+    pieces, spans = [], {}
+    for c in (c for c in sorted(known) if first <= c <= last):
+        for low, high, parts in split.get(c, [(known[c].bucket_lo, known[c].bucket_hi, 1)]):
+            for span in stretches(max(known[c].min_from, query.window.start), min(known[c].max_to, query.window.end), parts) if parts > 1 else [None]:
+                if span is not None:
+                    spans[len(pieces)] = span
+                pieces.append((len(pieces), c, low, high))
+    return PiecePlan(query, FAMILIES[query.family], tuple(pieces), len(known) - len({p[1] for p in pieces}), (first, last), spans)
+
+
+def stretches(start, end, parts: int) -> list[QueryWindow]:
+    """[start, end) in at most ``parts`` stretches of about one length; every operator that is sharded by key may be cut anywhere
+    in time, as its merge joins stretches that meet."""
+    if not start < end:
+        return [QueryWindow(start, end)]
+    at = [start + (end - start) * i // parts for i in range(parts)] + [end]
+    return [QueryWindow(a, b) for a, b in zip(at, at[1:]) if a < b]
 
 
 def explain_plan(p: PiecePlan) -> str:

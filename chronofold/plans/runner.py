@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,6 +16,7 @@ from ..operators.canonical import coalesce_intervals
 from ..operators.gate import key_domain_gate
 from ..sources.history import restrict_window
 from ..sources.layout import Layout, read_layout
+from ..spec import QueryWindow
 from .query import FAMILIES, PiecePlan, Query, plan, validate
 
 
@@ -95,7 +99,8 @@ def partial(query: Query, seg: DataFrame) -> DataFrame:
         case "count" | "threshold":
             return sb.count_deltas(seg, _phi(query) if query.phi is not None else None, query.group, query.encoding)
         case "better":
-            return co.better_deltas(seg, key, query.reference, query.x, query.cmp)
+            # the key's type goes along, so that the merge states it
+            return co.better_deltas(seg, key, query.reference, query.x, query.cmp).withColumn("reference_key", F.lit(query.reference).cast(seg.schema[key].dataType))
         case _:
             return evaluate(query, seg)
 
@@ -117,7 +122,7 @@ def merge(query: Query, partials: DataFrame) -> DataFrame:
         case "pairwise":
             return coalesce_intervals(partials, ["left_key", "right_key"], ["holds"] if query.emit == "both" else [])
         case "better":
-            return co.merge_better(partials, query.reference, dict(partials.dtypes).get("reference_key", "bigint"))
+            return co.merge_better(partials, query.reference, partials.schema["reference_key"].dataType)
         case "ranked":
             family = [query.cohort.family] if query.cohort.family else []
             on = ["key", "x"] if query.identity == "entity" else ["x"]
@@ -125,21 +130,27 @@ def merge(query: Query, partials: DataFrame) -> DataFrame:
     raise AssertionError(query.family)
 
 
-def run_piece(query: Query, layout: Layout, spark: SparkSession, run_dir: str, piece: tuple[int, int, int, int], attempt: int) -> None:
-    """Compute one piece, store its partial under its attempt, then commit it."""
+def run_piece(query: Query, layout: Layout, spark: SparkSession, run_dir: str, piece: tuple[int, int, int, int], attempt: int, span: QueryWindow | None = None, check: bool = False) -> None:
+    """Compute one piece (of ``span`` alone, if given), store its partial under its attempt, then commit it.  ``check``: a cohort's
+    piece must hold every row of the cohort that its chunk has."""
     n, chunk, low, high = piece
-    seg = read_layout(spark, layout, query.window, (low, high)).where(F.col("chunk") == chunk)
+    seg = read_layout(spark, layout, span or query.window, (low, high)).where(F.col("chunk") == chunk)
+    if check and query.cohort is not None:
+        co.assert_cohort_closed(_prepared(query, seg), _prepared(query, read_layout(spark, layout, query.window).where(F.col("chunk") == chunk)), query.spec.keys[0])
     path = f"{run_dir}/partials/piece={n}/attempt={attempt}"
     partial(query, seg).write.mode("overwrite").parquet(path)
     rows = spark.read.parquet(path).count()
-    spark.createDataFrame([(n, attempt, rows)], "piece int, attempt int, rows long").coalesce(1).write.mode("append").parquet(f"{run_dir}/commits")
+    # a folder of its own: pieces that commit at once must not share one
+    spark.createDataFrame([(rows,)], "rows long").coalesce(1).write.mode("overwrite").parquet(f"{run_dir}/commits/piece={n}/attempt={attempt}")
 
 
 def committed(spark: SparkSession, run_dir: str) -> DataFrame:
     """One attempt for each piece, however often it was run."""
     try:
         log = spark.read.schema("piece int, attempt int, rows long").parquet(f"{run_dir}/commits")
-    except Exception:
+    except AnalysisException as e:
+        if e.getCondition() != "PATH_NOT_FOUND":
+            raise
         return spark.createDataFrame([], "piece int, attempt int, rows long")
     return log.groupBy("piece").agg(F.min_by("attempt", "attempt").alias("attempt"), F.min_by("rows", "attempt").alias("rows"))
 
@@ -158,11 +169,11 @@ def merge_durable(query: Query, p: PiecePlan, spark: SparkSession, run_dir: str)
     return merge(query, stored.join(F.broadcast(winners), ["piece", "attempt"]).drop("piece", "attempt"))
 
 
-def run_fanout_durable(query: Query, layout: Layout, spark: SparkSession, run_dir: str, shards: DataFrame | None = None, attempt: int = 0) -> DataFrame:
-    """Run what is missing, then merge; a second call after a crash runs only the rest."""
+def run_fanout_durable(query: Query, layout: Layout, spark: SparkSession, run_dir: str, shards: DataFrame | None = None, attempt: int = 0, at_once: int = 16, check: bool = False) -> DataFrame:
+    """Run what is missing, ``at_once`` pieces side by side, then merge; a second call after a crash runs only the rest."""
     p = plan(query, layout, spark, shards)
-    for piece in missing_pieces(spark, p, run_dir):
-        run_piece(query, layout, spark, run_dir, piece, attempt)
+    with ThreadPoolExecutor(at_once) as pool:  # each submits its piece's jobs; the scheduler shares the cluster among them
+        list(pool.map(lambda piece: run_piece(query, layout, spark, run_dir, piece, attempt, p.spans.get(piece[0]), check), missing_pieces(spark, p, run_dir)))
     return merge_durable(query, p, spark, run_dir)
 
 

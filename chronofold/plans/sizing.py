@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Mapping, Sequence
 
 from pyspark.sql import DataFrame, SparkSession
@@ -63,10 +64,10 @@ def heaviest_keys(rows: DataFrame, keys: Sequence[str], row_bytes: float, top: i
 
 
 def plan_shards(histogram: DataFrame, ceiling: float) -> DataFrame:
-    """(chunk, shard, bucket_lo, bucket_hi, bytes, over): the fewest contiguous bucket ranges of each chunk within the ceiling.
+    """(chunk, shard, bucket_lo, bucket_hi, bytes, over, parts): the fewest contiguous bucket ranges of each chunk within the ceiling.
 
     Filling each range as far as it goes needs the fewest ranges.  A bucket that alone exceeds the ceiling is its own range,
-    marked ``over``; its keys are then split by time at query time, which stores nothing twice.
+    marked ``over``; a plan cuts it into ``parts`` stretches of time at query time, which stores nothing twice.
     """
     spark = histogram.sparkSession
     out, now = [], None
@@ -76,7 +77,7 @@ def plan_shards(histogram: DataFrame, ceiling: float) -> DataFrame:
             continue
         now = [r.chunk, now[1] + 1 if now is not None and now[0] == r.chunk else 0, r.bucket, r.bucket, r.bytes]
         out.append(now)
-    return spark.createDataFrame([(*x, x[4] > ceiling) for x in out], "chunk int, shard int, bucket_lo int, bucket_hi int, bytes double, over boolean")
+    return spark.createDataFrame([(*x, x[4] > ceiling, max(1, math.ceil(x[4] / ceiling))) for x in out], "chunk int, shard int, bucket_lo int, bucket_hi int, bytes double, over boolean, parts int")
 
 
 def calibrate_ceiling(candidates: Sequence[float], probe: Callable[[float], Mapping[str, bool]]) -> tuple[float | None, list[dict]]:

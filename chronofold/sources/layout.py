@@ -171,7 +171,7 @@ def read_layout(spark: SparkSession, layout: Layout, window: QueryWindow, bucket
     if keys is not None:
         rows = rows.where(F.col(layout.spec.keys[0]).isin(*keys))
     rows = rows.where((F.col(FROM) < window.high) & (F.col(TO) > window.low))
-    return rows.withColumns({FROM: F.greatest(F.col(FROM), window.low), TO: F.least(F.col(TO), window.high)})
+    return rows.withColumns({"is_head": F.col("is_head") & (F.col(FROM) >= window.low), FROM: F.greatest(F.col(FROM), window.low), TO: F.least(F.col(TO), window.high)})
 
 
 def segments(history: DataFrame, grid: ChunkGrid, keys: Sequence[str], window: QueryWindow) -> DataFrame:

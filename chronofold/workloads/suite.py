@@ -96,8 +96,8 @@ def suite(name: str, window_name: str | None = None, suffix: str = "", grid: Chu
         4: (same_base(Query("boolean", spec, w, phi=cheap, other=stable, op="or")), lambda: sql.predicate(name, w, f"({cheap}) OR ({stable})")),
         5: (same_base(Query("boolean", spec, w, phi=cheap, other=stable, op="minus")), lambda: sql.predicate(name, w, f"({cheap}) AND NOT coalesce(({stable}), false)")),
         6: (same_base(Query("threshold", spec, w, phi=cheap, group=(group,), threshold=s["c"]), dims), lambda: sql.count(name, w, cheap, [group], dims, s["c"])),
-        7: (aligned(family="pairwise", left="left", right="right"), lambda: sql.pairwise(name, w, nth_key(name, 0), nth_key(name, 1), x, "<", cohort_dims)),
-        8: (aligned(family="better", reference="reference"), lambda: sql.better(name, w, cohort_where, nth_key(name, 0), x, "<", cohort_dims)),
+        7: (aligned(family="pairwise", cohort=Cohort(None), left="left", right="right"), lambda: sql.pairwise(name, w, nth_key(name, 0), nth_key(name, 1), x, "<", cohort_dims)),
+        8: (aligned(family="better", cohort=Cohort(None), reference="reference"), lambda: sql.better(name, w, cohort_where, nth_key(name, 0), x, "<", cohort_dims)),
         9: (aligned(family="ranked", cohort=Cohort(None), k=1), lambda: sql.ranked(name, w, cohort_where, x, 1, cohort_dims)),
         10: (aligned(family="ranked", cohort=Cohort(None), k=3), lambda: sql.ranked(name, w, cohort_where, x, 3, cohort_dims)),
     }
