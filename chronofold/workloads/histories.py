@@ -66,6 +66,7 @@ _HORIZON = _day(2002, 1)
 
 HISTORIES = {
     "part": Derived("lineitem", {"part_key": "l_partkey"}, "l_shipdate", ("l_orderkey", "l_linenumber", "l_suppkey", "l_extendedprice"), _LINE | {"supp_key": "l_suppkey"}, _HORIZON, ChunkGrid.calendar("MONTH"), ORDER_WINDOWS, {"brand": ("part_key", "SELECT p_partkey AS part_key, p_brand AS brand FROM {part}"), "region": _REGION}),
+    "tag": Derived("lineitem", {"tag": "concat('K', l_partkey)"}, "l_shipdate", ("l_orderkey", "l_linenumber", "l_suppkey", "l_extendedprice"), {"price": _LINE["price"], "score": _LINE["score"]}, _HORIZON, ChunkGrid.calendar("MONTH"), ORDER_WINDOWS),
     "supp": Derived("lineitem", {"supp_key": "l_suppkey"}, "l_shipdate", ("l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice"), _LINE | {"part_key": "l_partkey"}, _HORIZON, ChunkGrid.calendar("MONTH"), ORDER_WINDOWS, {"region": _REGION}),
     "pair": Derived("lineitem", {"part_key": "l_partkey", "supp_key": "l_suppkey"}, "l_shipdate", ("l_orderkey", "l_linenumber", "l_extendedprice"), {"price": _LINE["price"], "score": _LINE["score"]}, _HORIZON, ChunkGrid.whole(), ORDER_WINDOWS),
     "cust": Derived("orders", {"cust_key": "o_custkey"}, "o_orderdate", ("o_orderkey",), {"price": f"CAST(o_totalprice AS {MONEY})", "prio": "o_orderpriority", "status": "o_orderstatus"}, _HORIZON, ChunkGrid.calendar("YEAR"), ORDER_WINDOWS, {"segment": ("cust_key", "SELECT c_custkey AS cust_key, c_mktsegment AS segment, c_nationkey AS nation FROM {customer}")}),

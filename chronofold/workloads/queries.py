@@ -21,6 +21,7 @@ from ..sources.files import load, props
 from ..sources.folders import scratch
 from ..streaming.ingest import session_counts, sliding_counts, tumbling_counts
 from . import oracles as sql
+from . import stored
 from .histories import HISTORIES
 from .suite import SUITE, compositions, nth_key, segmented, smallest, suite
 
@@ -159,8 +160,7 @@ def from_month_source(spark, folder):
 
 
 def _stored(spark: SparkSession, folder: str, name: str = "part", grid: ly.ChunkGrid | None = None) -> ly.Layout:
-    d = HISTORIES[name]
-    return ly.build_clipped_layout(d.build(spark, folder), grid or d.grid, scratch(spark), d.spec)
+    return stored.stored(spark, folder, name, grid)
 
 
 @query(sql.count("part", W12, "price < 10000", ["brand"], ["brand"], 8))
@@ -202,7 +202,7 @@ for _w in ("w1", "w3", "w6"):
     QUERIES |= _q
     ORACLES |= _o
 for _label, _factor in (("quarter", 0.25), ("half", 0.5), ("double", 2), ("fourfold", 4)):
-    _q, _o = suite("part", "cut", f"_{_label}", PART.grid.scale(_factor), (1, 2, 6, 8, 10))
+    _q, _o = suite("part", "cut", f"_{_label}", PART.grid.scale(_factor))
     QUERIES |= _q
     ORACLES |= _o
 for _w in ("cut", "empty", "inside"):
@@ -212,9 +212,13 @@ for _w in ("cut", "empty", "inside"):
 _q, _o = suite("user", "origin", "_origin", None, (6, 7, 8, 10))
 QUERIES |= _q
 ORACLES |= _o
-_q, _o = compositions()
+_composed: dict[str, Query] = {}
+_q, _o = compositions(_composed)
 QUERIES |= _q
 ORACLES |= _o
+for _q, _o in (stored.layout_suite(ORACLES), stored.layout_compositions(_composed, ORACLES), stored.durable_families()):
+    QUERIES |= _q
+    ORACLES |= _o
 
 # Variants of the operators.
 

@@ -107,25 +107,27 @@ def suite(name: str, window_name: str | None = None, suffix: str = "", grid: Chu
     return out, oracle
 
 
-def compositions() -> tuple[dict[str, Run], dict[str, str]]:
-    """Six compositions on the customers' rows seen as items: brand is the priority, class the status."""
+def compositions(asked: dict[str, Query] | None = None) -> tuple[dict[str, Run], dict[str, str]]:
+    """Six compositions (also put in ``asked``) on the customers' rows seen as items: brand is the priority, class the status."""
     d = HISTORIES["cust"]
     w, spec, keys = d.windows["w12"], d.spec, list(d.keys)
     brand, cls = "prio = '1-URGENT'", "status = 'F'"
     out: dict[str, Run] = {}
     oracle: dict[str, str] = {}
 
-    def run(query: Query) -> Run:
-        return lambda spark, folder: evaluate(query, segmented("cust", spark, folder, w))
+    def add(name: str, query: Query, text: str) -> None:
+        if asked is not None:
+            asked[name] = query
+        _add(out, oracle, name, lambda spark, folder: evaluate(query, segmented("cust", spark, folder, w)), text)
 
-    _add(out, oracle, "mq1_item", run(Query("predicate", spec, w, phi=brand, payload=("prio",))), sql.predicate("cust", w, brand, ["prio"]))
-    _add(out, oracle, "mq2_item", run(Query("predicate", spec, w, phi="true", payload=("status",))), sql.predicate("cust", w, "true", ["status"]))
-    _add(out, oracle, "mq3_item", run(Query("boolean", spec, w, phi=brand, other=cls, op="and")), sql.predicate("cust", w, f"{brand} AND {cls}"))
-    _add(out, oracle, "mq4_item", run(Query("boolean", spec, w, phi=brand, other=cls, op="or")), sql.predicate("cust", w, f"{brand} OR {cls}"))
+    add("mq1_item", Query("predicate", spec, w, phi=brand, payload=("prio",)), sql.predicate("cust", w, brand, ["prio"]))
+    add("mq2_item", Query("predicate", spec, w, phi="true", payload=("status",)), sql.predicate("cust", w, "true", ["status"]))
+    add("mq3_item", Query("boolean", spec, w, phi=brand, other=cls, op="and"), sql.predicate("cust", w, f"{brand} AND {cls}"))
+    add("mq4_item", Query("boolean", spec, w, phi=brand, other=cls, op="or"), sql.predicate("cust", w, f"{brand} OR {cls}"))
     for name, low, high in (("mq5_item", 250000, 450000), ("mq5_item_one_threshold", 450000, 450000)):
         query = Query("boolean", spec, w, phi=brand, other=f"price > {low}", op="minus").then_gate(f"price > {high}")
-        _add(out, oracle, name, run(query), sql.difference_gated("cust", w, brand, f"price > {low}", f"price > {high}"))
-    _add(out, oracle, "mq6_item", run(Query("count", spec, w, phi=cls, group=("prio",)).then_threshold(93)), sql.count("cust", w, cls, ["prio"], (), 93))
+        add(name, query, sql.difference_gated("cust", w, brand, f"price > {low}", f"price > {high}"))
+    add("mq6_item", Query("count", spec, w, phi=cls, group=("prio",)).then_threshold(93), sql.count("cust", w, cls, ["prio"], (), 93))
     gate = f"{sql.clipped('cust', w)}, k AS (SELECT DISTINCT cust_key FROM c WHERE price > 450000), r AS (SELECT * FROM c WHERE {brand} AND cust_key IN (SELECT cust_key FROM k)) {sql.islands('r', keys)}"
 
     def gate_only(spark: SparkSession, folder: str) -> DataFrame:
