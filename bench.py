@@ -1,8 +1,9 @@
 """Headline queries on $BENCH_SF_DIR with local[$BENCH_CPUS]: one JSON line.
 
 One warm-up run that doesn't count, then the median of $BENCH_REPEATS runs of each query; the value is the mean of the medians
-of the ten-query suite.  ``python bench.py --paths`` also prints the execution paths (unclipped and clipped SQL, the engine on
-both sources, a cached always-on table, coupled ranking) over the four window lengths.
+of the ten-query suite.  ``python bench.py --paths`` also prints the execution paths (SQL and the engine on both sources, a cached
+always-on table) over the four window lengths, with costs from what the runs scanned and used, and the stages of the winner query
+under coupled and independent plans.
 """
 
 from __future__ import annotations
@@ -13,11 +14,15 @@ import sys
 
 from pyspark.sql import SparkSession
 
-from chronofold.plans.measures import break_even, consume, cost_scan, frontier, measure, suite_mean
+from chronofold.plans.measures import MIB, break_even, consume, cost_scan, cost_serverless, frontier, measure, observe, suite_mean
 
 FOLDER = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
-REPEATS = int(os.environ.get("BENCH_REPEATS", "3"))
+REPEATS = int(os.environ.get("BENCH_REPEATS", "5"))
+#: Q6's count at sf0.1, and what path costs are reckoned with: parameters, as prices vary.
+THRESHOLD = 80
+WORKER_GB = 5.0
+PRICES = {"gb_second": 1.7e-5, "read": 4e-7, "write": 5e-6, "queue": 4e-7, "commit": 1.25e-6}
 
 
 def session() -> SparkSession:
@@ -26,78 +31,75 @@ def session() -> SparkSession:
     return spark
 
 
+def asked(spark: SparkSession, window: str) -> dict:
+    """Q1 to Q10 of the deep history and its stored layout."""
+    from chronofold.workloads.histories import HISTORIES
+    from chronofold.workloads.stored import asked as queries
+    from chronofold.workloads.stored import stored
+
+    made = queries("part", spark, FOLDER, HISTORIES["part"].windows[window], THRESHOLD)
+    return {f"q{i}": make() for i, make in made.items()}, stored(spark, FOLDER, "part", bucket_groups=1)
+
+
 def suite_seconds(spark: SparkSession) -> dict[str, float]:
-    """Q1 to Q10 through a stored layout of the deep history."""
-    from chronofold.plans.query import Query
+    """Q1 to Q10 through a stored layout."""
     from chronofold.plans.runner import run_fanout
-    from chronofold.sources.folders import scratch
-    from chronofold.sources.layout import build_clipped_layout
-    from chronofold.spec import Cohort
-    from chronofold.workloads.histories import HISTORIES
-    from chronofold.workloads.suite import SUITE, smallest
-
-    d, s = HISTORIES["part"], SUITE["part"]
-    w, spec = d.windows["w12"], d.spec
-    layout = build_clipped_layout(d.build(spark, FOLDER), d.grid, scratch(spark), spec, bucket_groups=1)
-    brand = d.dim(spark, FOLDER, "brand")
-    members = brand.where("brand = 'Brand#7'")
-    first = smallest("part", spark, FOLDER, 2)
-    cohort = Cohort(table=members)
-    cheap, stable = s["cheap"], s["stable"]
-    asked = {
-        "q1": Query("predicate", spec, w, phi=cheap, payload=("price",)), "q2": Query("duration", spec, w, x="price", group=("brand",)).with_dims(brand, "part_key"),
-        "q3": Query("boolean", spec, w, phi=cheap, other=stable, op="and"), "q4": Query("boolean", spec, w, phi=cheap, other=stable, op="or"), "q5": Query("boolean", spec, w, phi=cheap, other=stable, op="minus"),
-        "q6": Query("count", spec, w, phi=cheap, group=("brand",)).with_dims(brand, "part_key").then_threshold(80),
-        "q7": Query("pairwise", spec, w, x="price", left=first[0], right=first[1], cohort=Cohort(tuple(first))), "q8": Query("better", spec, w, x="price", reference=first[0], cohort=cohort),
-        "q9": Query("ranked", spec, w, x="price", k=1, cohort=cohort), "q10": Query("ranked", spec, w, x="price", k=3, cohort=cohort),
-    }
-    return {n: round(measure(lambda q=q: consume(run_fanout(q, layout, spark)), 1, REPEATS), 4) for n, q in asked.items()}
+
+    queries, layout = asked(spark, "w12")
+    return {n: round(measure(lambda q=q: consume(run_fanout(q, layout, spark)), 1, REPEATS), 4) for n, q in queries.items()}
 
 
 def path_points(spark: SparkSession) -> list[dict]:
-    """Seconds and scan cost of Q1 by path and window."""
+    """Mean seconds and cost of the ten queries by path and window, with the bytes that the runs scanned."""
     from chronofold.baselines import paths
-    from chronofold.plans.query import Query
     from chronofold.plans.runner import run_fanout, run_mono
     from chronofold.sources.folders import scratch
-    from chronofold.sources.layout import build_clipped_layout, write_scd2
+    from chronofold.sources.layout import write_scd2
+    from chronofold.workloads import studies
     from chronofold.workloads.histories import HISTORIES
 
     d = HISTORIES["part"]
-    source, spec = scratch(spark), d.spec
-    history = d.build(spark, FOLDER)
-    write_scd2(history, source)
-    layout = build_clipped_layout(history, d.grid, scratch(spark), spec, bucket_groups=1)
-    spark.read.parquet(source).drop("from_month").createOrReplaceTempView("source")
-    paths.layout_view(spark, layout, "clipped")
+    source = scratch(spark)
+    write_scd2(d.build(spark, FOLDER), source)
     held = spark.read.parquet(source).drop("from_month").persist()
     held.count()
     points = {}
     for name in ("w1", "w3", "w6", "w12"):
         w = d.windows[name]
-        q = Query("predicate", spec, w, phi="price < 10000", payload=("price",))
-        ways = {
-            "SQL, unclipped": lambda w=w: consume(paths.sql_windows(spark, "source", w, ["part_key"], "price < 10000", ["price"])),
-            "SQL, clipped": lambda w=w: consume(paths.sql_windows(spark, "clipped", w, ["part_key"], "price < 10000", ["price"])),
-            "engine, unclipped": lambda q=q: consume(paths.engine_on_scd2(spark, source, q, d.grid)),
-            "engine, clipped": lambda q=q: consume(run_fanout(q, layout, spark)),
-            "always on": lambda q=q: consume(run_mono(q, held)),
-        }
-        for way, run in ways.items():
-            seconds = measure(run, 1, REPEATS)
-            points[way, name] = (round(seconds, 4), cost_scan(0))
+        queries, layout = asked(spark, name)
+        views = studies.views(spark, FOLDER, source, layout)
+        ways = {f"SQL, {tag}": {f"q{i}": lambda run=run, v=v: run(v) for i, run in studies.sql_runs(spark, FOLDER, w).items()} for tag, v in views.items()}
+        ways["engine, unclipped"] = {n: lambda q=q: paths.engine_on_scd2(spark, source, q, d.grid) for n, q in queries.items()}
+        ways["engine, clipped"] = {n: lambda q=q: run_fanout(q, layout, spark) for n, q in queries.items()}
+        ways["always on"] = {n: lambda q=q: run_mono(q, held) for n, q in queries.items()}
+        for way, runs in ways.items():
+            seconds, usd = [], []
+            for run in runs.values():
+                seen = observe(spark, lambda run=run: consume(run()))
+                seconds.append(measure(lambda run=run: consume(run()), 0, REPEATS))
+                usd.append(0.0 if way == "always on" else cost_scan(seen.scanned_bytes, least=0) if way.startswith("SQL") else cost_serverless(seen.usage(WORKER_GB), PRICES))
+            points[way, name] = (round(suite_mean(seconds), 4), suite_mean(usd))
     held.unpersist()
     return frontier(points)
 
 
+def stage_points(spark: SparkSession) -> list[dict]:
+    """Where the time of the winner query goes, and what it exchanges: coupled plans against independent pieces."""
+    from chronofold.workloads.queries import QUERIES
+
+    return [{"plan": n, "shuffle_mb": round(x.shuffle_bytes / MIB, 3), "shuffle_rows": x.shuffle_rows, "seconds": round(x.seconds, 3)} | x.split for n in ("coupled_winner", "exchanged_winner", "independent_winner") for x in [observe(spark, lambda n=n: consume(QUERIES[n](spark, FOLDER)))]]
+
+
 def main() -> None:
     spark = session()
     seconds = suite_seconds(spark)
     out = {"metric": "mean of the medians of the ten-query suite, 12-month window, clipped layout", "value": round(suite_mean(list(seconds.values())), 4), "unit": "sec", "queries": seconds, "sf": os.path.basename(FOLDER.rstrip("/")).removeprefix("sf")}
     if "--paths" in sys.argv:
-        for p in path_points(spark):
+        points = path_points(spark)
+        for p in points + stage_points(spark):
             print(json.dumps(p), file=sys.stderr)
-        print(json.dumps({"break_even_queries_per_hour": break_even(201.0, cost_scan(0))}), file=sys.stderr)
+        engine = next(p["usd"] for p in points if (p["path"], p["window"]) == ("engine, clipped", "w12"))
+        print(json.dumps({"break_even_queries_per_hour": break_even(201.0, engine)}), file=sys.stderr)
     print(json.dumps(out))
 
 

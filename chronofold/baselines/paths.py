@@ -49,6 +49,53 @@ def sql_threshold(spark: SparkSession, view: str, window: QueryWindow, phi: str,
     )
 
 
+_ISLANDS = "SELECT {ids}, min(valid_from) AS valid_from, max(valid_to) AS valid_to FROM (SELECT *, sum(z) OVER (PARTITION BY {by} ORDER BY valid_from ROWS UNBOUNDED PRECEDING) AS island FROM (SELECT *, CASE WHEN lag(valid_to) OVER w = valid_from{same} THEN 0 ELSE 1 END AS z FROM {of} WINDOW w AS (PARTITION BY {by} ORDER BY valid_from))) GROUP BY {ids}, island"
+
+
+def sql_pairwise(spark: SparkSession, view: str, window: QueryWindow, key: str, x: str, left, right) -> DataFrame:
+    islands = _ISLANDS.format(ids="left_key, right_key", by="left_key, right_key", same="", of="p")
+    return spark.sql(
+        f"WITH c AS ({_clip(view, window)}), p AS (SELECT a.{key} AS left_key, b.{key} AS right_key, greatest(a.valid_from, b.valid_from) AS valid_from, least(a.valid_to, b.valid_to) AS valid_to "
+        f"FROM c a JOIN c b ON a.valid_from < b.valid_to AND b.valid_from < a.valid_to WHERE a.{key} = {left!r} AND b.{key} = {right!r} AND a.{x} < b.{x}) {islands}"
+    )
+
+
+def _cuts(view: str, window: QueryWindow, where: str) -> str:
+    return (
+        f"WITH m AS (SELECT * FROM ({_clip(view, window)}) WHERE {where}), q AS (SELECT valid_from AS tick FROM m UNION SELECT valid_to FROM m), "
+        f"g AS (SELECT tick AS valid_from, lead(tick) OVER (ORDER BY tick) AS valid_to FROM q)"
+    )
+
+
+def sql_better(spark: SparkSession, view: str, window: QueryWindow, key: str, x: str, where: str, reference) -> DataFrame:
+    islands = _ISLANDS.format(ids="reference_key, better", by="reference_key", same=" AND lag(better) OVER w = better", of="n")
+    return spark.sql(
+        f"{_cuts(view, window, where)}, r AS (SELECT g.*, a.{key} AS reference_key, a.{x} AS rx FROM g JOIN m a ON a.valid_from <= g.valid_from AND g.valid_from < a.valid_to WHERE a.{key} = {reference!r} AND g.valid_to IS NOT NULL), "
+        f"n AS (SELECT r.reference_key, r.valid_from, r.valid_to, count(o.{key}) AS better FROM r LEFT JOIN m o ON o.{key} <> r.reference_key AND o.valid_from <= r.valid_from AND r.valid_from < o.valid_to AND o.{x} < r.rx GROUP BY ALL) {islands}"
+    ).select("reference_key", FROM, TO, "better")
+
+
+def sql_ranked(spark: SparkSession, view: str, window: QueryWindow, key: str, x: str, where: str, k: int) -> DataFrame:
+    islands = _ISLANDS.format(ids="rank, key, x", by="rank", same=" AND lag(key) OVER w = key AND lag(x) OVER w = x", of="z")
+    return spark.sql(
+        f"{_cuts(view, window, where)}, o AS (SELECT g.valid_from, g.valid_to, m.{key} AS key, m.{x} AS x, row_number() OVER (PARTITION BY g.valid_from ORDER BY m.{x}, m.{key}) AS rank FROM g JOIN m ON m.valid_from <= g.valid_from AND g.valid_from < m.valid_to WHERE g.valid_to IS NOT NULL), "
+        f"z AS (SELECT * FROM o WHERE rank <= {k}) {islands}"
+    ).select(FROM, TO, "rank", "key", "x")
+
+
+def scd2_by_chunk(spark: SparkSession, path: str, window: QueryWindow, grid: ChunkGrid) -> DataFrame:
+    """Segments from the unclipped source as chunk workers get them: each chunk reads every month up to it and keeps what overlaps."""
+    first, last = grid.chunks_for(window)
+    source = spark.read.parquet(path)
+    out = None
+    for c in range(first, last + 1):  # as many scans as the window has chunks, each over all earlier months
+        low, high = (F.greatest(grid.start(F.lit(c)), window.low), F.least(grid.start(F.lit(c + 1)), window.high))
+        rows = source.where((F.col("from_month") <= F.year(high) * 12 + F.month(high) - 1) & (F.col(FROM) < high) & (F.col(TO) > low))
+        one = rows.withColumns({FROM: F.greatest(F.col(FROM), low), TO: F.least(F.col(TO), high)}).drop("from_month").withColumn("chunk", F.lit(c))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def engine_on_scd2(spark: SparkSession, path: str, query: Query, grid: ChunkGrid) -> DataFrame:
     """The engine with the unclipped source: each chunk's input is every month up to it, tested for overlap, then cut."""
     from ..sources.layout import clip_to_chunks

@@ -148,6 +148,15 @@ def ranked_timeline(seg: DataFrame, key: str, x: str, k: int, descending: bool =
     return out.select(*family, FROM, TO, "rank", *on)
 
 
+def ranked_lists(seg: DataFrame, key: str, x: str, k: int, descending: bool = False, family: Sequence[str] = ()) -> DataFrame:
+    """(family, valid_from, valid_to, members): the best k of every segment between neighbouring cuts as one ordered list of
+    (rank, key, x); a list has k members at most."""
+    family = list(family)
+    rows = chunked(seg).where(F.col(x).isNotNull()).select(*family, "chunk", F.col(key).alias("key"), F.col(x).alias("x"), FROM, TO)
+    best = _best(rows, family, k, descending, "native")
+    return best.groupBy(*family, "chunk", FROM, TO).agg(F.sort_array(F.collect_list(F.struct("rank", "key", "x"))).alias("members")).drop("chunk")
+
+
 def winner_timeline(seg: DataFrame, key: str, x: str, **options) -> DataFrame:
     return ranked_timeline(seg, key, x, 1, **options)
 

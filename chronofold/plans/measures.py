@@ -7,7 +7,7 @@ import time
 from collections.abc import Callable, Mapping, Sequence
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 TIB = 1 << 40
 MIB = 1 << 20
@@ -47,6 +47,67 @@ class Usage:
     logical_bytes: int = 0
 
 
+@dataclass(frozen=True)
+class Observed:
+    """What the stages of a run did, from Spark's own status store."""
+
+    seconds: float
+    tasks: int
+    task_seconds: float
+    scanned_bytes: int
+    scanned_rows: int
+    shuffle_bytes: int
+    shuffle_rows: int
+    spilled_bytes: int
+    peak_memory: int
+    #: Task seconds of stages that read input, of those between two exchanges, and of those that end the run.
+    split: dict[str, float]
+
+    def usage(self, worker_gb: float) -> Usage:
+        """Billing units, with a task as one function of ``worker_gb`` of memory that is started by one queue request, reads its
+        input in one request, writes its exchange in one, and commits once."""
+        return Usage(self.task_seconds * worker_gb, self.tasks, self.tasks, self.tasks, self.tasks, self.scanned_bytes)
+
+
+def observe(spark: SparkSession, run: Callable[[], object]) -> Observed:
+    """Run and report the stages that it added.  Other work of the application must not run meanwhile."""
+    store, gateway = spark.sparkContext._jsc.sc().statusStore(), spark.sparkContext._gateway
+    none = gateway.new_array(spark.sparkContext._jvm.double, 0)
+
+    def stages() -> dict:
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+        found = store.stageList(None, False, False, none, None)
+        return {(s.stageId(), s.attemptId()): s for s in (found.apply(i) for i in range(found.size()))}
+
+    before = stages().keys()
+    began = time.perf_counter()
+    run()
+    seconds = time.perf_counter() - began
+    new = [s for k, s in stages().items() if k not in before and s.numCompleteTasks()]
+    split = {"scan": 0.0, "exchange": 0.0, "end": 0.0}
+    for s in new:
+        split["scan" if s.inputBytes() else "exchange" if s.shuffleWriteBytes() else "end"] += s.executorRunTime() / 1000
+    total = lambda f: sum(getattr(s, f)() for s in new)
+    return Observed(
+        seconds, total("numCompleteTasks"), total("executorRunTime") / 1000, total("inputBytes"), total("inputRecords"), total("shuffleWriteBytes"), total("shuffleWriteRecords"),
+        total("memoryBytesSpilled") + total("diskBytesSpilled"), max((s.peakExecutionMemory() for s in new), default=0), split,
+    )
+
+
+def fits(spark: SparkSession, run: Callable[[], object], memory: int) -> bool:
+    """Whether a run neither spills nor has a stage of more than ``memory`` bytes of execution memory: the probe of a piece ceiling
+    (see ``calibrate_ceiling``)."""
+    seen = observe(spark, run)
+    return seen.spilled_bytes == 0 and seen.peak_memory <= memory
+
+
+def cold_and_warm(run: Callable[[], object], repeats: int = 5) -> tuple[float, float]:
+    """Seconds of the first run of its kind in an application, and the median of later ones."""
+    began = time.perf_counter()
+    run()
+    return time.perf_counter() - began, measure(run, 0, repeats)
+
+
 def cost_serverless(u: Usage, prices: Mapping[str, float]) -> float:
     """Functions by memory and time, object requests, queue and commit registry, in USD."""
     return u.gb_seconds * prices["gb_second"] + u.reads * prices["read"] + u.writes * prices["write"] + u.queue_requests * prices["queue"] + u.commits * prices["commit"]

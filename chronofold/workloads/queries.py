@@ -21,7 +21,7 @@ from ..sources.files import load, props
 from ..sources.folders import scratch
 from ..streaming.ingest import session_counts, sliding_counts, tumbling_counts
 from . import oracles as sql
-from . import stored
+from . import stored, studies
 from .histories import HISTORIES
 from .suite import SUITE, compositions, nth_key, segmented, smallest, suite
 
@@ -363,11 +363,6 @@ def exchanged_winner(spark, folder):
     return paths.exchanged_rank(PART.build(spark, folder), "part_key", "price", 1, W12, ly.ChunkGrid.calendar("WEEK"))
 
 
-@query()
-def coupled_inflation(spark, folder):
-    return paths.coupled_input(PART.build(spark, folder), W12, ly.ChunkGrid.calendar("WEEK"))
-
-
 @query(sql.predicate("part", W12, "price < 10000", ["price"]))
 def engine_scd2_q1(spark, folder):
     path = scratch(spark)
@@ -375,35 +370,6 @@ def engine_scd2_q1(spark, folder):
     return paths.engine_on_scd2(spark, path, Query("predicate", PART.spec, W12, phi="price < 10000", payload=("price",)), PART.grid)
 
 
-def _view(spark: SparkSession, folder: str, dims: tuple = ()) -> str:
-    rows = PART.build(spark, folder)
-    for x in dims:
-        rows = rows.join(PART.dim(spark, folder, x), PART.dims[x][0], "left")
-    rows.createOrReplaceTempView("scd2_part")
-    return "scd2_part"
-
-
-_SQL = {"q1": ("price < 10000", ["price"]), "q3": ("price < 10000 AND score >= 25", []), "q4": ("price < 10000 OR score >= 25", []), "q5": ("price < 10000 AND NOT coalesce(score >= 25, false)", [])}
-for _k, (_phi, _pay) in _SQL.items():
-    query(sql.predicate("part", W12, _phi, _pay), f"sql_scd2_{_k}")(lambda spark, folder, phi=_phi, pay=_pay: paths.sql_windows(spark, _view(spark, folder), W12, ["part_key"], phi, pay))
-
-
-@query(sql.duration("part", W12, "price", ["brand"], ["brand"]))
-def sql_scd2_q2(spark, folder):
-    return paths.sql_average(spark, _view(spark, folder, ("brand",)), W12, "price", "brand")
-
-
-@query(sql.count("part", W12, "price < 10000", ["brand"], ["brand"], 8))
-def sql_scd2_q6(spark, folder):
-    return paths.sql_threshold(spark, _view(spark, folder, ("brand",)), W12, "price < 10000", "brand", 8)
-
-
-@query(sql.predicate("part", W12, "price < 10000", ["price"]))
-def sql_clipped_q1(spark, folder):
-    paths.layout_view(spark, _stored(spark, folder), "clipped_part")
-    return paths.sql_windows(spark, "clipped_part", W12, ["part_key"], "price < 10000", ["price"])
-
-
 @query(f"{sql.clipped('supp', W12)}, s AS (SELECT supp_key, CAST(sum(price * CAST(date_diff('microsecond', valid_from, valid_to) AS DECIMAL(20,0))) AS DECIMAL(38,2)) AS weighted_sum, CAST(sum(date_diff('microsecond', valid_from, valid_to)) AS BIGINT) AS duration_us FROM c GROUP BY supp_key) SELECT *, round(CAST(weighted_sum AS DOUBLE) / duration_us, 6) AS twa FROM s")
 def native_sequence_average(spark, folder):
     return paths.native_sequences(HISTORIES["supp"].build(spark, folder), ["supp_key"], "price", W12)
@@ -518,3 +484,7 @@ def distinct_keys_by_region(spark, folder):
 def temporal_index_counts(spark, folder):
     return paths.event_list_counts(USER.build(spark, folder), USER.windows["cut"], 3_600_000_000)
 
+
+
+QUERIES |= studies.QUERIES
+ORACLES |= studies.ORACLES
