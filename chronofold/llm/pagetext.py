@@ -1,15 +1,19 @@
 """Main text of web pages by site style trees.
 
-Pages of a host are merged by *style path* (the tags with class and id from the root down).  For a node of the merged tree
-with m pages, a block of text that n of them share has entropy log n / log m; the content importance is one less the mean of
-these over the blocks below the node, the presentation importance the entropy (base m) of the node's child sequences, and the
-composite (1 - g^l) presentation + g^l content for l distinct child sequences.  Branches of low importance are removed from
+Pages of a host are merged by *style path* (the tags with class and id from the root down, containers also with their place
+among siblings of that name, so that classless pages have a tree too).  For a node of the merged tree with m pages, a block of
+text that n of them share has entropy log n / log m; the content importance is one less the mean of these over the blocks below
+the node, the presentation importance the entropy (base m) of the node's child sequences, and the composite
+(1 - g^l) presentation + g^l content for l distinct child sequences, times the share of its words that stand outside of links.
+
+Beside what pages repeat, the tree tells where a host's pages have their words: branches of the page itself, or of an element
+that merely wraps it, that hold few of them are worth as much less (headings apart).  Branches of low importance are removed from
 each page.
 
-Few pages of a host, or a host of near copies, say little about a branch.  So the tree is joined by what markup itself says:
-elements and names of navigation, advertising, forms, comments and the like never hold main text; inside an article (or main)
-headings and paragraphs stay whatever their importance, since copies of an article are still its text; and where a page has an
-article, only that counts.
+The tree is joined by what markup itself says, which one page can tell: elements and names of navigation, advertising, forms,
+comments and the like never hold main text; inside an article (or main) headings and paragraphs stay whatever their importance,
+since copies of an article are still its text; and where a page has an article, only that counts.  ``markup=False`` leaves the
+tree alone.
 """
 
 from __future__ import annotations
@@ -28,8 +32,10 @@ from pyspark.sql import functions as F
 from .common import spool, tidy
 
 DECAY = 0.9
-LEAST_PAGES = 5
 LEAST_IMPORTANCE = 0.3
+#: A branch of the page with less than this share of the host's words loses importance in proportion; an element with at least
+#: ``WRAPPER`` of them, half in one container, only wraps the page.
+LEAST_SHARE, WRAPPER = 0.2, 0.9
 #: Most branches that are sent to every task; beyond, they are joined to the pages by host.
 MAX_BROADCAST = 200_000
 
@@ -37,6 +43,8 @@ MAX_BROADCAST = 200_000
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title noscript template iframe xmp noembed noframes svg math object canvas".split())
 BLOCK = frozenset("html body address article aside blockquote center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr legend li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+CONTAINERS = BLOCK - HEADINGS - frozenset("html body p li dt dd tr td th pre blockquote hr figcaption legend summary".split())
 CLOSES_P = BLOCK - {"html", "body", "td", "th", "tr", "tbody", "thead", "tfoot"}
 #: A start tag ends an open element of these, up to the element that bounds the search.
 SIBLINGS = {"li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "dd": ({"dt", "dd"}, {"dl"}), "tr": ({"tr", "td", "th"}, {"table", "tbody", "thead", "tfoot"}), "td": ({"td", "th"}, {"tr"}), "th": ({"td", "th"}, {"tr"}), "option": ({"option"}, {"select"})}
@@ -59,21 +67,22 @@ _DIGITS = re.compile(r"\d+")
 
 
 class Element:
-    __slots__ = ("article", "children", "name", "noise", "path", "tag")
+    __slots__ = ("article", "children", "name", "noise", "path", "places", "tag")
 
     def __init__(self, tag: str, name: str, path: int, noise: bool, article: bool) -> None:
         self.tag, self.name, self.path, self.noise, self.article = tag, name, path, noise, article
         self.children: list[str] = []
+        self.places: Counter = Counter()
 
 
 class Block:
-    """A stretch of text in one block element: its style paths from the root down (with tags), and whether markup calls it
-    noise or article."""
+    """A stretch of text in one block element: its style paths from the root down (with tags), how many of its words are in
+    links, and whether markup calls it noise or article."""
 
-    __slots__ = ("article", "noise", "paths", "tags", "text")
+    __slots__ = ("article", "linked", "noise", "paths", "tags", "text")
 
-    def __init__(self, stack: list[Element], text: str) -> None:
-        self.text = text
+    def __init__(self, stack: list[Element], text: str, linked: int) -> None:
+        self.text, self.linked = text, linked
         self.paths, self.tags = [e.path for e in stack], [e.tag for e in stack]
         self.noise, self.article = stack[-1].noise, stack[-1].article
 
@@ -85,13 +94,16 @@ def parse(page: str | None) -> tuple[list[Block], list[tuple[int, int]]]:
     blocks: list[Block] = []
     shapes: list[tuple[int, int]] = []
     pieces: list[str] = []
+    linked = 0
 
     def flush() -> None:
+        nonlocal linked
         if pieces:
             text = " ".join(html.unescape("".join(pieces)).split())
             pieces.clear()
             if text:
-                blocks.append(Block(stack, text))
+                blocks.append(Block(stack, text, linked))
+            linked = 0
 
     def close(down_to: int) -> None:
         while len(stack) > down_to:
@@ -112,6 +124,8 @@ def parse(page: str | None) -> tuple[list[Block], list[tuple[int, int]]]:
     for m in iter(lambda: _TAG.search(source, at), None):
         if m.start() > at:
             pieces.append(source[at : m.start()])
+            if any(e.tag == "a" for e in stack):
+                linked += len(pieces[-1].split())
         at = m.end()
         if m[2] is None:
             continue
@@ -150,7 +164,12 @@ def parse(page: str | None) -> tuple[list[Block], list[tuple[int, int]]]:
         up = stack[-1]
         noise = up.noise or tag in NOISE_TAGS or "hidden" in named or named.get("aria-hidden", "").lower() == "true" or named.get("role", "").lower() in NOISE_ROLES or tag not in ("html", "body") and any(NOISE_NAMES.search(OWN_NAMES.sub(" ", named[k])) for k in ("class", "id") if k in named)
         up.children.append(name)
-        stack.append(Element(tag, name, xxhash.xxh64_intdigest(f"{up.path}/{name}") >> 1, noise, up.article or tag in ARTICLE))
+        if tag in CONTAINERS:
+            up.places[name] += 1
+            place = f"{name}#{up.places[name]}"
+        else:
+            place = name
+        stack.append(Element(tag, name, xxhash.xxh64_intdigest(f"{up.path}/{place}") >> 1, noise, up.article or tag in ARTICLE))
     if at < len(source):
         pieces.append(source[at:])
     flush()
@@ -165,9 +184,12 @@ def host_of(url: str | None) -> str:
         return ""
 
 
-def main_text(page: str | None, removed: frozenset[int] | set[int] = frozenset()) -> str:
-    """Blocks that are neither noise by their markup nor under a removed style path, joined by line feeds."""
+def main_text(page: str | None, removed: frozenset[int] | set[int] = frozenset(), markup: bool = True) -> str:
+    """Blocks that are neither noise by their markup nor under a removed style path, joined by line feeds; without ``markup`` the
+    removed paths alone decide."""
     blocks, _ = parse(page)
+    if not markup:
+        return "\n".join(b.text for b in blocks if not removed.intersection(b.paths))
     kept = [b for b in blocks if not b.noise]
     if any(b.article for b in kept):
         kept = [b for b in kept if b.article]
@@ -180,8 +202,9 @@ def main_text(page: str | None, removed: frozenset[int] | set[int] = frozenset()
 
 
 def style_counts(pages: DataFrame) -> DataFrame:
-    """(host, path, kind, feature, n): pages of a host whose node has the feature; kinds: m the node itself, c a block of
-    text below it, p a sequence of children."""
+    """(host, path, kind, feature, n): pages of a host whose node has the feature; kinds: m the node itself (feature: its tag's
+    kind, 1 heading, 2 container), c a block of text below it, p a sequence of children, u the node above; and sums over pages,
+    w words and l words in links.  Path 0 is the page."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: Counter = Counter()
@@ -196,10 +219,13 @@ def style_counts(pages: DataFrame) -> DataFrame:
                 host, seen = host_of(url), set()
                 blocks, shapes = parse(page.as_py())
                 for b in blocks:
-                    text = xxhash.xxh64_intdigest(b.text) >> 1
+                    text, words, above = xxhash.xxh64_intdigest(b.text) >> 1, len(b.text.split()), 0
                     for path, tag in zip(b.paths, b.tags, strict=True):
-                        if tag not in ("", "html", "body") and tag in BLOCK:
-                            seen |= {(path, "c", text), (path, "m", 0)}
+                        if tag == "" or tag not in ("html", "body") and tag in BLOCK:
+                            seen |= {(path, "c", text), (path, "m", 1 if tag in HEADINGS else 2 if tag in CONTAINERS else 0), (path, "u", above)}
+                            held[host, path, "w", 0] += words
+                            held[host, path, "l", 0] += min(words, b.linked)
+                            above = path
                 nodes = {p for p, kind, _ in seen if kind == "m"}
                 seen |= {(p, "p", s) for p, s in shapes if p in nodes}
                 held.update((host, *s) for s in seen)
@@ -213,14 +239,15 @@ def style_counts(pages: DataFrame) -> DataFrame:
 
 
 def importance(counts: DataFrame) -> DataFrame:
-    """(host, path, pages, presentation, content, importance) of every node of the style trees."""
+    """(host, path, pages, presentation, content, importance) of every node of the style trees, the page itself apart."""
 
     def of(kind: str, value):
         return F.sum(F.when(F.col("kind") == kind, value).otherwise(0.0))
 
     n = F.col("n")
     nodes = counts.groupBy("host", "path").agg(
-        F.max(F.when(F.col("kind") == "m", n)).alias("pages"),
+        F.max(F.when(F.col("kind") == "m", n)).alias("pages"), F.max(F.when(F.col("kind") == "m", F.col("feature"))).alias("tag"), F.max(F.when(F.col("kind") == "u", F.col("feature"))).alias("above"),
+        F.max(F.when(F.col("kind") == "w", n)).alias("words"), F.max(F.when(F.col("kind") == "l", n)).alias("linked"),
         of("c", F.log(n)).alias("shared"), of("c", F.lit(1.0)).alias("texts"),
         of("p", n.cast("double")).alias("shapes"), of("p", n * F.log(n)).alias("weighed"), of("p", F.lit(1.0)).alias("forms"),
     )
@@ -229,14 +256,28 @@ def importance(counts: DataFrame) -> DataFrame:
     nodes = nodes.withColumn("content", F.when(several, 1 - F.col("shared") / F.col("texts") / base).otherwise(1.0))
     nodes = nodes.withColumn("presentation", F.when(several & (F.col("shapes") > 0), F.least(F.lit(1.0), (F.log("shapes") - F.col("weighed") / F.col("shapes")) / base)).otherwise(F.when(several, 0.0).otherwise(1.0)))
     decay = F.pow(F.lit(DECAY), F.col("forms"))
-    return nodes.select("host", "path", "pages", "presentation", "content", ((1 - decay) * F.col("presentation") + decay * F.col("content")).alias("importance"))
-
-
-def extract(pages: DataFrame) -> DataFrame:
-    """(page_id, url, text) of every page (page_id, url, html).  Null html is empty, a null url has no host; repeated rows
-    stay repeated, and an empty table gives an empty result."""
-    nodes = importance(style_counts(pages))
-    low = spool(nodes.where((F.col("pages") >= LEAST_PAGES) & (F.col("importance") < LEAST_IMPORTANCE)).groupBy("host").agg(F.collect_set("path").alias("paths")))
+    nodes = nodes.withColumn("own", ((1 - decay) * F.col("presentation") + decay * F.col("content")) * (1 - F.col("linked") / F.greatest("words", F.lit(1))))
+    # words of the whole page, and of the largest container below, by host and node; a node has one row, so no group is large
+    page = nodes.where("path = 0").select("host", (F.col("words") / F.col("pages")).alias("page"))
+    below = nodes.where("tag = 2").groupBy("host", F.col("above").alias("path")).agg(F.max("words").alias("below"))
+    nodes = nodes.join(page, "host").join(below, ["host", "path"], "left")
+    share = F.col("words") / F.col("pages") / F.greatest("page", F.lit(1.0))
+    nodes = nodes.withColumns({"share": share, "wraps": (F.col("path") == 0) | (share >= WRAPPER) & (F.coalesce("below", F.lit(0)) * 2 >= F.col("words"))})
+    up = nodes.where("wraps").select("host", F.col("path").alias("above"), F.lit(True).alias("free"))
+    nodes = nodes.where("path <> 0").join(up, ["host", "above"], "left")
+    weight = F.when(F.col("free") & ~F.col("wraps") & (F.col("tag") != 1), F.least(F.lit(1.0), F.col("share") / LEAST_SHARE)).otherwise(1.0)
+    return nodes.select("host", "path", "pages", "presentation", "content", F.when(F.col("wraps"), 1.0).otherwise(F.col("own") * weight).alias("importance"))
+
+
+def removed_paths(pages: DataFrame) -> DataFrame:
+    """(host, paths): the branches of each host's tree that are removed."""
+    return spool(importance(style_counts(pages)).where(F.col("importance") < LEAST_IMPORTANCE).groupBy("host").agg(F.collect_set("path").alias("paths")))
+
+
+def extract(pages: DataFrame, markup: bool = True) -> DataFrame:
+    """(page_id, url, text) of every page (page_id, url, html); other columns aren't read.  Null html is empty, a null url has no
+    host; repeated rows stay repeated, and an empty table gives an empty result."""
+    low = removed_paths(pages)
     size = low.agg(F.sum(F.size("paths") + 1).alias("n")).first().n or 0
     kept = pages.select("page_id", "url", "html")
     schema = f"page_id {pages.schema['page_id'].dataType.simpleString()}, url string, text string"
@@ -246,7 +287,7 @@ def extract(pages: DataFrame) -> DataFrame:
 
         def by_host(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                texts = [main_text(p.as_py(), shared.value.get(host_of(u), frozenset())) for u, p in zip(batch["url"].to_pylist(), batch["html"], strict=True)]
+                texts = [main_text(p.as_py(), shared.value.get(host_of(u), frozenset()), markup) for u, p in zip(batch["url"].to_pylist(), batch["html"], strict=True)]
                 yield pa.record_batch([batch["page_id"], batch["url"], pa.array(texts, pa.string())], names=["page_id", "url", "text"])
 
         return kept.mapInArrow(tidy(by_host), schema)
@@ -257,7 +298,7 @@ def extract(pages: DataFrame) -> DataFrame:
 
     def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [main_text(p.as_py(), frozenset(x.as_py() or ())) for p, x in zip(batch["html"], batch["paths"], strict=True)]
+            texts = [main_text(p.as_py(), frozenset(x.as_py() or ()), markup) for p, x in zip(batch["html"], batch["paths"], strict=True)]
             yield pa.record_batch([batch["page_id"], batch["url"], pa.array(texts, pa.string())], names=["page_id", "url", "text"])
 
     return kept.withColumn("host", host("url")).join(low, "host", "left").mapInArrow(tidy(joined), schema)
