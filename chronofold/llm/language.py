@@ -27,7 +27,7 @@ LONGEST_GRAM = 5
 MAX_LANGUAGES = 30_000
 #: Words remembered with their logs, new words scored at once, and texts taken at once.
 MEMO_WORDS, FRESH_WORDS, BATCH_TEXTS = 100_000, 20_000, 500
-SMOOTHING = 0.1
+SMOOTHING = 0.01
 UNDETERMINED = "und"
 
 _WORD = re.compile(r"[^\W\d_]+")

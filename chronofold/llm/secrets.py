@@ -145,19 +145,22 @@ def scan(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFra
 
 
 def redact_secrets(docs: DataFrame) -> DataFrame:
-    """``docs`` with secrets in the column text replaced by a mark, and n_chars (if there) counted anew where they were."""
-
-    kinds = {f.name: f.dataType.simpleString() for f in docs.schema}
+    """``docs`` with secrets in the column text replaced by a mark, and n_chars (if there) counted anew where they were.  A null
+    text stays null, other columns stay as they are, and rows are taken one by one, repeated or not."""
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
 
     def redacted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            clean = pa.array([redact(t.as_py()) for t in batch["text"]], batch.schema.field("text").type)
-            yield pa.record_batch([*batch.columns, clean], names=[*batch.schema.names, "_clean"])
-
-    out = docs.mapInArrow(tidy(redacted), ", ".join([*(f"`{n}` {k}" for n, k in kinds.items()), "_clean string"]))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("_clean") != F.col("text"), F.char_length("_clean").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
-    return out.withColumn("text", F.col("_clean")).select(*docs.columns)
+            texts = batch["text"].to_pylist()
+            clean = [redact(t) for t in texts]
+            columns = dict(zip(batch.schema.names, batch.columns, strict=True))
+            columns["text"] = pa.array(clean, batch.schema.field("text").type)
+            if "n_chars" in columns:
+                sizes = columns["n_chars"].to_pylist()
+                columns["n_chars"] = pa.array([n if t == c else len(c) for t, c, n in zip(texts, clean, sizes, strict=True)], batch.schema.field("n_chars").type)
+            yield pa.record_batch(list(columns.values()), names=list(columns))
+
+    return docs.mapInArrow(tidy(redacted), schema)
 
 
 def op6_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -39,3 +39,18 @@ def test_run_and_empty(spark, data):
     for _, stage in corpus_pipeline.STAGES:
         docs = stage(spark, docs, data)
     assert docs.count() == 0
+
+
+def test_stages_keep_odd_columns_and_rows(spark, data):
+    """Extra columns with names that stages use themselves, null and repeated ids, rows that are the same."""
+    from pyspark.sql import functions as F
+
+    docs = spark.read.parquet(f"{data}/documents.parquet").limit(80)
+    odd = docs.unionByName(docs.limit(3)).unionByName(docs.limit(2).withColumn("doc_id", F.lit(None).cast("long")))
+    for name in ("score", "lang_pred", "_clean", "host", "rate", "root", "node"):
+        odd = odd.withColumn(name, F.lit("x"))
+    rows = odd.cache()
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        rows = stage(spark, rows, data).cache()
+        assert rows.columns == odd.columns and rows.where("score = 'x' AND lang_pred = 'x' AND _clean = 'x'").count() == rows.count() > 0
+    assert corpus_pipeline.STAGES[-1][1](spark, rows, data).count() >= rows.count()
