@@ -48,7 +48,17 @@ def spool(df: DataFrame, compression: str = "zstd") -> DataFrame:
         df.select("*").write.option("compression", compression).parquet(path)
     finally:
         spark.conf.set(_CLEANUP, before)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._folder = path  # for ``discard``
+    return out
+
+
+def discard(spooled: DataFrame) -> None:
+    """Delete a spooled table that nothing reads any more."""
+    for folders in _OPEN:
+        if spooled._folder in folders:
+            folders.remove(spooled._folder)
+    delete(spooled.sparkSession, spooled._folder)
 
 
 def delete(spark: SparkSession, path: str) -> None:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import finished, part_of, spool, spread_join, temporary, tidy
+from .common import discard, finished, part_of, spool, spread_join, temporary, tidy
 from .components import component_roots
 from .simhash import _signed, covering_masks, majority, shingle_hashes
 
@@ -284,15 +284,19 @@ def _near(eager: int | None):
 
 def meetings(all_rows: DataFrame, rooted: DataFrame, repeated: bool) -> tuple[DataFrame, DataFrame]:
     """(k, blocks, node, root, size, place): keys that texts of different roots share, a row for each text that has them; and
-    (node, parity).  ``rooted``: (digest, node, root).
+    (node, parity).  ``rooted``: (digest, node, root).  ``all_rows``, a spooled table, is deleted once its keys are copied.
 
     A rare key's rows are in one partition, where counting needs no further shuffle; a frequent one's are counted by part.
     """
     keyed = all_rows.select("digest", F.col("doc_id").alias("node"), F.col("shingles").alias("size"), "rare", "frequent", "parity").join(rooted, ["digest", "node"])
     keyed = spool((keyed.dropDuplicates(["digest", "node"]) if repeated else keyed).drop("digest"))
-    rare = keyed.select("node", "root", "size", F.posexplode("rare").alias("place", "k"))
-    of_key = Window.partitionBy("k")
-    rare = rare.withColumns({"n": F.count(F.lit(1)).over(of_key), "a": F.min("root").over(of_key), "b": F.max("root").over(of_key)}).where("a < b").drop("a", "b")
+    discard(all_rows)
+    # most of the stage's bytes: size and place in one number, and no root where it is the node
+    rare = keyed.select("node", F.nullif("root", "node").alias("root"), "size", F.posexplode("rare").alias("place", "k"))
+    rare = rare.select("k", "node", "root", (F.col("size").cast("long") * (1 << 32) + F.col("place")).alias("x"))
+    of_key, root = Window.partitionBy("k"), F.coalesce("root", "node")
+    rare = rare.withColumns({"n": F.count(F.lit(1)).over(of_key), "a": F.min(root).over(of_key), "b": F.max(root).over(of_key)}).where("a < b")
+    rare = rare.select("node", root.alias("root"), F.shiftright("x", 32).cast("int").alias("size"), F.pmod("x", F.lit(1 << 32)).cast("int").alias("place"), "k", "n")
     often = keyed.select("node", "root", "size", part_of("node").alias("part"), F.size("rare").alias("before"), F.posexplode("frequent").alias("place", "k")).withColumn("place", F.col("place") + F.col("before")).drop("before")
     parts = often.groupBy("k", "part").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("a"), F.max("root").alias("b"))
     sizes = parts.groupBy("k").agg(F.sum("n").alias("n"), F.min("a").alias("a"), F.max("b").alias("b"), F.collect_list("part").alias("parts")).where("a < b").select("k", "n", F.explode("parts").alias("part"))
@@ -315,7 +319,7 @@ def near_copy_roots(docs: DataFrame) -> DataFrame:
     with temporary(docs.sparkSession):
         docs = docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
         rows = spool(told(docs))
-        light = rows.select("doc_id", "digest", "fingerprint", "shingles", "passages")
+        light = spool(rows.select("doc_id", "digest", "fingerprint", "shingles", "passages"))
         nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("digest", "x.*"))
 
         repeated = not docs.groupBy("doc_id").count().where("count > 1").isEmpty()  # if not, shuffles to drop duplicates aren't needed
