@@ -257,6 +257,7 @@ def importance(counts: DataFrame) -> DataFrame:
     nodes = nodes.withColumn("presentation", F.when(several & (F.col("shapes") > 0), F.least(F.lit(1.0), (F.log("shapes") - F.col("weighed") / F.col("shapes")) / base)).otherwise(F.when(several, 0.0).otherwise(1.0)))
     decay = F.pow(F.lit(DECAY), F.col("forms"))
     nodes = nodes.withColumn("own", ((1 - decay) * F.col("presentation") + decay * F.col("content")) * (1 - F.col("linked") / F.greatest("words", F.lit(1))))
+    nodes = spool(nodes)  # it meets itself below
     # words of the whole page, and of the largest container below, by host and node; a node has one row, so no group is large
     page = nodes.where("path = 0").select("host", (F.col("words") / F.col("pages")).alias("page"))
     below = nodes.where("tag = 2").groupBy("host", F.col("above").alias("path")).agg(F.max("words").alias("below"))
