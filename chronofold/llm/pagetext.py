@@ -8,7 +8,7 @@ the node, the presentation importance the entropy (base m) of the node's child s
 
 Beside what pages repeat, the tree tells where a host's pages have their words: branches of the page itself, or of an element
 that merely wraps it, that hold few of them are worth as much less (headings apart).  Branches of low importance are removed from
-each page.
+each page.  One with more than half of the words never is: pages that are copies of one another still have a text.
 
 The tree is joined by what markup itself says, which one page can tell: elements and names of navigation, advertising, forms,
 comments and the like never hold main text; inside an article (or main) headings and paragraphs stay whatever their importance,
@@ -267,7 +267,7 @@ def importance(counts: DataFrame) -> DataFrame:
     up = nodes.where("wraps").select("host", F.col("path").alias("above"), F.lit(True).alias("free"))
     nodes = nodes.where("path <> 0").join(up, ["host", "above"], "left")
     weight = F.when(F.col("free") & ~F.col("wraps") & (F.col("tag") != 1), F.least(F.lit(1.0), F.col("share") / LEAST_SHARE)).otherwise(1.0)
-    return nodes.select("host", "path", "pages", "presentation", "content", F.when(F.col("wraps"), 1.0).otherwise(F.col("own") * weight).alias("importance"))
+    return nodes.select("host", "path", "pages", "presentation", "content", F.when(F.col("wraps") | (F.col("share") > 0.5), 1.0).otherwise(F.col("own") * weight).alias("importance"))
 
 
 def removed_paths(pages: DataFrame) -> DataFrame:
