@@ -33,6 +33,9 @@ BLOCK = 256
 #: Texts that tell the frequent shingles, in how many of them, and how many shingles; a matter of speed, not of results.
 ORDER_DOCS, ORDER_LEAST, ORDER_SHINGLES = 2_000, 3, 50_000
 PARITY_BITS = 10  # 2 ** 10 bits
+#: Keys are the upper 48 bits of a shingle's hash, as they are most of what the stage writes.  Two shingles of one key make pairs
+#: that the whole sets tell apart; none is lost.
+KEY_MASK = ~0xFFFF
 #: Pairs that a group of rows of one key may leave for each row in the first round; beyond, it leaves a forest and is taken up
 #: again when that is joined.
 EAGER = 4
@@ -196,7 +199,7 @@ def keys_of(hashes: bytes, last: np.ndarray, rank: np.ndarray) -> tuple[np.ndarr
         at = np.minimum(np.searchsorted(last, h), len(last) - 1)
         ranks = np.where(last[at] == h, rank[at], 0)
     order = np.lexsort((h, ranks))[:first]
-    return h[order], int((ranks[order] == 0).sum()), parity_of(h.view(np.uint64), PARITY_BITS).tobytes()
+    return h[order] & KEY_MASK, int((ranks[order] == 0).sum()), parity_of(h.view(np.uint64), PARITY_BITS).tobytes()
 
 
 def forest(low: np.ndarray, high: np.ndarray) -> np.ndarray:
@@ -283,25 +286,23 @@ def _near(eager: int | None):
 
 
 def meetings(all_rows: DataFrame, rooted: DataFrame, repeated: bool) -> tuple[DataFrame, DataFrame]:
-    """(k, blocks, node, root, size, place): keys that texts of different roots share, a row for each text that has them; and
-    (node, parity).  ``rooted``: (digest, node, root).  ``all_rows``, a spooled table, is deleted once its keys are copied.
+    """(k, blocks, node, root, place): keys that texts of different roots share, a row for each text that has them; and
+    (node, size, parity).  ``rooted``: (digest, node, root).  ``all_rows``, a spooled table, is deleted once its keys are copied.
 
     A rare key's rows are in one partition, where counting needs no further shuffle; a frequent one's are counted by part.
     """
     keyed = all_rows.select("digest", F.col("doc_id").alias("node"), F.col("shingles").alias("size"), "rare", "frequent", "parity").join(rooted, ["digest", "node"])
     keyed = spool((keyed.dropDuplicates(["digest", "node"]) if repeated else keyed).drop("digest"))
     discard(all_rows)
-    # most of the stage's bytes: size and place in one number, and no root where it is the node
-    rare = keyed.select("node", F.nullif("root", "node").alias("root"), "size", F.posexplode("rare").alias("place", "k"))
-    rare = rare.select("k", "node", "root", (F.col("size").cast("long") * (1 << 32) + F.col("place")).alias("x"))
-    of_key, root = Window.partitionBy("k"), F.coalesce("root", "node")
-    rare = rare.withColumns({"n": F.count(F.lit(1)).over(of_key), "a": F.min(root).over(of_key), "b": F.max(root).over(of_key)}).where("a < b")
-    rare = rare.select("node", root.alias("root"), F.shiftright("x", 32).cast("int").alias("size"), F.pmod("x", F.lit(1 << 32)).cast("int").alias("place"), "k", "n")
-    often = keyed.select("node", "root", "size", part_of("node").alias("part"), F.size("rare").alias("before"), F.posexplode("frequent").alias("place", "k")).withColumn("place", F.col("place") + F.col("before")).drop("before")
+    # most of the stage's bytes: plain columns, as what a window takes is computed before its shuffle and shuffled too
+    rare = keyed.select("node", "root", F.posexplode("rare").alias("place", "k"))
+    of_key = Window.partitionBy("k")
+    rare = rare.withColumns({"n": F.count(F.lit(1)).over(of_key), "a": F.min("root").over(of_key), "b": F.max("root").over(of_key)}).where("a < b").drop("a", "b")
+    often = keyed.select("node", "root", part_of("node").alias("part"), F.size("rare").alias("before"), F.posexplode("frequent").alias("place", "k")).withColumn("place", F.col("place") + F.col("before")).drop("before")
     parts = often.groupBy("k", "part").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("a"), F.max("root").alias("b"))
     sizes = parts.groupBy("k").agg(F.sum("n").alias("n"), F.min("a").alias("a"), F.max("b").alias("b"), F.collect_list("part").alias("parts")).where("a < b").select("k", "n", F.explode("parts").alias("part"))
-    often = often.join(sizes, ["k", "part"]).drop("part")
-    return spool(rare.unionByName(often).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).drop("n")), keyed.select("node", "parity")
+    often = often.join(sizes, ["k", "part"]).drop("part").select(*rare.columns)
+    return spool(rare.unionByName(often).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).drop("n")), keyed.select("node", "size", "parity")
 
 
 def pairs_apart(met: DataFrame, parities: DataFrame, eager: int | None) -> DataFrame:
