@@ -285,6 +285,14 @@ def _near(eager: int | None):
     return each
 
 
+def packed(rows: DataFrame) -> DataFrame:
+    """Rows (node, root, place, k) dealt by k, which is most of the stage's bytes: the place goes in the key's free bits and the
+    root as what differs from the node, mostly nothing.  A place too large for these bits gets the largest, which bounds less."""
+    key = F.col("kp").bitwiseAND(F.lit(KEY_MASK))
+    rows = rows.select(F.col("k").bitwiseOR(F.least("place", F.lit(~KEY_MASK)).cast("long")).alias("kp"), "node", F.col("node").bitwiseXOR(F.col("root")).alias("off"))
+    return rows.repartition(key).select("node", F.col("node").bitwiseXOR(F.col("off")).alias("root"), F.col("kp").bitwiseAND(F.lit(~KEY_MASK)).cast("int").alias("place"), key.alias("k"))
+
+
 def meetings(all_rows: DataFrame, rooted: DataFrame, repeated: bool) -> tuple[DataFrame, DataFrame]:
     """(k, blocks, node, root, place): keys that texts of different roots share, a row for each text that has them; and
     (node, size, parity).  ``rooted``: (digest, node, root).  ``all_rows``, a spooled table, is deleted once its keys are copied.
@@ -294,8 +302,7 @@ def meetings(all_rows: DataFrame, rooted: DataFrame, repeated: bool) -> tuple[Da
     keyed = all_rows.select("digest", F.col("doc_id").alias("node"), F.col("shingles").alias("size"), "rare", "frequent", "parity").join(rooted, ["digest", "node"])
     keyed = spool((keyed.dropDuplicates(["digest", "node"]) if repeated else keyed).drop("digest"))
     discard(all_rows)
-    # most of the stage's bytes: plain columns, as what a window takes is computed before its shuffle and shuffled too
-    rare = keyed.select("node", "root", F.posexplode("rare").alias("place", "k"))
+    rare = packed(keyed.select("node", "root", F.posexplode("rare").alias("place", "k")))
     of_key = Window.partitionBy("k")
     rare = rare.withColumns({"n": F.count(F.lit(1)).over(of_key), "a": F.min("root").over(of_key), "b": F.max("root").over(of_key)}).where("a < b").drop("a", "b")
     often = keyed.select("node", "root", part_of("node").alias("part"), F.size("rare").alias("before"), F.posexplode("frequent").alias("place", "k")).withColumn("place", F.col("place") + F.col("before")).drop("before")

@@ -438,3 +438,22 @@ def test_maxent_of_many_learners_and_mapped_tables(spark, monkeypatch):
     assert len(pieces.tables) == 5 and np.allclose(pieces.weights, whole.weights, atol=1e-5)
     found = maxent.averaged(spark.createDataFrame([(0, t, 1, np.full(64, w, dtype="<f4").tobytes()) for t, w in ((10, 1.0), (30, 5.0))], maxent._RESULT), 2).collect()
     assert [(r.block, r.tokens, r.texts) for r in found] == [(0, 40, 2)] and (np.frombuffer(found[0].weights, dtype="<f4") == 4).all()
+
+
+def test_near_copy_keys_are_shuffled_packed(spark):
+    from pyspark.sql import Window
+    from pyspark.sql import functions as F
+
+    mask, far = nearcopies.KEY_MASK, (1 << 63) - 1
+    rows = [(5, 5, 0, 3 << 16), (far, -far - 1, 65_534, mask), (9, 2, 65_536, -far & mask), (-3, -7, 1 << 30, 0)]
+    table = spark.createDataFrame(rows, "node long, root long, place int, k long")
+    assert sorted(map(tuple, nearcopies.packed(table).collect())) == sorted((n, r, min(p, 65_535), k) for n, r, p, k in rows)
+    keys = F.transform(F.sequence(F.lit(0), F.lit(99)), lambda i: F.xxhash64("id", i).bitwiseAND(F.lit(mask)))
+    many = spark.range(5000).select((F.col("id") * 13).alias("node"), (F.col("id") * 13).alias("root"), F.posexplode(keys).alias("place", "k"))
+    sums, bytes_of = [], [0]
+    for x in (many, nearcopies.packed(many)):
+        n = F.count(F.lit(1)).over(Window.partitionBy("k"))
+        before = spark.sparkContext._jsc.sc().statusStore().executorList(True).apply(0).totalShuffleWrite()
+        sums.append(x.withColumn("n", n).agg(F.sum(F.xxhash64("node", "root", "place", "k", "n").cast("decimal(38,0)")).alias("h")).first().h)
+        bytes_of.append(spark.sparkContext._jsc.sc().statusStore().executorList(True).apply(0).totalShuffleWrite() - before)
+    assert sums[0] == sums[1] and bytes_of[2] < 0.8 * bytes_of[1]
