@@ -33,6 +33,8 @@ BLOCK = 256
 #: Texts that tell the frequent shingles, in how many of them, and how many shingles; a matter of speed, not of results.
 ORDER_DOCS, ORDER_LEAST, ORDER_SHINGLES = 2_000, 3, 50_000
 PARITY_BITS = 10  # 2 ** 10 bits
+#: Bits of ``marks`` for each id and places that an id has; at most so many bits in all (16 MB), beyond which more rows pass.
+MARK_BITS, MARK_PLACES, MARKS_MOST = 16, 3, 1 << 27
 #: Keys are the upper 48 bits of a shingle's hash, as they are most of what the stage writes.  Two shingles of one key make pairs
 #: that the whole sets tell apart; none is lost.
 KEY_MASK = ~0xFFFF
@@ -59,13 +61,14 @@ def describe(text: str | None) -> dict:
 
 
 def told(docs: DataFrame) -> DataFrame:
-    """(doc_id, digest, fingerprint, shingles, passages, rare, frequent, parity) of every row: what ``describe`` and ``keys_of``
-    say.  The hashes themselves are not kept; ``_alike`` takes them anew from the few texts that it compares."""
+    """(doc_id, digest, fingerprint, shingles, passages, rare, frequent, parity, sketch) of every row: what ``describe`` and
+    ``keys_of`` say, and a parity of one to two places a shingle where that is longer.  The hashes themselves are not kept;
+    ``_alike`` takes them anew from the few texts that it compares."""
     order = frequent(docs)
     by_hash = np.argsort(order)
     shared = docs.sparkSession.sparkContext.broadcast((order[by_hash], by_hash + 1))
     long = pa.list_(pa.int64())
-    kinds = {"digest": pa.binary(), "fingerprint": pa.int64(), "shingles": pa.int32(), "passages": long, "rare": long, "frequent": long, "parity": pa.binary()}
+    kinds = {"digest": pa.binary(), "fingerprint": pa.int64(), "shingles": pa.int32(), "passages": long, "rare": long, "frequent": long, "parity": pa.binary(), "sketch": pa.binary()}
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -75,10 +78,12 @@ def told(docs: DataFrame) -> DataFrame:
                 for text in part["text"]:
                     r = describe(text.as_py())
                     keys, n, parity = keys_of(r["hashes"], *shared.value)
-                    rows.append(r | {"rare": keys[:n], "frequent": keys[n:], "parity": parity})
+                    bits = (r["shingles"] - 1).bit_length()
+                    sketch = parity_of(np.frombuffer(r["hashes"], dtype="<u8"), bits).tobytes() if bits > PARITY_BITS else None
+                    rows.append(r | {"rare": keys[:n], "frequent": keys[n:], "parity": parity, "sketch": sketch})
                 yield pa.record_batch([part["doc_id"], *(pa.array([r[n] for r in rows], k) for n, k in kinds.items())], names=["doc_id", *kinds])
 
-    return docs.mapInArrow(tidy(each), "doc_id long, digest binary, fingerprint long, shingles int, passages array<long>, rare array<long>, frequent array<long>, parity binary")
+    return docs.mapInArrow(tidy(each), "doc_id long, digest binary, fingerprint long, shingles int, passages array<long>, rare array<long>, frequent array<long>, parity binary, sketch binary")
 
 
 def _worth(a: str, b: str) -> Column:
@@ -126,24 +131,47 @@ def _odd_places(a: bytes, b: bytes) -> int:
     return int((x ^ (y.reshape(len(x), -1).sum(axis=1) & 1)).sum())
 
 
-def _alike(pairs: DataFrame, docs: DataFrame, repeated: bool) -> DataFrame:
-    """The pairs (low, high) whose texts' shingle sets are similar.  Parities of one to two places a shingle tell most that
-    can't be, before the sets themselves meet.  ``repeated``: some ids have several rows."""
+def _places(of: str, bits: int) -> list[Column]:
+    return [F.pmod(F.xxhash64(F.lit(i), of), F.lit(bits)) for i in range(MARK_PLACES)]
 
-    def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for at in range(0, batch.num_rows, 200):
-                part = batch.slice(at, 200)
-                sets = [np.frombuffer(describe(t.as_py())["hashes"], dtype="<u8") for t in part["text"]]
-                parities = [parity_of(h, max(PARITY_BITS, (len(h) - 1).bit_length())).tobytes() for h in sets]
-                yield pa.record_batch([part["doc_id"], pa.array([len(h) for h in sets], pa.int64()), pa.array(parities, pa.binary())], names=["node", "n", "parity"])
 
-    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def marks(ids: DataFrame, of: str, rows: int) -> np.ndarray:
+    """Bytes of a Bloom filter in which the ``_places`` of all ids are set, of two bytes or less for each of ``rows`` ids."""
+    bits = min(MARKS_MOST, -(-max(1, rows) * MARK_BITS // 32_768) * 32_768)
+    at = ids.select(F.explode(F.array(*_places(of, bits))).alias("at"))
+    parts = at.groupBy(F.shiftright("at", 15).alias("part")).agg(F.bitmap_construct_agg(F.col("at") % 32_768).alias("bits")).toArrow()
+    out = np.zeros((bits // 32_768, 4096), dtype=np.uint8)
+    for part, own in zip(parts["part"].to_pylist(), parts["bits"].to_pylist(), strict=True):
+        out[part] = np.frombuffer(own, dtype=np.uint8)
+    return out.ravel()
+
+
+def _hash_sets(docs: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(node, hashes): the shingle sets of all texts of the pairs (low, high), and of few others.  Texts are picked where they are
+    read, by ``marks``: dealing them out for a join would write the whole corpus to disk."""
+    sc = docs.sparkSession.sparkContext
+    own = marks(pairs.select(F.explode(F.array("low", "high")).alias("node")), "node", 2 * pairs.count())
+    bits, shared = 8 * len(own), sc.broadcast(own)
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = shared.value
         for batch in batches:
-            for at in range(0, batch.num_rows, 200):
-                part = batch.slice(at, 200)
+            hit = np.ones(batch.num_rows, dtype=bool)
+            for i in range(MARK_PLACES):
+                at = batch[f"at{i}"].to_numpy()
+                hit &= (own[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
+            found = batch.select(["doc_id", "text"]).filter(pa.array(hit))
+            for at in range(0, found.num_rows, 200):
+                part = found.slice(at, 200)
                 yield pa.record_batch([part["doc_id"], pa.array([describe(t.as_py())["hashes"] for t in part["text"]], pa.binary())], names=["node", "hashes"])
 
+    return docs.select("doc_id", "text", *(c.alias(f"at{i}") for i, c in enumerate(_places("doc_id", bits)))).mapInArrow(tidy(each), "node long, hashes binary")
+
+
+def _alike(pairs: DataFrame, docs: DataFrame, sketches: DataFrame, repeated: bool) -> DataFrame:
+    """The pairs (low, high) whose texts' shingle sets are similar.  ``sketches`` (node, n, parity), of one to two places a
+    shingle, tell most that can't be, before the sets themselves meet.  ``repeated``: some ids have several rows."""
+
     def possible(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             columns = zip(*(batch[c].to_pylist() for c in ("n_low", "n_high")), batch["parity_low"], batch["parity_high"], strict=True)
@@ -155,9 +183,7 @@ def _alike(pairs: DataFrame, docs: DataFrame, repeated: bool) -> DataFrame:
             keep = pa.array([similar(a.as_py(), b.as_py()) for a, b in zip(batch["hashes_low"], batch["hashes_high"], strict=True)], pa.bool_())
             yield batch.select(["low", "high"]).filter(keep)
 
-    def of_nodes(pairs: DataFrame, what, schema: str) -> DataFrame:
-        wanted = pairs.select(F.explode(F.array("low", "high")).alias("doc_id")).distinct()
-        rows = docs.join(wanted, "doc_id", "left_semi").mapInArrow(tidy(what), schema)
+    def once(rows: DataFrame) -> DataFrame:
         return spool(rows.distinct() if repeated else rows, "lz4")
 
     def both(pairs: DataFrame, rows: DataFrame) -> DataFrame:
@@ -166,9 +192,10 @@ def _alike(pairs: DataFrame, docs: DataFrame, repeated: bool) -> DataFrame:
         return pairs
 
     with temporary(docs.sparkSession):
-        likely = both(pairs, of_nodes(pairs, sketched, "node long, n long, parity binary"))
+        wanted = pairs.select(F.explode(F.array("low", "high")).alias("node")).distinct()
+        likely = both(pairs, once(sketches.join(wanted, "node", "left_semi")))
         likely = spool(likely.mapInArrow(tidy(possible), "low long, high long").distinct())
-        found = both(likely, of_nodes(likely, hashed, "node long, hashes binary"))
+        found = both(likely, once(_hash_sets(docs, likely)))
         return finished(found.mapInArrow(tidy(each), "low long, high long").distinct())
 
 
@@ -293,13 +320,13 @@ def packed(rows: DataFrame) -> DataFrame:
     return rows.repartition(key).select("node", F.col("node").bitwiseXOR(F.col("off")).alias("root"), F.col("kp").bitwiseAND(F.lit(~KEY_MASK)).cast("int").alias("place"), key.alias("k"))
 
 
-def meetings(all_rows: DataFrame, rooted: DataFrame, repeated: bool) -> tuple[DataFrame, DataFrame]:
-    """(k, blocks, node, root, place): keys that texts of different roots share, a row for each text that has them; and
-    (node, size, parity).  ``rooted``: (digest, node, root).  ``all_rows``, a spooled table, is deleted once its keys are copied.
+def meetings(all_rows: DataFrame, rooted: DataFrame, repeated: bool) -> DataFrame:
+    """(k, blocks, node, root, place): keys that texts of different roots share, a row for each text that has them.  ``rooted``:
+    (digest, node, root).  ``all_rows``, a spooled table, is deleted once its keys are copied.
 
     A rare key's rows are in one partition, where counting needs no further shuffle; a frequent one's are counted by part.
     """
-    keyed = all_rows.select("digest", F.col("doc_id").alias("node"), F.col("shingles").alias("size"), "rare", "frequent", "parity").join(rooted, ["digest", "node"])
+    keyed = all_rows.select("digest", F.col("doc_id").alias("node"), "rare", "frequent").join(rooted, ["digest", "node"])
     keyed = spool((keyed.dropDuplicates(["digest", "node"]) if repeated else keyed).drop("digest"))
     discard(all_rows)
     rare = packed(keyed.select("node", "root", F.posexplode("rare").alias("place", "k")))
@@ -309,7 +336,7 @@ def meetings(all_rows: DataFrame, rooted: DataFrame, repeated: bool) -> tuple[Da
     parts = often.groupBy("k", "part").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("a"), F.max("root").alias("b"))
     sizes = parts.groupBy("k").agg(F.sum("n").alias("n"), F.min("a").alias("a"), F.max("b").alias("b"), F.collect_list("part").alias("parts")).where("a < b").select("k", "n", F.explode("parts").alias("part"))
     often = often.join(sizes, ["k", "part"]).drop("part").select(*rare.columns)
-    return spool(rare.unionByName(often).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).drop("n")), keyed.select("node", "size", "parity")
+    return spool(rare.unionByName(often).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).drop("n"))
 
 
 def pairs_apart(met: DataFrame, parities: DataFrame, eager: int | None) -> DataFrame:
@@ -327,17 +354,20 @@ def near_copy_roots(docs: DataFrame) -> DataFrame:
     with temporary(docs.sparkSession):
         docs = docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
         rows = spool(told(docs))
-        light = spool(rows.select("doc_id", "digest", "fingerprint", "shingles", "passages"))
+        light = spool(rows.select("doc_id", "digest", "fingerprint", "shingles", "passages", "parity", "sketch"))
         nodes = spool(light.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").alias("node"), "fingerprint", "shingles", "passages")).alias("x")).select("digest", "x.*"))
 
         repeated = not docs.groupBy("doc_id").count().where("count > 1").isEmpty()  # if not, shuffles to drop duplicates aren't needed
-        roots = component_roots(_alike(first_pairs(nodes), docs, repeated), "low", "high")
+        sketches = light.select(F.col("doc_id").alias("node"), F.col("shingles").alias("n"), F.coalesce("sketch", "parity").alias("parity"))
+        roots = component_roots(_alike(first_pairs(nodes), docs, sketches, repeated), "low", "high")
         rooted = spool(nodes.join(roots, "node", "left").select("digest", "node", F.coalesce("root", "node").alias("root")))
-        met, parities = meetings(rows, rooted, repeated)
+        met = meetings(rows, rooted, repeated)
+        parities = light.select(F.col("doc_id").alias("node"), F.col("shingles").alias("size"), "parity")
+        parities = parities.distinct() if repeated else parities
         found = pairs_apart(met, parities, EAGER)
 
         def joined(pairs: DataFrame) -> DataFrame:
-            return component_roots(_alike(pairs, docs, repeated).unionByName(roots.select(F.col("root").alias("low"), F.col("node").alias("high"))), "low", "high")
+            return component_roots(_alike(pairs, docs, sketches, repeated).unionByName(roots.select(F.col("root").alias("low"), F.col("node").alias("high"))), "low", "high")
 
         roots = joined(found.where("k IS NULL").select("low", "high"))
         again = found.where("k IS NOT NULL").select("k").distinct()

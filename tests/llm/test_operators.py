@@ -457,3 +457,42 @@ def test_near_copy_keys_are_shuffled_packed(spark):
         sums.append(x.withColumn("n", n).agg(F.sum(F.xxhash64("node", "root", "place", "k", "n").cast("decimal(38,0)")).alias("h")).first().h)
         bytes_of.append(spark.sparkContext._jsc.sc().statusStore().executorList(True).apply(0).totalShuffleWrite() - before)
     assert sums[0] == sums[1] and bytes_of[2] < 0.8 * bytes_of[1]
+
+
+def test_near_copies_never_deal_out_texts(spark, tmp_path):
+    """Without broadcasts, what the stage shuffles is far below the texts' bytes, and near copies that only the second pass finds
+    are still found."""
+    draw = np.random.default_rng(5)
+    words = lambda n: [draw.bytes(100).hex() for _ in range(n)]
+    texts = [words(100) for _ in range(200)]
+    texts += [[*words(4), *t[4:-4], *words(4)] for t in texts[:40]]
+    rows = [(7 * i - 300, " ".join(t)) for i, t in enumerate(texts)]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/docs")
+    sc, name = spark.sparkContext._jsc.sc(), "spark.sql.autoBroadcastJoinThreshold"
+
+    def written() -> int:
+        sc.listenerBus().waitUntilEmpty()
+        return sc.statusStore().executorList(True).apply(0).totalShuffleWrite()
+
+    before, value = written(), spark.conf.get(name)
+    try:
+        spark.conf.set(name, "-1")
+        found = nearcopies.near_copy_roots(spark.read.parquet(f"{tmp_path}/docs")).collect()
+    finally:
+        spark.conf.set(name, value)
+    assert {r.doc_id: r.root for r in found} == {7 * (200 + i) - 300: 7 * i - 300 for i in range(40)}
+    assert written() - before < 0.5 * sum(len(t) for _, t in rows)
+
+
+def test_marks_lose_no_text(spark, monkeypatch):
+    """Of the texts that pairs name, all hash sets are there, also where the marks are at their bound; others are few."""
+    docs = spark.createDataFrame([(i * i * (-1) ** i, f"text number {i}") for i in range(5000)], "doc_id long, text string")
+    pairs = spark.createDataFrame([(-(2 * i + 1) ** 2, (2 * i + 2) ** 2) for i in range(0, 1000, 2)], "low long, high long")
+    wanted = {x for r in pairs.collect() for x in (r.low, r.high)}
+    for most, more, others in ((nearcopies.MARKS_MOST, 0, 100), (32_768, 0, 100), (32_768, 100_000, 5000)):
+        monkeypatch.setattr(nearcopies, "MARKS_MOST", most)
+        absent = spark.range(more).selectExpr("id + 1000000000 AS low", "id + 2000000000 AS high")
+        found = {r.node: bytes(r.hashes) for r in nearcopies._hash_sets(docs, pairs.unionByName(absent)).collect()}
+        assert found.keys() >= wanted and len(found) - len(wanted) <= others
+    assert found[4] == nearcopies.describe("text number 2")["hashes"]
+    assert nearcopies._hash_sets(docs, pairs.limit(0)).count() == 0
