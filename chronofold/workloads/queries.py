@@ -130,9 +130,13 @@ def layout_rows_by_chunk(spark, folder):
 
 @query(f"WITH {sql.history('part')} SELECT CAST(sum(date_diff('microsecond', valid_from, valid_to)) AS BIGINT) AS duration_us, CAST(count(*) AS BIGINT) AS heads FROM h")
 def layout_conservation(spark, folder):
-    """Time and heads of the pieces are those of the source."""
+    """Time and heads of the pieces are those of the source.  The time is summed as a decimal, since some 30,000 parts pass what a
+    BIGINT holds; it is a BIGINT, as in SQL, where it fits one, and that decimal otherwise."""
     rows = ly.clip_to_chunks(PART.build(spark, folder), PART.grid, ["part_key"])
-    return rows.agg(F.sum(length(F.col(FROM), F.col(TO))).alias("duration_us"), F.sum(F.col("is_head").cast("long")).alias("heads"))
+    duration, heads = rows.agg(F.sum(length(F.col(FROM), F.col(TO)).cast("decimal(20,0)")), F.sum(F.col("is_head").cast("long"))).first()
+    if duration is None or -(2**63) <= duration < 2**63:
+        return spark.createDataFrame([(None if duration is None else int(duration), heads)], "duration_us bigint, heads bigint")
+    return spark.createDataFrame([(duration, heads)], "duration_us decimal(38,0), heads bigint")
 
 
 _CALENDAR = {"month": ly.ChunkGrid.calendar("MONTH"), "quarter": ly.ChunkGrid.calendar("QUARTER"), "year": ly.ChunkGrid.calendar("YEAR")}

@@ -264,3 +264,18 @@ def test_stream_gives_what_the_batch_gives(spark, data, tmp_path):
     only_stream, only_batch = canonical_equal(found, batch.select(*found.columns))
     assert only_stream == 0 and found.count() > 0.8 * batch.count() and only_batch == batch.count() - found.count()
     assert sealed_chunks(ly.ChunkGrid.calendar("DAY"), dt.datetime(2024, 1, 3, 5)) == ly.ChunkGrid.calendar("DAY").id_of(dt.datetime(2024, 1, 2))
+
+
+@pytest.mark.parametrize("parts", [3, 160])
+def test_conservation_of_more_time_than_a_bigint_holds(spark, tmp_path, parts):
+    """160 parts from year 100 to the horizon have more than 2^63 microseconds."""
+    from chronofold.workloads.queries import layout_conservation
+
+    start = dt.datetime(100, 1, 15)
+    line = "id AS l_partkey, 1L AS l_suppkey, 1L AS l_orderkey, 1 AS l_linenumber, 1.0D AS l_extendedprice, 0.0D AS l_discount, 0.0D AS l_tax, 1.0D AS l_quantity"
+    spark.range(parts).selectExpr(*line.split(", "), "TIMESTAMP_NTZ'0100-01-15' AS l_shipdate").write.parquet(str(tmp_path / "lineitem.parquet"))
+    found = layout_conservation(spark, str(tmp_path))
+    row = found.first()
+    want = parts * ((HISTORIES["part"].horizon - start) // dt.timedelta(microseconds=1))
+    assert (int(row.duration_us), row.heads) == (want, parts)
+    assert dict(found.dtypes)["duration_us"] == ("bigint" if want < 2**63 else "decimal(38,0)") and (parts == 3) == (want < 2**63)
