@@ -324,7 +324,7 @@ def test_ranks_do_not_pair_members_with_cuts(spark):
     assert rows < 2000 * 3 * 12
 
 
-@pytest.mark.parametrize("name", ["q10_user_origin", "q09_user", "q10_user", "layout_q09_user"])
+@pytest.mark.parametrize("name", ["q10_user_origin", "q09_user", "q10_user", "layout_q09_user", "layout_q10_user"])
 def test_ranks_of_all_users_are_not_broadcast(spark, data, name):
     from chronofold.workloads.queries import QUERIES as named
 
