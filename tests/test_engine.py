@@ -348,7 +348,7 @@ def test_rows_without_a_rank_are_not_ranked(spark, kind, descending):
     assert co.within_reach(nobody, 3, descending).count() == nobody.count()
 
 
-@pytest.mark.parametrize("name", ["layout_q09_user"])
+@pytest.mark.parametrize("name", ["layout_q09_user", "layout_q10_user"])
 def test_ranks_from_a_layout_take_less_than_its_rows(spark, data, name):
     """No operator makes more rows than the layout has: few users' rows can be among the best at all."""
     from chronofold.workloads.queries import QUERIES as named
